@@ -15,7 +15,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from trilist.llm.common import materialise, read_table, text_of
+from trilist.llm.common import join_hot, materialise, read_table, text_of
 
 #: Words of the contract: runs of bytes other than space, tab, line feed, vertical tab, form feed, carriage return.
 WORD = r"[^\x20\x09-\x0D]+"
@@ -64,7 +64,7 @@ def plan_mix(docs: DataFrame, weights: tuple[int, ...] = (3, 1, 2), share: float
     # the key's first 15 hex digits, below 2^60, pick the range; equal widths, as keys are uniform
     lead = F.conv(F.substring("mix_key", 1, 15), 16, 10).cast("long")
     ranges = F.greatest(F.lit(1.0), F.ceil(F.col("source_rows") / F.lit(rows_per_range)).cast("double"))
-    placed = sized.join(totals.select("name", "source_rows"), "name")
+    placed = join_hot(sized, totals.select("name", "source_rows"), ["name"], "source_rows", sized.count())
     placed = placed.withColumn("range", F.least(F.floor(lead / F.lit(float(2**60)) * ranges), ranges.cast("long") - 1))
     before = Window.partitionBy("name").orderBy("range").rowsBetween(Window.unboundedPreceding, -1)
     sums = placed.groupBy("name", "range").agg(F.sum("size").alias("range_size")).withColumn("offset", F.coalesce(F.sum("range_size").over(before), F.lit(0)))
