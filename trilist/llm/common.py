@@ -71,6 +71,13 @@ def with_row_key(df: DataFrame, columns: Sequence[str] = ("doc_id", "text")) ->
     return df.withColumn(K1, F.xxhash64(*cols)).withColumn(K2, F.xxhash64(F.lit("second"), *reversed(cols)))
 
 
+def packed(docs: DataFrame, *columns: str) -> DataFrame:
+    """Whole rows as a struct ``doc`` beside their row key and the named columns, so that no other column can clash."""
+    rows = docs.select(F.struct(*(docs[c] for c in docs.columns)).alias("doc"))
+    keyed = with_row_key(rows.select("doc", F.col("doc.doc_id"), F.col("doc.text")))
+    return keyed.select("doc", K1, K2, *(F.col(f"doc.{c}") for c in columns))
+
+
 def join_hot(left: DataFrame, right: DataFrame, keys: list[str], weight: str, total: int, share: float = 0.001, how: str = "inner") -> DataFrame:
     """Join left with right, one row per key in right; right[weight] counts the rows that left has of the key.
 

@@ -17,7 +17,7 @@ import math
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from trilist.llm.common import K1, K2, join_hot, materialise, read_table, with_row_key
+from trilist.llm.common import K1, K2, join_hot, materialise, packed, read_table
 
 MIN_SITES, MIN_CHARS, LG_K = 10, 16, 10
 
@@ -28,7 +28,7 @@ def trimmed(line: Column) -> Column:
 
 def occurrences(docs: DataFrame, site: str, min_chars: int) -> DataFrame:
     """One row for each line long enough: row key, doc_id, line number, line hash, site hash."""
-    lines = with_row_key(docs).select(K1, K2, "doc_id", F.xxhash64(F.col(site), F.col(site).isNull()).alias("site"), F.posexplode(F.split(F.col("text"), "\n")).alias("pos", "line"))
+    lines = packed(docs, "doc_id", "text", site).select(K1, K2, "doc_id", F.xxhash64(F.col(site), F.col(site).isNull()).alias("site"), F.posexplode(F.split(F.col("text"), "\n")).alias("pos", "line"))
     norm = trimmed(F.col("line"))
     return lines.filter(F.length(norm) >= min_chars).select(K1, K2, "doc_id", "pos", F.xxhash64(norm).alias("lh"), "site")
 
@@ -58,21 +58,19 @@ def removed_lines(docs: DataFrame, site: str = "source", min_sites: int = MIN_SI
 
 
 def dedup_lines(docs: DataFrame, **options) -> DataFrame:
-    """docs with shortened texts, and __ll_lines and __ll_gone: how many lines each had and lost."""
-    keyed = with_row_key(docs)
-    joined = keyed.join(removed_lines(docs, **options), [K1, K2], "left")
+    """Rows (doc, text, n_lines, n_gone): the row of docs as a struct, its shortened text, how many lines it had and lost."""
+    joined = packed(docs, "text").join(removed_lines(docs, **options), [K1, K2], "left")
     lines = F.split(F.col("text"), "\n")
     kept = F.array_except(F.sequence(F.lit(0), F.size(lines) - 1), F.col("gone"))
     text = F.when(F.col("gone").isNull(), F.col("text")).otherwise(F.array_join(F.transform(kept, lambda i: F.get(lines, i)), "\n"))
-    columns = [text.alias("text") if c == "text" else F.col(c) for c in docs.columns]
     n_lines = F.when(F.col("text").isNull(), F.lit(0)).otherwise(F.length("text") - F.length(F.replace(F.col("text"), F.lit("\n"), F.lit(""))) + 1)
-    return joined.select(*columns, n_lines.cast("long").alias("__ll_lines"), F.coalesce(F.size("gone"), F.lit(0)).cast("long").alias("__ll_gone"))
+    return joined.select("doc", text.alias("text"), n_lines.cast("long").alias("n_lines"), F.when(F.col("gone").isNull(), F.lit(0)).otherwise(F.size("gone")).cast("long").alias("n_gone"))
 
 
 def op1_line_spread(spark, sf_dir: str) -> DataFrame:
     """Boilerplate on ten sites or more goes from all documents but its first; per document, what is left."""
     done = dedup_lines(read_table(spark, sf_dir, "documents"))
-    return done.select("doc_id", F.col("__ll_lines").alias("n_lines"), F.col("__ll_gone").alias("n_removed"), F.coalesce(F.length("text"), F.lit(0)).cast("long").alias("kept_chars"), F.sha2(F.coalesce("text", F.lit("")), 256).alias("kept_sha256"))
+    return done.select("doc.doc_id", "n_lines", F.col("n_gone").alias("n_removed"), F.coalesce(F.length("text"), F.lit(0)).cast("long").alias("kept_chars"), F.sha2(F.coalesce("text", F.lit("")), 256).alias("kept_sha256"))
 
 
 OP1_SQL = rf"""

@@ -15,11 +15,15 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from trilist.llm.common import join_hot, materialise, read_table, text_of
+from trilist.llm.common import join_hot, materialise, packed, read_table, text_of
 
 #: Words of the contract: runs of bytes other than space, tab, line feed, vertical tab, form feed, carriage return.
 WORD = r"[^\x20\x09-\x0D]+"
-NAME = F.coalesce(F.concat(F.lit("s"), F.col("source")), F.lit("n"))
+
+
+def named() -> Column:
+    """The source as a key without nulls."""
+    return F.coalesce(F.concat(F.lit("s"), F.col("source")), F.lit("n"))
 
 
 def mix_key(seed: int) -> Column:
@@ -59,7 +63,7 @@ def targets(sizes: DataFrame, weights: tuple[int, ...], share: float, max_epochs
 def plan_mix(docs: DataFrame, weights: tuple[int, ...] = (3, 1, 2), share: float = 1.5, max_epochs: float = 2.0, seed: int = 8, rows_per_range: int = 1024) -> DataFrame:
     """Rows (mix_key, doc_id, name, size, source_size, target, taken), one for each row of docs."""
     size = F.regexp_count(text_of(), F.lit(WORD)).cast("long")
-    sized = materialise(docs.select("doc_id", "source", NAME.alias("name"), size.alias("size"), mix_key(seed).alias("mix_key")), "mix-sizes")
+    sized = materialise(docs.select("doc_id", "source", named().alias("name"), size.alias("size"), mix_key(seed).alias("mix_key")), "mix-sizes")
     totals = targets(sized.groupBy("name", "source").agg(F.sum("size").alias("source_size"), F.count("*").alias("source_rows")), weights, share, max_epochs)
     # the key's first 15 hex digits, below 2^60, pick the range; equal widths, as keys are uniform
     lead = F.conv(F.substring("mix_key", 1, 15), 16, 10).cast("long")
@@ -85,15 +89,14 @@ def plan_mix(docs: DataFrame, weights: tuple[int, ...] = (3, 1, 2), share: float
 def mix_documents(docs: DataFrame, **options) -> DataFrame:
     """The mix itself: the columns of docs, then size, taken and copies (passes over the text, the last one maybe in part).
 
-    Rows of which nothing is taken are left out. Repeated rows have equal keys, so each gets the words of one of them.
+    Rows of which nothing is taken are left out. Repeated rows share a key, and the words taken of them are dealt evenly.
     """
     seed = options.get("seed", 8)
-    plan = plan_mix(docs, **options)
-    # equal rows share a key: their plan rows are summed and dealt back evenly, the remainder to the first
-    per_key = plan.groupBy("mix_key").agg(F.sum("taken").alias("__ll_taken"), F.count("*").alias("__ll_rows"), F.first("size").alias("__ll_size"))
-    kept = docs.withColumn("__ll_key", mix_key(seed)).join(per_key.withColumnRenamed("mix_key", "__ll_key"), "__ll_key").filter("__ll_taken > 0")
-    taken = F.col("__ll_taken") / F.col("__ll_rows")
-    return kept.select(*[docs[c] for c in docs.columns], F.col("__ll_size").alias("mix_size"), F.ceil(taken).cast("long").alias("mix_taken"), F.ceil(taken / F.col("__ll_size")).cast("long").alias("mix_copies"))
+    per_key = plan_mix(docs, **options).groupBy("mix_key").agg(F.sum("taken").alias("all_taken"), F.count("*").alias("rows"), F.first("size").alias("mix_size"))
+    rows = packed(docs, "doc_id", "text").select("doc", mix_key(seed).alias("mix_key"))
+    kept = rows.join(per_key, "mix_key").filter("all_taken > 0")
+    taken = F.col("all_taken") / F.col("rows")
+    return kept.select("doc.*", "mix_size", F.ceil(taken).cast("long").alias("mix_taken"), F.ceil(taken / F.col("mix_size")).cast("long").alias("mix_copies"))
 
 
 def op8_source_mix(spark, sf_dir: str) -> DataFrame:

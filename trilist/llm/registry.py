@@ -3,12 +3,13 @@
 from __future__ import annotations
 
 import corpus_pipeline
-from trilist.llm import lines, mixing, simhash
+from trilist.llm import lines, mixing, repeats, simhash
 
 
 def queries():
     return {
         "op1_line_spread": lines.op1_line_spread,
+        "op2_repeated_windows": repeats.op2_repeated_windows,
         "op4_simhash_grid": simhash.op4_simhash_grid,
         "op8_source_mix": mixing.op8_source_mix,
         "pipeline": corpus_pipeline.run,
