@@ -3,7 +3,7 @@
 from __future__ import annotations
 
 import corpus_pipeline
-from trilist.llm import lines, mixing, repeats, simhash
+from trilist.llm import decontaminate, language, lines, mixing, repeats, simhash
 
 
 def queries():
@@ -11,10 +11,12 @@ def queries():
         "op1_line_spread": lines.op1_line_spread,
         "op2_repeated_windows": repeats.op2_repeated_windows,
         "op4_simhash_grid": simhash.op4_simhash_grid,
+        "op5_family_svm": language.op5_family_svm,
+        "op9_suffix_decontamination": decontaminate.op9_suffix_decontamination,
         "op8_source_mix": mixing.op8_source_mix,
         "pipeline": corpus_pipeline.run,
     }
 
 
 def oracle_sql():
-    return {"op1_line_spread": lines.OP1_SQL, "op8_source_mix": mixing.OP8_SQL}
+    return {"op1_line_spread": lines.OP1_SQL, "op8_source_mix": mixing.OP8_SQL, "op9_suffix_decontamination": decontaminate.OP9_SQL}
