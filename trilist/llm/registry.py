@@ -3,7 +3,7 @@
 from __future__ import annotations
 
 import corpus_pipeline
-from trilist.llm import decontaminate, language, lines, mixing, repeats, simhash
+from trilist.llm import decontaminate, language, lines, media, mixing, repeats, simhash, tokencount, warc
 
 
 def queries():
@@ -13,10 +13,13 @@ def queries():
         "op4_simhash_grid": simhash.op4_simhash_grid,
         "op5_family_svm": language.op5_family_svm,
         "op9_suffix_decontamination": decontaminate.op9_suffix_decontamination,
+        "op6_digest_cache": tokencount.op6_digest_cache,
+        "op7_media_columns": media.op7_media_columns,
         "op8_source_mix": mixing.op8_source_mix,
+        "op10_segment_reassembly": warc.op10_segment_reassembly,
         "pipeline": corpus_pipeline.run,
     }
 
 
 def oracle_sql():
-    return {"op1_line_spread": lines.OP1_SQL, "op8_source_mix": mixing.OP8_SQL, "op9_suffix_decontamination": decontaminate.OP9_SQL}
+    return {"op1_line_spread": lines.OP1_SQL, "op8_source_mix": mixing.OP8_SQL, "op10_segment_reassembly": warc.OP10_SQL, "op9_suffix_decontamination": decontaminate.OP9_SQL}
