@@ -3,13 +3,14 @@
 from __future__ import annotations
 
 import corpus_pipeline
-from trilist.llm import decontaminate, language, lines, media, mixing, repeats, simhash, tokencount, warc
+from trilist.llm import chat, decontaminate, language, lines, media, mixing, repeats, simhash, tokencount, warc
 
 
 def queries():
     return {
         "op1_line_spread": lines.op1_line_spread,
         "op2_repeated_windows": repeats.op2_repeated_windows,
+        "op3_tool_links": chat.op3_tool_links,
         "op4_simhash_grid": simhash.op4_simhash_grid,
         "op5_family_svm": language.op5_family_svm,
         "op9_suffix_decontamination": decontaminate.op9_suffix_decontamination,
@@ -22,4 +23,4 @@ def queries():
 
 
 def oracle_sql():
-    return {"op1_line_spread": lines.OP1_SQL, "op8_source_mix": mixing.OP8_SQL, "op10_segment_reassembly": warc.OP10_SQL, "op9_suffix_decontamination": decontaminate.OP9_SQL}
+    return {"op1_line_spread": lines.OP1_SQL, "op3_tool_links": chat.OP3_SQL, "op8_source_mix": mixing.OP8_SQL, "op10_segment_reassembly": warc.OP10_SQL, "op9_suffix_decontamination": decontaminate.OP9_SQL}
