@@ -190,7 +190,7 @@ def format_chat(messages: DataFrame, tools: dict | None = None) -> DataFrame:
     first = calls.groupBy(*key).agg(F.min(F.struct("turn", "idx")).alias("first"), F.min_by("refs", F.struct("turn", "idx")).alias("refs"), F.count("*").alias("n_calls"))
     first = materialise(first.join(answers, key, "left").withColumn("n", F.coalesce("n", F.lit(0))), "chat-calls")
     placed = places(first.select("ck", "call_id", F.col("first.turn").alias("turn"), "refs"))
-    known = materialise(first.join(placed, key), "chat-places")
+    known = materialise(first.drop("refs").join(placed, key), "chat-places")
     again = ~(F.col("turn").eqNullSafe(F.col("first.turn")) & F.col("idx").eqNullSafe(F.col("first.idx")))
     status = F.when(again, "duplicate").when(F.col("problem") == "unknown tool", "unknown_tool").when(F.col("problem").isNotNull(), "invalid")
     status = status.when(F.col("missing"), "missing").when(F.col("cyclic"), "cyclic").when(F.col("n") == 0, "unanswered").otherwise("ok")

@@ -5,7 +5,7 @@ beyond what any grid can separate from chance, so the same shingle hashes also g
 share a band are compared on their whole shingle sets. Texts with equal sets are one node.
 
 Bands of at most ``pair_limit`` nodes are compared in full. Larger ones are compared with two leaders (the node that meets
-most others, and a random one); nodes like neither are dealt again by further minimum hashes, three ways each, level
+most others, and a random one); of the nodes like neither, one for each component found so far is dealt again by further minimum hashes, three ways each, level
 by level, so dissimilar texts that share a frequent passage separate without ever being paired. A pair of similarity 0.8
 shares one of the 20 bands with probability 0.9996. Links are exact (no similarity is estimated); recall is not.
 
@@ -136,6 +136,12 @@ def band_links(docs: DataFrame, nodes: DataFrame, width: int, similarity: float)
             break
         linked = tries.join(good.unionByName(good.select(F.col("b").alias("a"), F.col("a").alias("b"))).select(F.col("a").alias("node"), F.col("b").alias("l")), ["node", "l"], "left_semi").select("g", "node")
         rest = led.filter("node <> l1 AND node <> l2").select("g", "node").join(linked.distinct(), ["g", "node"], "left_anti")
+        rest = materialise(rest, f"similar-rest-{level}")
+        if rest.isEmpty():
+            break
+        # what is linked by now needs no more links inside its component: one member of it speaks for it in each group
+        roots = components(found, f"similar-roots-{level}")
+        rest = rest.join(roots, "node", "left").groupBy("g", F.coalesce("root", "node").alias("root")).agg(F.min_by("node", F.struct(F.xxhash64("g", "node"), "node")).alias("node"))
         again = rest.join(rank, "node").select("node", "g", F.explode(F.transform(F.sequence(F.lit(0), F.lit(WAYS - 1)), lambda i: F.xxhash64("g", i, F.get("spare", i + level * WAYS)))).alias("sub")).select("node", F.col("sub").alias("g"))
         again = materialise(again, f"similar-again-{level}")
         groups = materialise(again.join(again.groupBy("g").agg(F.count("*").alias("size")).filter("size > 1"), "g").select("g", "node", "size"), f"similar-next-{level}")
