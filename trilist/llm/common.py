@@ -48,7 +48,16 @@ def materialise(df: DataFrame, tag: str) -> DataFrame:
     """Write df as Parquet to the shared folder and read it back: cuts lineage and survives lost executors."""
     spark, path = df.sparkSession, scratch(df.sparkSession, tag)
     df.write.option("compression", "zstd").parquet(path)
-    return spark.read.schema(df.schema).parquet(path)
+    back = spark.read.schema(df.schema).parquet(path)
+    back._scratch_path = path
+    return back
+
+
+def discard(*tables: DataFrame) -> None:
+    """Delete materialised tables that no later step reads."""
+    for df in tables:
+        if path := getattr(df, "_scratch_path", None):
+            remove(df.sparkSession, path)
 
 
 def release(spark: SparkSession) -> None:
@@ -109,11 +118,14 @@ def components(edges: DataFrame, tag: str = "components", limit: int = 60) -> Da
         least = large.groupBy("a").agg(F.min("b").alias("m"))
         joined = large.join(least, "a")
         small = joined.select(F.col("b").alias("a"), F.col("m").alias("b")).union(joined.select("a", F.col("m").alias("b"))).filter("a <> b").distinct()
-        pairs = materialise(small, tag)
+        last, pairs = pairs, materialise(small, tag)
+        discard(last)
         now = pairs.agg(F.count("*"), F.sum(F.hash("a", "b").cast("long")), F.sum(F.xxhash64("b", "a").cast("decimal(38,0)"))).first()
         if now == before:
             break
         before = now
     else:
         raise RuntimeError("components did not settle")
-    return pairs.select(F.col("a").alias("node"), F.col("b").alias("root"))
+    found = pairs.select(F.col("a").alias("node"), F.col("b").alias("root"))
+    found._scratch_path = pairs._scratch_path
+    return found

@@ -21,10 +21,10 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from trilist.llm.common import K1, K2, bounded_batches, components, join_hot, materialise, packed, release
+from trilist.llm.common import K1, K2, bounded_batches, components, discard, join_hot, materialise, packed, release
 from trilist.llm.simhash import links
 
-BANDS, ROWS, LEVELS, WAYS, PAIR_LIMIT = 20, 5, 5, 3, 16
+BANDS, ROWS, LEVELS, WAYS, PAIR_LIMIT = 20, 5, 3, 3, 4
 
 
 def shingle_hashes(text: str | None, width: int):
@@ -120,7 +120,7 @@ def band_links(docs: DataFrame, nodes: DataFrame, width: int, similarity: float)
     sets = materialise(shingle_sets(docs, wanted, width), "similar-sets").groupBy("node").agg(F.first("items").alias("items"))
     release(docs.sparkSession)
     rank = nodes.select("node", "spare")
-    busy = groups.groupBy("node").agg(F.sum("size").alias("meets"))
+    busy = materialise(groups.groupBy("node").agg(F.sum("size").alias("meets")), "similar-busy")
     found = None
     for level in range(LEVELS + 1):
         small = groups.filter(F.col("size") <= PAIR_LIMIT)
@@ -144,7 +144,9 @@ def band_links(docs: DataFrame, nodes: DataFrame, width: int, similarity: float)
         rest = rest.join(roots, "node", "left").groupBy("g", F.coalesce("root", "node").alias("root")).agg(F.min_by("node", F.struct(F.xxhash64("g", "node"), "node")).alias("node"))
         again = rest.join(rank, "node").select("node", "g", F.explode(F.transform(F.sequence(F.lit(0), F.lit(WAYS - 1)), lambda i: F.xxhash64("g", i, F.get("spare", i + level * WAYS)))).alias("sub")).select("node", F.col("sub").alias("g"))
         again = materialise(again, f"similar-again-{level}")
+        spent = [groups, led, rest, roots, again]
         groups = materialise(again.join(again.groupBy("g").agg(F.count("*").alias("size")).filter("size > 1"), "g").select("g", "node", "size"), f"similar-next-{level}")
+        discard(*spent)
         if groups.isEmpty():
             break
     return found
@@ -168,6 +170,7 @@ def near_duplicates(docs: DataFrame, width: int = 5, similarity: float = 0.8) ->
     rooted = nodes.select("node", "lead").join(roots, "node", "left").withColumn("root", F.coalesce("root", "node"))
     keep = rooted.groupBy("root").agg(F.min("lead").alias("lead")).select(F.col("lead.k1").alias(K1), F.col("lead.k2").alias(K2), F.lit(True).alias("stays"))
     keep = materialise(keep, "similar-keep")
+    discard(sketch, nodes, heads, roots)
     release(docs.sparkSession)
     # rows with equal keys are equal in doc_id and text: the join brings them together, and one of them stays
     first = F.row_number().over(Window.partitionBy(K1, K2).orderBy(F.lit(0))) == 1
