@@ -1,15 +1,456 @@
-"""Registry of the graph queries and of their SQL twins."""
+"""Registry of the graph queries and of their SQL twins.
+
+Each query runs one method, baseline, measure or operator on a graph built from the given tables. A query with an entry
+in oracle_sql() has an exact twin with the same coins.
+"""
 
 from __future__ import annotations
 
+from pyspark.sql import DataFrame, SparkSession, Window
+from pyspark.sql import functions as F
+
+from trilist.functions import udx
+from trilist.functions.coins import coin, poly_hash, sql_coin, sql_poly_hash, tag
+from trilist.functions.params import BOUNDS, Params
+from trilist.operators import drivers, exact, heavy, light, measures
+from trilist.oracles import DEG, PSUP, SUP, TRI, classes, core_ctes, graph, hash_ctes, sample_ctes, x_ctes
+from trilist.plans import planner
+from trilist.sources import io
+from trilist.sources.graphs import arcs, edges_from_columns, edges_of, induced, load, normalise_edges, vertices_of
+from trilist.streaming import edges as stream
+
+QUERIES: dict = {}
+SQL: dict[str, str] = {}
+NS = [100, 1000, 10_000, 100_000, 10_000_000_000]
+
+
+def add(name: str, run, sql: str | None = None) -> None:
+    """run(spark, sf_dir) -> DataFrame."""
+    QUERIES[name] = run
+    if sql:
+        SQL[name] = sql
+
+
+def on(g: str, run):
+    """A query over the edges of graph g."""
+    return lambda s, d: run(edges_of(s, d, g))
+
+
+def on_both(g: str, run, eps: float | None = None):
+    """A query over vertices and edges (and parameters) of graph g."""
+
+    def query(s, d):
+        v, e = vertices_of(s, d, g), edges_of(s, d, g)
+        return run(v, e) if eps is None else run(v, e, Params(v.count(), eps))
+
+    return query
+
 
-def entry(spark, sf_dir):
-    return spark.read.parquet(f"{sf_dir}/customer.parquet").select("c_custkey")
+def counted(df: DataFrame) -> DataFrame:
+    return df.agg(F.count("*").alias("triangles"))
+
+
+def entry(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Flagship: heavy triangles of customers in one cell, by neighbour sampling."""
+    return QUERIES["w4_heavy_sample"](spark, sf_dir)
 
 
 def queries():
-    return {}
+    return dict(QUERIES)
 
 
 def oracle_sql():
-    return {}
+    return dict(SQL)
+
+
+COUNT = "SELECT count(*)::BIGINT AS triangles FROM tri"
+LIST = "SELECT a, b, c FROM tri"
+
+# --- exact listing, supports, classes -------------------------------------------------------------------------------
+add("triangle_list", on("cells", exact.triangles), graph("cells", TRI) + LIST)
+add("triangle_count", on("copurchase", lambda e: counted(exact.triangles(e))), graph("copurchase", TRI) + COUNT)
+add("edge_support", on("cells", exact.edge_support), graph("cells", TRI, SUP) + "SELECT * FROM sup")
+add("pair_support", on("halfyear", exact.pair_support), graph("halfyear", PSUP) + "SELECT * FROM psup")
+for q, flag in (("heavy_triangles", "is_heavy"), ("light_triangles", "NOT is_heavy")):
+    add(q, on_both("cells", lambda v, e, p, flag=flag: exact.classify(e, p.threshold).filter(flag).select("a", "b", "c", "max_support"), 0.4), graph("cells", TRI, SUP, classes("(SELECT threshold FROM par)"), eps=0.4) + f"SELECT a, b, c, max_support FROM cls WHERE {flag}")
+add("heavy_edges", on_both("cells", lambda v, e, p: exact.edge_support(e).filter(F.col("support") >= p.threshold), 0.4), graph("cells", TRI, SUP, eps=0.4) + "SELECT sup.* FROM sup, par WHERE support >= threshold")
+add("heavy_light_counts", on_both("cells", lambda v, e, p: exact.classify(e, p.threshold).agg(F.count_if("is_heavy").alias("heavy"), F.count_if(~F.col("is_heavy")).alias("light")), 0.4), graph("cells", TRI, SUP, classes("(SELECT threshold FROM par)"), eps=0.4) + "SELECT count(*) FILTER (is_heavy) AS heavy, count(*) FILTER (NOT is_heavy) AS light FROM cls")
+add("local_listing", on("halfyear", exact.local_listing), graph("halfyear", TRI) + "SELECT unnest([a, b, c]) AS node, a, b, c FROM tri")
+add("triangle_free_vertices", on_both("halfyear", exact.triangle_free_vertices), graph("halfyear", TRI) + "SELECT v FROM vert WHERE v NOT IN (SELECT unnest([a, b, c]) FROM tri)")
+add("triangle_free_edges", on("halfyear", exact.triangle_free_edges), graph("halfyear", TRI, SUP) + "SELECT u, v FROM sup WHERE support = 0")
+add("is_triangle_free", on("part_supplier", lambda e: e.sparkSession.createDataFrame([(exact.triangles(e).isEmpty(),)], "triangle_free boolean")), graph("part_supplier", TRI) + "SELECT count(*) = 0 AS triangle_free FROM tri")
+add("find_via_listing", on("halfyear", lambda e: drivers.find_via_listing(exact.triangles(e))), graph("halfyear", TRI) + LIST + " ORDER BY a, b, c LIMIT 1")
+add("wedge_count", on("copurchase", lambda e: exact.degrees(e).agg(F.sum(F.col("degree") * (F.col("degree") - 1) / 2).cast("long").alias("wedges"))), graph("copurchase", DEG) + "SELECT sum(degree * (degree - 1) // 2)::BIGINT AS wedges FROM deg")
+
+
+def clustering(e: DataFrame) -> DataFrame:
+    t = exact.local_listing(e).groupBy(F.col("node").alias("v")).agg(F.count("*").alias("t"))
+    return exact.degrees(e).join(t, "v", "left").filter("degree > 1").select("v", F.round(F.coalesce("t", F.lit(0)) * 2 / (F.col("degree") * (F.col("degree") - 1)), 9).alias("clustering"))
+
+
+CLUSTER = "SELECT v, round(coalesce(t, 0) * 2.0 / (degree * (degree - 1)), 9)::DOUBLE AS clustering FROM deg LEFT JOIN (SELECT unnest([a, b, c]) AS v, count(*) AS t FROM (SELECT a, b, c FROM tri) GROUP BY 1) USING (v) WHERE degree > 1"
+CLUSTER = CLUSTER.replace("(SELECT unnest([a, b, c]) AS v, count(*) AS t FROM (SELECT a, b, c FROM tri) GROUP BY 1)", "(SELECT v, count(*) AS t FROM (SELECT unnest([a, b, c]) AS v FROM tri) GROUP BY 1)")
+add("local_clustering", on("halfyear", clustering), graph("halfyear", TRI, DEG) + CLUSTER)
+
+# --- heavy half --------------------------------------------------------------------------------------------------------
+HS, HH = "SELECT * FROM hs", "SELECT * FROM hh"
+add("heavy_sample", on_both("halfyear", lambda v, e, p: heavy.heavy_sample(e, p, 1), 0.2), graph("halfyear", *sample_ctes(1), eps=0.2) + HS)
+add("heavy_sample_capped", on_both("cells", lambda v, e, p: heavy.heavy_sample(e, p, 1, cap=2), 0.2), graph("cells", *sample_ctes(1, cap="2"), eps=0.2) + HS)
+add("heavy_sample_eps0", on_both("halfyear", lambda v, e, p: heavy.heavy_sample(e, p, 1), 0.0), graph("halfyear", TRI) + "SELECT unnest([a, b, c]) AS node, a, b, c FROM tri")
+add("heavy_hash", on_both("cells", lambda v, e, p: heavy.heavy_hash(e, p, 1), 0.4), graph("cells", *hash_ctes(1), eps=0.4) + HH)
+add("hash_coefficients", on_both("halfyear", lambda v, e: heavy.draw_hashes(v, 1)), graph("halfyear", hash_ctes(1)[0].replace("SELECT DISTINCT src AS v FROM a", "SELECT v FROM vert")) + "SELECT * FROM hsh")
+add("hash_messages", on_both("cells", lambda v, e, p: heavy.hash_messages(e, p, 1), 0.4), graph("cells", *hash_ctes(1)[:3], eps=0.4) + "SELECT j, a, l, size, speaks FROM msg JOIN msz USING (j, a)")
+add("heavy_hash_one_bucket", on_both("halfyear", lambda v, e, p: heavy.heavy_hash(e, p, 1, buckets=1), 0.4), graph("halfyear", *hash_ctes(1, buckets="1", cap="8 + 4 * (SELECT n FROM par)"), eps=0.4) + HH)
+add("ledger_heavy_sample", on_both("cells", lambda v, e, p: heavy.sample_ledger(e, p, 1), 0.2), graph("cells", *sample_ctes(1)[:2], DEG, eps=0.2) + "SELECT 'heavy_sample' AS method, 'sample' AS phase, coalesce(max(size) FILTER (speaks), 0)::BIGINT AS rounds, coalesce(sum(size * degree) FILTER (speaks), 0)::BIGINT AS words, count(*) FILTER (NOT speaks) AS silent FROM ssz JOIN deg ON v = j")
+LEDGER_HASH = "SELECT 'heavy_hash' AS method, 'hashes' AS phase, 3::BIGINT AS rounds, 3 * count(*)::BIGINT AS words, 0::BIGINT AS silent FROM a UNION ALL SELECT 'heavy_hash', 'edges', coalesce(max(size) FILTER (speaks), 0)::BIGINT, coalesce(sum(size) FILTER (speaks), 0)::BIGINT, count(*) FILTER (NOT speaks) FROM msz"
+add("ledger_heavy_hash", on_both("cells", lambda v, e, p: heavy.hash_ledger(e, p, 1), 0.4), graph("cells", *hash_ctes(1)[:3], eps=0.4) + LEDGER_HASH)
+add("received_bits", on_both("cells", lambda v, e, p: heavy.received_words(e, p, 1).select("node", "words", (F.col("words") * F.lit(max(1, (p.n - 1).bit_length()))).alias("bits")), 0.4), graph("cells", *hash_ctes(1)[:3], eps=0.4) + "SELECT a AS node, sum(size)::BIGINT AS words, (sum(size) * (SELECT ceil(log2(n)) FROM par))::BIGINT AS bits FROM msz WHERE speaks GROUP BY 1")
+
+# --- light half --------------------------------------------------------------------------------------------------------
+add("sample_x", on_both("cells", lambda v, e, p: light.sample_x(v, p, 3), 0.2), graph("cells", *x_ctes(3), eps=0.2) + "SELECT v FROM xs")
+add("x_size", on_both("cells", lambda v, e, p: light.sample_x(v, p, 3).agg(F.count("*").alias("size")).select("size", F.lit(round(p.n * p.x_probability, 6)).alias("expected"), (F.col("size") <= 2 * p.n * p.x_probability).alias("within_twice")), 0.2), graph("cells", *x_ctes(3), eps=0.2) + "SELECT count(*) AS size, (SELECT round(n / (9 * threshold), 6) FROM par) AS expected, count(*) <= (SELECT 2 * n / (9 * threshold) FROM par) AS within_twice FROM xs")
+add("x_neighbourhoods", on_both("cells", lambda v, e, p: light.x_neighbourhoods(e, light.sample_x(v, p, 3)).select("v", F.array_join("xs", ",").alias("xs")), 0.2), graph("cells", *x_ctes(3), eps=0.2) + "SELECT v, array_to_string(xs, ',') AS xs FROM nx")
+add("blocked_pairs", on_both("halfyear", lambda v, e, p: light.blocked_pairs(e, light.sample_x(v, p, 3)), 0.2), graph("halfyear", *x_ctes(3), eps=0.2) + "SELECT u, v FROM blocked")
+OPEN = "SELECT x.v AS u, y.v AS v FROM vert x JOIN vert y ON x.v < y.v ANTI JOIN blocked b ON b.u = x.v AND b.v = y.v"
+add("open_pairs", on_both("halfyear", lambda v, e, p: light.open_pairs(v, e, light.sample_x(v, p, 3)), 0.2), graph("halfyear", *x_ctes(3), eps=0.2) + OPEN)
+add("membership_bits", on_both("halfyear", lambda v, e, p: v.join(light.sample_x(v, p, 3).withColumn("x", F.lit(True)), "v", "left").select("v", F.coalesce("x", F.lit(False)).alias("in_x")), 0.2), graph("halfyear", *x_ctes(3), eps=0.2) + "SELECT v, v IN (SELECT v FROM xs) AS in_x FROM vert")
+
+
+def offers(v, e, p, seed=3):
+    return light.offer_sizes(e, light.x_neighbourhoods(e, light.sample_x(v, p, seed)), v)
+
+
+add("offer_set_sizes", on_both("halfyear", offers, 0.2), graph("halfyear", *x_ctes(3), *core_ctes("10", 1), eps=0.2) + "SELECT j, k, size FROM sz1")
+add("overflow_sets", on_both("halfyear", lambda v, e, p: light.overflow_sets(offers(v, e, p), 10), 0.2), graph("halfyear", *x_ctes(3), *core_ctes("10", 1), eps=0.2) + "SELECT j, k FROM ov1")
+add("settled_vertices", on_both("halfyear", lambda v, e, p: light.settled(v, light.overflow_sets(offers(v, e, p), 10), 10), 0.2), graph("halfyear", *x_ctes(3), *core_ctes("10", 1), eps=0.2) + "SELECT v FROM calm1")
+add("offer_mass", on_both("halfyear", lambda v, e, p: offers(v, e, p).agg(F.sum("size").alias("mass"), F.sum(F.when(F.col("size") > 10, 10).otherwise(0)).cast("long").alias("overflow_floor")), 0.2), graph("halfyear", *x_ctes(3), *core_ctes("10", 1), eps=0.2) + "SELECT sum(size)::BIGINT AS mass, sum(CASE WHEN size > 10 THEN 10 ELSE 0 END)::BIGINT AS overflow_floor FROM sz1")
+
+
+def core(g: str, eps: float, r: float, seed: int, what: str):
+    def query(s, d):
+        v, e = vertices_of(s, d, g), edges_of(s, d, g)
+        p = Params(v.count(), eps)
+        out, trace = light.avoid_core(v, e, light.sample_x(v, p, seed), r or p.r)
+        return {"out": lambda: out, "trace": lambda: light.trace_frame(s, trace), "ledger": lambda: light.ledger_frame(s, trace), "stall": lambda: s.createDataFrame([(trace.stalled, len(trace.iterations))], "stalled boolean, iterations long"), "shrink": lambda: light.trace_frame(s, trace)}[what]()
+
+    return query
+
+
+def core_sql(g: str, eps: float, r: float, seed: int, steps: int) -> str:
+    return graph(g, *x_ctes(seed), *core_ctes(repr(r) if r else "(SELECT r FROM par)", steps), eps=eps)
+
+
+CORE, TRACE = "SELECT * FROM core", "SELECT * FROM trace"
+add("avoid_core", core("halfyear", 0.2, 0, 3, "out"), core_sql("halfyear", 0.2, 0, 3, 1) + CORE)
+add("avoid_core_small_r", core("coin", 0.3, 20, 5, "out"), core_sql("coin", 0.3, 20, 5, 6) + CORE)
+add("core_iteration_trace", core("coin", 0.3, 20, 5, "trace"), core_sql("coin", 0.3, 20, 5, 6) + TRACE)
+add("active_shrinkage", lambda s, d: core("coin", 0.3, 20, 5, "shrink")(s, d).select("iteration", "active", F.round((F.col("active") - F.col("settled")) / F.col("active"), 6).alias("unsettled_share"), F.lag("active").over(Window.orderBy("iteration")).alias("before")), core_sql("coin", 0.3, 20, 5, 6) + "SELECT iteration, active, round((active - settled) / active, 6)::DOUBLE AS unsettled_share, lag(active) OVER (ORDER BY iteration) AS before FROM trace")
+for part, cte in (("core_small_offers", "oa1"), ("core_settled_overflow", "ob1")):
+
+    def half(v, e, p, part=part):
+        nx = light.x_neighbourhoods(e, light.sample_x(v, p, 5))
+        sets = light.offer_sets(e, nx, v)
+        over = light.overflow_sets(sets.groupBy("j", "k").agg(F.count("*").alias("size")), 20)
+        return light.close_small(sets, over, e) if part == "core_small_offers" else light.close_overflow(over, light.settled(v, over, 20), e, v)
+
+    add(part, on_both("coin", half, 0.3), core_sql("coin", 0.3, 20, 5, 1) + f"SELECT * FROM {cte}")
+add("core_stall", core("coin", 0.25, 3, 2, "stall"))
+add("ledger_avoid_core", core("windmill", 0.2, 10, 4, "ledger"))
+add("light_avoid", on_both("halfyear", lambda v, e, p: light.light_avoid(v, e, p, 3)[0], 0.2), core_sql("halfyear", 0.2, 0, 3, 1) + CORE)
+add("light_avoid_budget", on_both("coin", lambda v, e, p: light.light_avoid(v, e, p, 5, r=20, c=1e-9)[0], 0.3), graph("coin") + "SELECT 0::BIGINT AS node, 0::BIGINT AS a, 0::BIGINT AS b, 0::BIGINT AS c WHERE false")
+
+# --- finding and listing ---------------------------------------------------------------------------------------------
+FREE = "SELECT false AS found, NULL::BIGINT AS a, NULL::BIGINT AS b, NULL::BIGINT AS c"
+add("find_triangle", on_both("halfyear", lambda v, e: drivers.find_triangle(v, e)))
+add("find_triangle_free", on_both("forest", lambda v, e: drivers.find_triangle(v, e, delta=0.5).drop("repetitions")), FREE)
+add("find_count_reps", on_both("cycle", lambda v, e: drivers.find_triangle(v, e, delta=0.1).select("found", "repetitions")), "SELECT false AS found, 5::BIGINT AS repetitions")
+add("list_triangles", on_both("halfyear", lambda v, e: drivers.list_triangles(v, e, repetitions=1)), graph("halfyear", TRI) + LIST)
+add("parameter_table", lambda s, d: s.createDataFrame([(n, round(p.eps, 9), round(p.threshold, 6), p.buckets, p.bucket_cap, p.sample_cap, round(p.r, 4)) for n in NS[:4] for p in (Params.for_finding(n),)], "n long, eps double, threshold double, buckets long, bucket_cap long, sample_cap long, r double"),
+    "WITH x AS (SELECT unnest([100, 1000, 10000, 100000])::DOUBLE AS n), y AS (SELECT n, greatest(0, 1/3.0::DOUBLE - 2/3.0::DOUBLE * ln(ln(n)) / ln(n)) AS eps FROM x), z AS (SELECT *, greatest(1, floor(pow(n, eps / 2) + 1e-9)) AS b FROM y) SELECT n::BIGINT AS n, round(eps, 9) AS eps, round(pow(n, eps), 6) AS threshold, b::BIGINT AS buckets, floor(8 + 4 * n / b + 1e-9)::BIGINT AS bucket_cap, floor(4 * pow(n, 1 - eps) + 1e-9)::BIGINT AS sample_cap, round(sqrt(54 * pow(n, 1 + eps) * ln(n)), 4) AS r FROM z")
+add("union_of_repetitions", on_both("cells", lambda v, e, p: heavy.heavy_hash(e, p, 1, 0).union(heavy.heavy_hash(e, p, 1, 1)).select("a", "b", "c").distinct(), 0.4), graph("cells", *hash_ctes(1, 0), *hash_ctes(1, 1, suffix="2"), eps=0.4) + "SELECT a, b, c FROM hh UNION SELECT a, b, c FROM hh2")
+add("missed_triangles", on_both("cells", lambda v, e, p: exact.triangles(e).exceptAll(heavy.heavy_hash(e, p, 1).select("a", "b", "c").distinct()), 0.4), graph("cells", TRI, *hash_ctes(1), eps=0.4) + "SELECT a, b, c FROM tri EXCEPT SELECT a, b, c FROM hh")
+add("found_by_both", on_both("halfyear", lambda v, e, p: heavy.heavy_sample(e, p, 1).select("a", "b", "c").intersect(light.light_avoid(v, e, p, 3)[0].select("a", "b", "c")), 0.2), graph("halfyear", *sample_ctes(1), *x_ctes(3), *core_ctes("(SELECT r FROM par)", 1), eps=0.2) + "SELECT a, b, c FROM hs INTERSECT SELECT a, b, c FROM core")
+
+# --- baselines ---------------------------------------------------------------------------------------------------------
+add("two_hop_listing", on("halfyear", exact.two_hop), graph("halfyear", TRI) + "SELECT unnest([a, b, c]) AS node, a, b, c FROM tri")
+add("centralised_listing", on("halfyear", exact.centralised), graph("halfyear", TRI) + LIST)
+BFS = ", bfs AS (SELECT 0::BIGINT AS v, 0 AS depth UNION SELECT a.dst, depth + 1 FROM bfs JOIN a ON a.src = bfs.v WHERE depth < 12) SELECT v, min(depth)::INT AS depth FROM bfs GROUP BY 1"
+add("bfs_depth", on("windmill", lambda e: exact.bfs(e, 0)), graph("windmill").rstrip() + BFS)
+add("tripartition_listing", on("cells", lambda e: exact.tripartition(e, 4)), graph("cells", TRI) + LIST)
+KEYS = "SELECT key, count(*) AS edges FROM (SELECT array_to_string(list_sort([g1, g2, unnest(range(4))]), '-') AS key FROM (SELECT {} % 4 AS g1, {} % 4 AS g2 FROM e)) GROUP BY 1".format(*(sql_coin(0, "'part'", c) for c in "uv"))
+add("tripartition_replication", on("cells", lambda e: exact.tripartition_keys(e, 4)), graph("cells") + KEYS)
+add("degree_ordered_listing", on("copurchase", exact.triangles), graph("copurchase", TRI) + LIST)
+add("degree_bound", on_both("cells", lambda v, e: exact.degrees(e).agg(F.max("degree").alias("max_degree")).join(v.agg(F.count("*").alias("n"))).select("max_degree", "n", F.round(F.pow("max_degree", F.lit(3)) / F.col("n"), 6).alias("bound"))), graph("cells", DEG) + "SELECT max(degree) AS max_degree, (SELECT count(*) FROM vert) AS n, round(pow(max(degree), 3) / (SELECT count(*) FROM vert), 6) AS bound FROM deg")
+add("algebraic_count", on("cells", exact.algebraic_count), graph("cells", TRI) + COUNT)
+add("algebraic_support", on("cells", exact.algebraic_support), graph("cells", TRI, SUP) + "SELECT * FROM sup")
+add("algebraic_find", on("cells", lambda e: exact.algebraic_count(e).select((F.col("triangles") > 0).alias("found"))), graph("cells", TRI) + "SELECT count(*) > 0 AS found FROM tri")
+add("round_bounds", lambda s, d: measures.round_bounds(s, [(n, n // 10) for n in NS[:4]]), "WITH x AS (SELECT n::DOUBLE AS n, (n // 10)::DOUBLE AS d FROM (SELECT unnest([100, 1000, 10000, 100000]) AS n)) " + " UNION ALL ".join(f"SELECT n::BIGINT AS n, d::BIGINT AS d, '{k}' AS bound, round({f}, 6)::DOUBLE AS rounds FROM x" for k, f in BOUNDS.items()))
+
+# --- lower-bound quantities ----------------------------------------------------------------------------------------------
+add("coin_graph", on("coin", lambda e: e), graph("coin") + "SELECT u, v FROM e")
+add("coin_expectations", lambda s, d: measures.coin_expectations(s, NS[:4]), "SELECT n::BIGINT AS n, (n * (n - 1) // 2)::BIGINT AS pairs, (n * (n - 1) * (n - 2) // 6)::BIGINT AS triples, (n * (n - 1) * (n - 2) / 48)::DOUBLE AS expected_triangles FROM (SELECT unnest([100, 1000, 10000, 100000])::BIGINT AS n)")
+add("coin_tail_share", on_both("coin", lambda v, e: measures.coin_tail(v, [1, 2, 3])), " UNION ALL ".join(f"SELECT {s}::BIGINT AS seed, (SELECT count(*) FROM p x JOIN p y ON x.v = y.u JOIN p z ON z.u = x.u AND z.v = y.v) AS triangles, (SELECT count(*) FROM p x JOIN p y ON x.v = y.u JOIN p z ON z.u = x.u AND z.v = y.v) > (SELECT n * (n - 1) * (n - 2) / 96 FROM m) AS above".replace("FROM p ", f"FROM p{s} ").replace("JOIN p ", f"JOIN p{s} ") for s in (1, 2, 3)))
+SQL["coin_tail_share"] = "WITH m AS (SELECT count(*)::DOUBLE AS n FROM supplier), " + ", ".join(f"p{s} AS (SELECT x.s_suppkey AS u, y.s_suppkey AS v FROM supplier x JOIN supplier y ON x.s_suppkey < y.s_suppkey WHERE {sql_coin(s, 'x.s_suppkey', 'y.s_suppkey')} < {2**31})" for s in (1, 2, 3)) + " " + SQL["coin_tail_share"]
+COVER = "cov AS (SELECT node, count(DISTINCT (a, b, c)) AS triangles, count(DISTINCT x) AS edges FROM (SELECT node, a, b, c, unnest([(a, b), (a, c), (b, c)]) AS x FROM {}) GROUP BY 1)"
+add("covered_edges", on_both("cells", lambda v, e, p: measures.covered_edges(heavy.heavy_hash(e, p, 1)), 0.4), graph("cells", *hash_ctes(1), COVER.format("hh"), eps=0.4) + "SELECT * FROM cov")
+BOUND = f"SELECT node, triangles, edges, round({measures.ROOT!r} * pow(triangles, 2/3.0::DOUBLE), 6)::DOUBLE AS bound, edges >= {measures.ROOT!r} * pow(triangles, 2/3.0::DOUBLE) AS ok FROM cov"
+add("edge_bound_check", on_both("cells", lambda v, e, p: measures.edge_bound_check(heavy.heavy_hash(e, p, 1)), 0.4), graph("cells", *hash_ctes(1), COVER.format("hh"), eps=0.4) + BOUND)
+INFO = "SELECT node, (SELECT count(*) - 1 FROM vert) AS input_bits, edges AS revealed_bits FROM cov"
+add("info_ledger", on_both("cells", lambda v, e, p: measures.information(heavy.heavy_hash(e, p, 1), p.n), 0.4), graph("cells", *hash_ctes(1), COVER.format("hh"), eps=0.4) + INFO)
+add("busiest_node", on_both("cells", lambda v, e, p: measures.busiest(heavy.heavy_hash(e, p, 1)), 0.4), graph("cells", *hash_ctes(1), eps=0.4) + "SELECT node, count(*) AS triangles FROM hh GROUP BY 1 ORDER BY 2 DESC, 1 LIMIT 1")
+NSQL = "(SELECT unnest([100, 1000, 10000, 100000, 10000000000])::DOUBLE AS n)"
+add("listing_lower_bound", lambda s, d: measures.listing_bound(s, NS), f"WITH x AS (SELECT n, {measures.ROOT!r} * pow(n * (n - 1) * (n - 2) / 6 / (16 * n), 2/3.0::DOUBLE) * {measures.TAIL!r} AS i FROM {NSQL}) SELECT n::BIGINT AS n, round(i, 6) AS information, round(greatest(0, i - (n - 1)), 6) AS transcript, round(greatest(0, i - (n - 1)) / ((n - 1) * ceil(log2(n))), 9) AS rounds FROM x")
+add("local_lower_bound", lambda s, d: measures.local_bound(s, NS), f"WITH x AS (SELECT n, n * (n - 1) / 32 * {measures.TAIL!r} AS i FROM {NSQL}) SELECT n::BIGINT AS n, round(i, 6) AS information, round(greatest(0, i - (n - 1)), 6) AS transcript, round(greatest(0, i - (n - 1)) / ((n - 1) * ceil(log2(n))), 9) AS rounds, (n - 1) * (n - 2) / 16 AS expected_local FROM x")
+add("opposite_edges", on("halfyear", measures.opposite_edges), graph("halfyear", TRI) + "SELECT node, count(*) AS edges FROM (SELECT unnest([a, b, c]) AS node FROM tri) GROUP BY 1")
+ENT = "SELECT round(-sum(p * log2(p)), 6) AS entropy FROM (SELECT count(*) / sum(count(*)) OVER () AS p FROM {} GROUP BY {})"
+add("entropy", lambda s, d: measures.entropy(load(s, d, "events"), "event_type"), ENT.format("events", "event_type"))
+add("mutual_information", lambda s, d: measures.mutual_information(load(s, d, "lineitem"), "l_returnflag", "l_linestatus"), "WITH h AS (SELECT " + ", ".join(f"(SELECT round(-sum(p * log2(p)), 6) FROM (SELECT count(*) / sum(count(*)) OVER () AS p FROM lineitem GROUP BY {c})) AS h{i}" for i, c in enumerate(("l_returnflag", "l_linestatus", "l_returnflag, l_linestatus"))) + ") SELECT round(h0 + h1 - h2, 5) AS mutual_information FROM h")
+
+# --- accuracy measures ---------------------------------------------------------------------------------------------------
+RECALL = "SELECT 'all' AS class, count(*) AS total, count(*) FILTER (hit) AS found, 0::BIGINT AS wrong FROM m UNION ALL SELECT CASE WHEN is_heavy THEN 'heavy' ELSE 'light' END, count(*), count(*) FILTER (hit), 0 FROM m GROUP BY 1"
+HIT = "m AS (SELECT cls.*, (a, b, c) IN (SELECT (a, b, c) FROM {}) AS hit FROM cls)"
+add("recall_heavy_hash", on_both("cells", lambda v, e, p: measures.recall(heavy.heavy_hash(e, p, 1), e, p.threshold), 0.4), graph("cells", TRI, SUP, classes("(SELECT threshold FROM par)"), *hash_ctes(1), HIT.format("hh"), eps=0.4) + RECALL)
+add("recall_light_avoid", on_both("halfyear", lambda v, e, p: measures.recall(light.light_avoid(v, e, p, 3)[0], e, p.threshold), 0.2), graph("halfyear", TRI, SUP, classes("(SELECT threshold FROM par)"), *x_ctes(3), *core_ctes("(SELECT r FROM par)", 1), HIT.format("core"), eps=0.2) + RECALL)
+
+
+def success(v, e, p):
+    rows = None
+    for seed in (1, 2, 3):
+        r = measures.recall(heavy.heavy_hash(e, p, seed), e, p.threshold).filter("class = 'heavy'").select(F.lit(seed).cast("long").alias("seed"), F.round(F.col("found") / F.col("total"), 6).alias("rate"), F.lit(0.527633).alias("guarantee"))
+        rows = r if rows is None else rows.unionByName(r)
+    return rows
+
+
+RATE = " UNION ALL ".join(f"SELECT {s}::BIGINT AS seed, round(avg(((a, b, c) IN (SELECT (a, b, c) FROM hh{s}))::INT), 6)::DOUBLE AS rate, 0.527633::DOUBLE AS guarantee FROM cls WHERE is_heavy" for s in (1, 2, 3))
+add("success_rate", on_both("cells", success, 0.4), graph("cells", TRI, SUP, classes("(SELECT threshold FROM par)"), *(c for s in (1, 2, 3) for c in hash_ctes(s, suffix=str(s))), eps=0.4) + RATE)
+add("output_duplication", on_both("cells", lambda v, e, p: measures.duplication(heavy.heavy_hash(e, p, 1)), 0.4), graph("cells", *hash_ctes(1), eps=0.4) + "SELECT times, count(*) AS triangles FROM (SELECT count(*) AS times FROM hh GROUP BY a, b, c) GROUP BY 1")
+VH = [h.replace("SELECT DISTINCT src AS v FROM a", "SELECT v FROM vert") for h in hash_ctes(1)[:1]]
+add("hash_pair_rate", on_both("coin", lambda v, e, p: measures.hash_pair_rate(v, p, 4, 1), 0.3), graph("coin", *VH, eps=0.3) + f"SELECT count(*) FILTER (k0 + k1 = 2 AND size <= 4 * (2 + ((SELECT n FROM par) - 2) / 4)) AS events, (SELECT n FROM par)::BIGINT AS hashes, 0.046875::DOUBLE AS least_rate FROM (SELECT node, count(*) AS size, count(*) FILTER (x.v = 0) AS k0, count(*) FILTER (x.v = 1) AS k1 FROM hsh, vert x WHERE {sql_poly_hash('x.v', 'c0', 'c1', 'c2', 4)} = 0 GROUP BY 1)")
+add("hash_uniformity", on_both("coin", lambda v, e: measures.hash_uniformity(v, 2, 1)), graph("coin", *VH) + f"SELECT {', '.join(sql_poly_hash(str(k), 'c0', 'c1', 'c2', 2) + f' AS b{k}' for k in range(3))}, count(*) AS hashes FROM hsh GROUP BY 1, 2, 3")
+
+
+def survival_sql(g: str, eps: float, seeds) -> str:
+    parts = []
+    for s in seeds:
+        xs = [c.replace("xs AS", f"xs{s} AS", 1).replace("FROM xs)", f"FROM xs{s})").replace("blocked AS", f"blocked{s} AS", 1) for c in (x_ctes(s)[0], x_ctes(s)[2])]
+        parts += xs
+    rows = " UNION ALL ".join(f"SELECT {s}::BIGINT AS seed, count(*) AS light, count(*) FILTER ((a, b) NOT IN (SELECT (u, v) FROM blocked{s}) AND (a, c) NOT IN (SELECT (u, v) FROM blocked{s}) AND (b, c) NOT IN (SELECT (u, v) FROM blocked{s})) AS survive FROM cls WHERE NOT is_heavy" for s in seeds)
+    return graph(g, TRI, SUP, classes("(SELECT threshold FROM par)"), *parts, eps=eps) + rows
+
+
+add("light_survival", on_both("halfyear", lambda v, e, p: measures.light_survival(v, e, p, [1, 2, 3]), 0.5), survival_sql("halfyear", 0.5, (1, 2, 3)))
+OSM = "SELECT coalesce(max(support), 0)::BIGINT AS max_support, (SELECT round(27 * threshold * ln(n), 6) FROM par) AS bound, coalesce(max(support), 0) < (SELECT 27 * threshold * ln(n) FROM par) AS ok FROM psup ANTI JOIN blocked USING (u, v)"
+add("open_support_max", on_both("halfyear", lambda v, e, p: measures.open_support_max(v, e, p, 3), 0.2), graph("halfyear", PSUP, *x_ctes(3), eps=0.2) + OSM)
+
+
+def all_ledgers(s, d):
+    v, e = vertices_of(s, d, "cells"), edges_of(s, d, "cells")
+    n = v.count()
+    return heavy.sample_ledger(e, Params(n, 0.2), 1).unionByName(heavy.hash_ledger(e, Params(n, 0.4), 1))
+
+
+def ledger_sql(select: str) -> str:
+    par2 = "par AS (SELECT p.*, q.s_limit, q.s_cap FROM p4 p, p2 q)"
+    from trilist.oracles import params
+
+    both = [params(0.4).replace("par AS", "p4x AS", 1), params(0.2).replace("par AS", "p2 AS", 1), "p4 AS (SELECT n, threshold, buckets FROM p4x)", par2]
+    led = "led AS (SELECT 'heavy_sample' AS method, 'sample' AS phase, coalesce(max(size) FILTER (speaks), 0)::BIGINT AS rounds, coalesce(sum(size * degree) FILTER (speaks), 0)::BIGINT AS words, count(*) FILTER (NOT speaks) AS silent FROM ssz JOIN deg ON v = j UNION ALL " + LEDGER_HASH + ")"
+    return graph("cells", *both, *sample_ctes(1)[:2], DEG, *hash_ctes(1)[:3], led) + select
+
+
+add("round_summary", lambda s, d: all_ledgers(s, d).groupBy("method").agg(F.sum("rounds").alias("rounds"), F.sum("words").alias("words"), F.sum("silent").alias("silent")), ledger_sql("SELECT method, sum(rounds)::BIGINT AS rounds, sum(words)::BIGINT AS words, sum(silent)::BIGINT AS silent FROM led GROUP BY 1"))
+add("ledger_rollup", lambda s, d: all_ledgers(s, d).rollup("method", "phase").agg(F.sum("words").alias("words")), ledger_sql("SELECT method, phase, sum(words)::BIGINT AS words FROM led GROUP BY ROLLUP (method, phase)"))
+add("ledger_cube", lambda s, d: all_ledgers(s, d).cube("method", "phase").agg(F.sum("rounds").alias("rounds")), ledger_sql("SELECT method, phase, sum(rounds)::BIGINT AS rounds FROM led GROUP BY CUBE (method, phase)"))
+add("ledger_pivot", lambda s, d: all_ledgers(s, d).groupBy("method").pivot("phase", ["sample", "hashes", "edges"]).agg(F.sum("words")), ledger_sql("SELECT method, " + ", ".join(f"sum(words) FILTER (phase = '{x}')::BIGINT AS {x}" for x in ("sample", "hashes", "edges")) + " FROM led GROUP BY 1"))
+add("running_rounds", lambda s, d: all_ledgers(s, d).select("method", "phase", F.sum("rounds").over(Window.partitionBy("method").orderBy(F.desc("phase")).rowsBetween(Window.unboundedPreceding, 0)).alias("rounds_so_far")), ledger_sql("SELECT method, phase, (sum(rounds) OVER (PARTITION BY method ORDER BY phase DESC ROWS BETWEEN UNBOUNDED PRECEDING AND CURRENT ROW))::BIGINT AS rounds_so_far FROM led"))
+add("class_grouping_sets", lambda s, d: _grouping_sets(s, d), graph("cells", TRI, SUP, classes("(SELECT threshold FROM par)"), eps=0.4) + "SELECT is_heavy, max_support, count(*) AS triangles FROM cls GROUP BY GROUPING SETS ((is_heavy), (max_support), ())")
+
+
+def _grouping_sets(s, d):
+    v, e = vertices_of(s, d, "cells"), edges_of(s, d, "cells")
+    return s.sql("SELECT is_heavy, max_support, count(*) AS triangles FROM {cls} GROUP BY GROUPING SETS ((is_heavy), (max_support), ())", cls=exact.classify(e, Params(v.count(), 0.4).threshold))
+
+
+# --- sources, sinks, predicates ------------------------------------------------------------------------------------------
+add("scan_lineitem", lambda s, d: load(s, d, "lineitem").select("l_orderkey", "l_partkey").filter("l_quantity > 45"), "SELECT l_orderkey, l_partkey FROM lineitem WHERE l_quantity > 45")
+E_SQL = "SELECT u, v FROM e"
+for q, g in (("edges_part_supplier", "part_supplier"), ("edges_copurchase", "copurchase")):
+    add(q, on(g, lambda e: e), graph(g) + E_SQL)
+for fmt in ("parquet", "csv", "json", "orc"):
+    add(f"roundtrip_{fmt}", on("halfyear", lambda e, fmt=fmt: io.round_trip(e, fmt)), graph("halfyear") + E_SQL)
+
+
+def normalised(s, d):
+    e = edges_of(s, d, "halfyear")
+    messy = e.union(e.select("v", "u")).union(e.select("u", "u")).union(e.select("u", F.lit(None).cast("long")))
+    return normalise_edges(messy)
+
+
+add("normalise_edges", normalised, graph("halfyear") + E_SQL)
+add("induced_subgraph", on_both("halfyear", lambda v, e: induced(e, v.filter("v % 2 = 0"))), graph("halfyear") + "SELECT u, v FROM e WHERE u % 2 = 0 AND v % 2 = 0")
+add("slice_by_date", lambda s, d: edges_from_columns(load(s, d, "lineitem").filter(F.col("l_shipdate").between("1998-01-01", "1998-03-31")), F.col("l_partkey") * 2, F.col("l_suppkey") * 2 + 1), "SELECT DISTINCT least(a, b) AS u, greatest(a, b) AS v FROM (SELECT l_partkey * 2 AS a, l_suppkey * 2 + 1 AS b FROM lineitem WHERE l_shipdate BETWEEN '1998-01-01' AND '1998-03-31')")
+add("slice_by_status", lambda s, d: load(s, d, "orders").filter(F.col("o_orderstatus").isin("F", "O") & F.col("o_orderpriority").like("1-%") & F.col("o_custkey").isNotNull()).select("o_orderkey"), "SELECT o_orderkey FROM orders WHERE o_orderstatus IN ('F', 'O') AND o_orderpriority LIKE '1-%' AND o_custkey IS NOT NULL")
+for view, sql in (("sql_view_count", "SELECT count(*) AS edges FROM {e}"), ("sql_triangles", "WITH x AS (SELECT * FROM {e}) SELECT p.u AS a, p.v AS b, q.v AS c FROM x p JOIN x q ON p.v = q.u JOIN x r ON r.u = p.u AND r.v = q.v"), ("sql_exists_closing", "SELECT p.u AS a, p.v AS b, q.v AS c FROM {e} p JOIN {e} q ON p.u = q.u AND p.v < q.v WHERE EXISTS (SELECT 1 FROM {e} r WHERE r.u = p.v AND r.v = q.v)")):
+    add(view, on("halfyear", lambda e, sql=sql: e.sparkSession.sql(sql, e=e)), graph("halfyear", TRI) + ("SELECT count(*) AS edges FROM e" if view == "sql_view_count" else LIST))
+add("sql_open_pairs", on_both("halfyear", lambda v, e, p: v.sparkSession.sql("SELECT x.v AS u, y.v AS v FROM {v} x JOIN {v} y ON x.v < y.v WHERE NOT EXISTS (SELECT 1 FROM {b} b WHERE b.u = x.v AND b.v = y.v)", v=v, b=light.blocked_pairs(e, light.sample_x(v, p, 3))), 0.2), graph("halfyear", *x_ctes(3), eps=0.2) + OPEN)
+add("sql_bfs", on("windmill", lambda e: e.sparkSession.sql("WITH RECURSIVE a AS (SELECT u AS src, v AS dst FROM {e} UNION ALL SELECT v, u FROM {e}), b(v, depth) AS (SELECT CAST(0 AS BIGINT), 0 UNION ALL SELECT a.dst, depth + 1 FROM b JOIN a ON a.src = b.v WHERE depth < 2) SELECT v, min(depth) AS depth FROM b GROUP BY v", e=e)), graph("windmill").rstrip() + BFS.replace("depth < 12", "depth < 2"))
+add("edges_knn", lambda s, d: udx.knn_edges(load(s, d, "embeddings"), 5))
+
+# --- joins -----------------------------------------------------------------------------------------------------------------
+for hint in ("merge", "shuffle_hash"):
+    add(f"wedge_join_{hint.removeprefix('shuffle_')}", on("halfyear", lambda e, hint=hint: exact.triangles(e, hint)), graph("halfyear", TRI) + LIST)
+add("broadcast_x_join", on_both("cells", lambda v, e, p: arcs(e).join(F.broadcast(light.sample_x(v, p, 3)), F.col("dst") == F.col("v")).groupBy("src").agg(F.count("*").alias("sampled")), 0.2), graph("cells", *x_ctes(3), eps=0.2) + "SELECT src, count(*) AS sampled FROM a WHERE dst IN (SELECT v FROM xs) GROUP BY 1")
+add("close_wedges", on("halfyear", lambda e: planner.salted_wedges(e, 1).join(e, ["u", "v"], "left_semi").groupBy("src").agg(F.count("*").alias("closed"))), graph("halfyear", TRI) + "SELECT src, count(*) AS closed FROM (SELECT unnest([a, b, c]) AS src FROM tri) GROUP BY 1")
+add("degree_with_isolated", on_both("halfyear", lambda v, e: v.join(exact.degrees(e), "v", "left").select("v", F.coalesce("degree", F.lit(0)).alias("degree"))), graph("halfyear", DEG) + "SELECT v, coalesce(degree, 0) AS degree FROM vert LEFT JOIN deg USING (v)")
+add("support_diff", on_both("cells", lambda v, e, p: exact.edge_support(e).join(heavy.heavy_hash(e, p, 1).select("a", "b", "c").distinct().select(F.explode(F.array(*(F.struct(F.col(x).alias("u"), F.col(y).alias("v")) for x, y in exact.PAIRS))).alias("x")).groupBy("x.u", "x.v").agg(F.count("*").alias("seen")), ["u", "v"], "full").select("u", "v", (F.coalesce("support", F.lit(0)) - F.coalesce("seen", F.lit(0))).alias("missed")), 0.4),
+    graph("cells", TRI, SUP, *hash_ctes(1), eps=0.4) + "SELECT u, v, (support - coalesce(seen, 0))::BIGINT AS missed FROM sup FULL JOIN (SELECT x.u AS u, x.v AS v, count(*) AS seen FROM (SELECT unnest([{'u': a, 'v': b}, {'u': a, 'v': c}, {'u': b, 'v': c}]) AS x FROM (SELECT DISTINCT a, b, c FROM hh)) GROUP BY 1, 2) USING (u, v)")
+add("range_bucket_join", on("cells", lambda e: planner.range_buckets(e, [0, 100, 400, 1000, 10**9])), graph("cells") + "SELECT bucket::INT AS bucket, count(*) AS edges FROM e JOIN (VALUES (0, 0, 100), (1, 100, 400), (2, 400, 1000), (3, 1000, 1000000000)) t(bucket, lo, hi) ON u >= lo AND u < hi GROUP BY 1")
+add("salted_wedges", on("windmill", lambda e: planner.salted_wedges(e, 8).groupBy("src").agg(F.count("*").alias("wedges"))), graph("windmill", DEG) + "SELECT v AS src, degree * (degree - 1) // 2 AS wedges FROM deg WHERE degree > 1")
+add("null_safe_diff", lambda s, d: load(s, d, "orders").select("o_orderkey", F.nullif("o_orderstatus", F.lit("P")).alias("x"), F.nullif("o_orderpriority", F.lit("5-LOW")).alias("y")).filter(~F.substring("x", 1, 1).eqNullSafe(F.substring("y", 1, 1))).agg(F.count("*").alias("different")), "SELECT count(*) AS different FROM orders WHERE substr(nullif(o_orderstatus, 'P'), 1, 1) IS DISTINCT FROM substr(nullif(o_orderpriority, '5-LOW'), 1, 1)")
+
+
+def interval_edges(s, d):
+    e = load(s, d, "events").filter("event_type = 'purchase'").select("user_id", "ts", (F.unix_timestamp("ts") / 600).cast("long").alias("slot"))
+    near = e.select(F.col("user_id").alias("y"), F.col("ts").alias("t2"), F.explode(F.array(F.col("slot"), F.col("slot") - 1)).alias("slot"))
+    hit = e.join(near, "slot").filter("t2 > ts AND t2 <= ts + INTERVAL 10 MINUTES AND y <> user_id")
+    return normalise_edges(hit.select("user_id", "y"), "user_id", "y")
+
+
+add("interval_edges", interval_edges, "SELECT DISTINCT least(x.user_id, y.user_id) AS u, greatest(x.user_id, y.user_id) AS v FROM events x JOIN events y ON y.ts > x.ts AND y.ts <= x.ts + INTERVAL 10 MINUTES AND x.user_id <> y.user_id WHERE x.event_type = 'purchase' AND y.event_type = 'purchase'")
+add("asof_previous_event", lambda s, d: load(s, d, "events").select("event_id", F.lag("event_id").over(Window.partitionBy("user_id").orderBy("ts", "event_id")).alias("previous")), "SELECT event_id, lag(event_id) OVER (PARTITION BY user_id ORDER BY ts, event_id) AS previous FROM events")
+
+# --- functions ---------------------------------------------------------------------------------------------------------------
+add("fn_coin", lambda s, d: load(s, d, "supplier").select("s_suppkey", coin(7, tag("t"), "s_suppkey").alias("coin")), f"SELECT s_suppkey, {sql_coin(7, repr('t'), 's_suppkey')} AS coin FROM supplier")
+add("fn_polyhash", lambda s, d: load(s, d, "supplier").select("s_suppkey", *(F.lit(x).cast("long").alias(f"c{i}") for i, x in enumerate((123456789, 987654321, 192837465)))).select("s_suppkey", poly_hash("s_suppkey", "c0", "c1", "c2", 7).alias("bucket")), f"SELECT s_suppkey, {sql_poly_hash('s_suppkey', '123456789', '987654321', '192837465', 7)} AS bucket FROM supplier")
+ADJ = "adj AS (SELECT src AS v, list_sort(list(dst)) AS xs FROM a GROUP BY 1)"
+
+
+def adjacency(e: DataFrame) -> DataFrame:
+    return arcs(e).groupBy(F.col("src").alias("v")).agg(F.array_sort(F.collect_set("dst")).alias("xs"))
+
+
+add("adjacency_lists", on("halfyear", lambda e: adjacency(e).select("v", F.array_join("xs", ",").alias("neighbours"))), graph("halfyear", ADJ) + "SELECT v, array_to_string(xs, ',') AS neighbours FROM adj")
+
+
+def common(e: DataFrame) -> DataFrame:
+    n = adjacency(e)
+    x, y = n.select(F.col("v").alias("u"), F.col("xs").alias("p")), n.select("v", F.col("xs").alias("q"))
+    j = e.join(x, "u").join(y, "v")
+    return j.select("u", "v", F.size(F.array_intersect("p", "q")).cast("long").alias("common"), F.arrays_overlap("p", "q").alias("some"), F.size(F.array_except("p", "q")).cast("long").alias("only_u"))
+
+
+add("fn_array_sets", on("halfyear", common), graph("halfyear", ADJ) + "SELECT e.u, e.v, len(list_intersect(x.xs, y.xs))::BIGINT AS common, list_has_any(x.xs, y.xs) AS some, (len(x.xs) - len(list_intersect(x.xs, y.xs)))::BIGINT AS only_u FROM e JOIN adj x ON x.v = e.u JOIN adj y ON y.v = e.v")
+add("fn_string_url", lambda s, d: load(s, d, "pages").select("page_id", F.regexp_extract("url", "^[a-z]+://([^/?#]+)", 1).alias("host"), F.size(F.regexp_extract_all("html", F.lit('href="([^"]*)"'), F.lit(1))).cast("long").alias("links")), """SELECT page_id, regexp_extract(url, '^[a-z]+://([^/?#]+)', 1) AS host, len(regexp_extract_all(html, 'href="([^"]*)"', 1))::BIGINT AS links FROM pages""")
+add("fn_json", lambda s, d: load(s, d, "events").select("event_id", F.get_json_object("props", "$.k").cast("long").alias("k")).filter("k > 50"), "SELECT event_id, json_extract_string(props, '$.k')::BIGINT AS k FROM events WHERE json_extract_string(props, '$.k')::BIGINT > 50")
+add("fn_dates", lambda s, d: load(s, d, "lineitem").groupBy(F.year("l_shipdate").cast("long").alias("y"), F.date_trunc("month", "l_shipdate").alias("m")).agg(F.count("*").alias("items")), "SELECT year(l_shipdate) AS y, date_trunc('month', l_shipdate)::TIMESTAMP AS m, count(*) AS items FROM lineitem GROUP BY 1, 2")
+add("fn_math_bounds", lambda s, d: s.range(2, 50).select(F.col("id").alias("n"), F.round(F.pow("id", F.lit(0.25)), 9).alias("root"), F.round(F.log("id"), 9).alias("ln"), F.round(F.exp(-F.col("id") / 10), 9).alias("exp"), F.ceil(F.sqrt("id")).alias("up")), "SELECT n::BIGINT AS n, round(pow(n, 0.25), 9) AS root, round(ln(n), 9) AS ln, round(exp(-n / 10), 9) AS exp, ceil(sqrt(n))::BIGINT AS up FROM (SELECT unnest(range(2, 50))::DOUBLE AS n)")
+add("fn_maps", lambda s, d: load(s, d, "events").groupBy("event_type").agg(F.count("*").alias("c")).agg(F.map_from_entries(F.array_sort(F.collect_list(F.struct("event_type", "c")))).alias("m")).select(F.array_join(F.map_keys("m"), ",").alias("keys"), F.element_at("m", F.lit("purchase")).alias("purchases")), "SELECT string_agg(event_type, ',' ORDER BY event_type) AS keys, max(c) FILTER (event_type = 'purchase') AS purchases FROM (SELECT event_type, count(*) AS c FROM events GROUP BY 1)")
+add("fn_bitmap", on("halfyear", lambda e: arcs(e).groupBy("src", F.bitmap_bucket_number("dst").alias("b")).agg(F.bitmap_construct_agg(F.bitmap_bit_position("dst")).alias("m")).groupBy("src").agg(F.sum(F.bitmap_count("m")).alias("degree"))), graph("halfyear", DEG) + "SELECT v AS src, degree FROM deg")
+
+# --- aggregation, windows, sorting -----------------------------------------------------------------------------------------
+add("degrees", on("copurchase", exact.degrees), graph("copurchase", DEG) + "SELECT * FROM deg")
+add("degree_stats", on("copurchase", planner.statistics), graph("copurchase", DEG, "o AS (SELECT CASE WHEN (d1.degree, u) < (d2.degree, e.v) THEN u ELSE e.v END AS lo FROM e JOIN deg d1 ON d1.v = u JOIN deg d2 ON d2.v = e.v)") + "SELECT (SELECT count(*) FROM e) AS edges, count(*) AS vertices, max(degree) AS max_degree, sum(degree * (degree - 1) // 2)::BIGINT AS wedges, (SELECT sum(k * (k - 1) // 2)::BIGINT FROM (SELECT count(*) AS k FROM o GROUP BY lo)) AS forward_wedges FROM deg")
+PER = "per AS (SELECT v, count(*) AS triangles FROM (SELECT unnest([a, b, c]) AS v FROM tri) GROUP BY 1)"
+add("triangles_per_vertex", on("cells", lambda e: exact.local_listing(e).groupBy(F.col("node").alias("v")).agg(F.count("*").alias("triangles"))), graph("cells", TRI, PER) + "SELECT * FROM per")
+add("distinct_triangles", on_both("cells", lambda v, e, p: heavy.heavy_hash(e, p, 1).agg(F.count("*").alias("outputs"), F.count_distinct("a", "b", "c").alias("triangles")), 0.4), graph("cells", *hash_ctes(1), eps=0.4) + "SELECT count(*) AS outputs, count(DISTINCT (a, b, c)) AS triangles FROM hh")
+add("approx_distinct_triangles", on_both("cells", lambda v, e, p: heavy.heavy_hash(e, p, 1).agg(F.approx_count_distinct(F.struct("a", "b", "c"), 0.02).alias("triangles")), 0.4))
+add("support_quantiles", on("cells", lambda e: exact.edge_support(e).agg(*(F.round(F.percentile("support", q), 6).alias(f"p{int(q * 100)}") for q in (0.25, 0.5, 0.9)))), graph("cells", TRI, SUP) + "SELECT " + ", ".join(f"round(quantile_cont(support, {q}), 6) AS p{int(q * 100)}" for q in (0.25, 0.5, 0.9)) + " FROM sup")
+add("message_positions", on("halfyear", lambda e: arcs(e).select("src", "dst", F.row_number().over(Window.partitionBy("src").orderBy("dst")).cast("long").alias("position"))), graph("halfyear") + "SELECT src, dst, row_number() OVER (PARTITION BY src ORDER BY dst) AS position FROM a")
+add("cap_by_window", on("halfyear", lambda e: arcs(e).withColumn("size", F.count("*").over(Window.partitionBy("src"))).filter("size <= 8").select("src", "dst")), graph("halfyear", DEG) + "SELECT src, dst FROM a JOIN deg ON v = src WHERE degree <= 8")
+add("degree_ranks", on("halfyear", lambda e: exact.degrees(e).select("v", F.rank().over(Window.orderBy(F.desc("degree"))).cast("long").alias("rank"), F.dense_rank().over(Window.orderBy(F.desc("degree"))).cast("long").alias("dense"), F.row_number().over(Window.orderBy("degree", "v")).cast("long").alias("place"))), graph("halfyear", DEG) + "SELECT v, rank() OVER (ORDER BY degree DESC) AS rank, dense_rank() OVER (ORDER BY degree DESC) AS dense, row_number() OVER (ORDER BY degree, v) AS place FROM deg")
+add("sliding_edge_counts", lambda s, d: load(s, d, "events").select("event_id", F.count("*").over(Window.partitionBy("user_id").orderBy(F.unix_seconds(F.date_trunc("second", "ts"))).rangeBetween(-3600, 0)).alias("recent")), "SELECT event_id, count(*) OVER (PARTITION BY user_id ORDER BY floor(epoch(ts))::BIGINT RANGE BETWEEN 3600 PRECEDING AND CURRENT ROW) AS recent FROM events")
+add("ntile_groups", on_both("halfyear", lambda v, e: v.select("v", F.ntile(4).over(Window.orderBy("v")).cast("long").alias("part"))), graph("halfyear") + "SELECT v, ntile(4) OVER (ORDER BY v) AS part FROM vert")
+add("top_edges_by_support", on("cells", lambda e: exact.edge_support(e).orderBy(F.desc("support"), "u", "v").limit(10)), graph("cells", TRI, SUP) + "SELECT * FROM sup ORDER BY support DESC, u, v LIMIT 10")
+add("top_vertices", on("cells", lambda e: exact.local_listing(e).groupBy(F.col("node").alias("v")).agg(F.count("*").alias("triangles")).orderBy(F.desc("triangles"), "v").limit(10)), graph("cells", TRI, PER) + "SELECT * FROM per ORDER BY triangles DESC, v LIMIT 10")
+add("topk_neighbours", on("cells", lambda e: exact.edge_support(e).withColumn("r", F.row_number().over(Window.partitionBy("u").orderBy(F.desc("support"), "v"))).filter("r <= 2").select("u", "v", "support")), graph("cells", TRI, SUP) + "SELECT u, v, support FROM sup QUALIFY row_number() OVER (PARTITION BY u ORDER BY support DESC, v) <= 2")
+add("sorted_triangles", on("halfyear", lambda e: exact.triangles(e).orderBy("a", "b", "c")), graph("halfyear", TRI) + LIST)
+add("planned_triangles", on("cells", planner.plan_triangles), graph("cells", TRI) + LIST)
+add("salted_triangles", on("windmill", planner.salted_triangles), graph("windmill", TRI) + LIST)
+
+# --- user-defined functions ----------------------------------------------------------------------------------------------
+add("udtf_params", lambda s, d: udx.parameter_rows(s, [100, 1000]), "SELECT * FROM (VALUES (100::BIGINT, 'buckets', 1.0::DOUBLE), (100, 'sample_cap', 238.0), (1000, 'buckets', 1.0), (1000, 'sample_cap', 1450.0)) t(n, name, value)")
+add("udf_entropy", lambda s, d: udx.grouped_entropy(load(s, d, "lineitem"), "l_returnflag", "l_linestatus"), "SELECT l_returnflag AS grp, round(-sum(p * log2(p)), 6) + 0.0 AS entropy FROM (SELECT l_returnflag, count(*) / sum(count(*)) OVER (PARTITION BY l_returnflag) AS p FROM lineitem GROUP BY l_returnflag, l_linestatus) GROUP BY 1")
+add("grouped_map_kernel", lambda s, d: udx.triangles_per_cell(load(s, d, "customer")), "SELECT c_nationkey AS cell, (count(*) * (count(*) - 1) * (count(*) - 2) // 6)::BIGINT AS triangles FROM customer GROUP BY 1")
+
+# --- streams (batch twins) -------------------------------------------------------------------------------------------------
+HOUR = "(SELECT DISTINCT time_bucket(INTERVAL 1 HOUR, ts) AS start, event_type, user_id FROM events)"
+TUMBLE = f"we AS (SELECT DISTINCT x.start, x.user_id AS u, y.user_id AS v FROM {HOUR} x JOIN {HOUR} y ON x.start = y.start AND x.event_type = y.event_type AND x.user_id < y.user_id)"
+SLIDE_M = "(SELECT DISTINCT time_bucket(INTERVAL 30 MINUTES, ts) - k * INTERVAL 30 MINUTES AS start, event_type, user_id FROM events, (VALUES (0), (1)) t(k))"
+SLIDE = TUMBLE.replace(HOUR, SLIDE_M)
+WT = "SELECT start::TIMESTAMP AS start, count(*) AS triangles FROM (SELECT x.start FROM we x JOIN we y ON x.start = y.start AND x.u = y.u AND x.v < y.v JOIN we z ON z.start = x.start AND z.u = x.v AND z.v = y.v) GROUP BY 1"
+add("tumbling_edges", lambda s, d: stream.window_edges(load(s, d, "events"), "1 hour"), f"WITH {TUMBLE} SELECT start::TIMESTAMP AS start, u, v FROM we")
+add("sliding_edges", lambda s, d: stream.window_edges(load(s, d, "events"), "1 hour", "30 minutes"), f"WITH {SLIDE} SELECT start::TIMESTAMP AS start, u, v FROM we")
+SESSION = "WITH f AS (SELECT {k}, ts, user_id, CASE WHEN ts >= lag(ts) OVER (PARTITION BY {k} ORDER BY ts) + INTERVAL {gap} THEN 1 ELSE 0 END AS cut FROM events), g AS (SELECT *, sum(cut) OVER (PARTITION BY {k} ORDER BY ts ROWS UNBOUNDED PRECEDING) AS sid FROM f) SELECT {k}, min(ts) AS start, max(ts) + INTERVAL {gap} AS finish, {what} FROM g GROUP BY {k}, sid"
+add("session_users", lambda s, d: stream.session_users(load(s, d, "events"), "20 minutes"), SESSION.format(k="event_type", gap="20 MINUTES", what="count(DISTINCT user_id) AS users"))
+add("w13_tumbling_triangles", lambda s, d: stream.window_triangles(load(s, d, "events"), "1 hour"), f"WITH {TUMBLE} {WT}")
+add("w13_sliding_triangles", lambda s, d: stream.window_triangles(load(s, d, "events"), "1 hour", "30 minutes"), f"WITH {SLIDE} {WT}")
+add("w13_session_triangles", lambda s, d: stream.session_users(load(s, d, "events"), "20 minutes").select("event_type", "start", (F.col("users") * (F.col("users") - 1) * (F.col("users") - 2) / 6).cast("long").alias("triangles")), "SELECT event_type, start, (users * (users - 1) * (users - 2) // 6)::BIGINT AS triangles FROM (" + SESSION.format(k="event_type", gap="20 MINUTES", what="count(DISTINCT user_id) AS users") + ")")
+
+# --- workloads: method by family ---------------------------------------------------------------------------------------------
+for w, g in (("w1", "coin"), ("w8", "copurchase"), ("w9", "trade"), ("w16", "quality_lines"), ("w17", "turns")):
+    add({"w16": "w16_induced_triangles", "w17": "w17_closed_form"}.get(w, f"{w}_triangle_count"), on(g, lambda e: counted(exact.triangles(e))), graph(g, TRI) + COUNT if w != "w17" else "SELECT sum(c * (c - 1) * (c - 2) // 6)::BIGINT AS triangles FROM (SELECT count(DISTINCT turn) AS c FROM conversations GROUP BY conv_id)")
+for w, g, eps in (("w1", "coin", 0.3), ("w2", "cohour", 0.3), ("w4", "cells", 0.2), ("w5", "book", 0.3)):
+    add(f"{w}_heavy_sample", on_both(g, lambda v, e, p: heavy.heavy_sample(e, p, 1), eps), graph(g, *sample_ctes(1), eps=eps) + HS)
+for w, g, eps in (("w1", "coin", 0.6), ("w4", "cells", 0.4), ("w5", "book", 0.6)):
+    add(f"{w}_heavy_hash", on_both(g, lambda v, e, p: heavy.heavy_hash(e, p, 1), eps), graph(g, *hash_ctes(1), eps=eps) + HH)
+add("w1_core_trace", core("coin", 0.3, 20, 6, "trace"), core_sql("coin", 0.3, 20, 6, 6) + TRACE)
+add("w2_core_trace", core("cohour", 0.3, 15, 2, "trace"), core_sql("cohour", 0.3, 15, 2, 6) + TRACE)
+add("w2_core_stall", core("cohour", 0.3, 15, 1, "trace"), core_sql("cohour", 0.3, 15, 1, 6) + TRACE)
+for w, g, eps, steps in (("w1", "coin", 0.3, 1), ("w6", "halfyear", 0.4, 1), ("w7", "windmill", 0.2, 1)):
+    add(f"{w}_light_avoid", on_both(g, lambda v, e, p: light.light_avoid(v, e, p, 4)[0], eps), core_sql(g, eps, 0, 4, steps) + CORE)
+for w, g in (("w1", "coin"), ("w6", "halfyear"), ("w10", "document_lines")):
+    add(f"{w}_list", on_both(g, lambda v, e: drivers.list_triangles(v, e, repetitions=1, light=False)), graph(g, TRI) + LIST)
+add("w1_local_listing", on("coin", exact.local_listing), graph("coin", TRI) + "SELECT unnest([a, b, c]) AS node, a, b, c FROM tri")
+LOCAL = "loc AS (SELECT unnest([a, b, c]) AS node, a, b, c FROM tri)"
+add("w1_edge_bound", on("coin", lambda e: measures.edge_bound_check(exact.local_listing(e))), graph("coin", TRI, LOCAL, COVER.format("loc")) + BOUND)
+add("w1_info_ledger", on_both("coin", lambda v, e: measures.information(exact.local_listing(e), v.count())), graph("coin", TRI, LOCAL, COVER.format("loc")) + INFO)
+add("w2_two_hop_rounds", on("cohour", lambda e: exact.degrees(e).agg(F.max("degree").alias("rounds"), F.sum(F.col("degree") * F.col("degree")).alias("words"))), graph("cohour", DEG) + "SELECT max(degree) AS rounds, sum(degree * degree)::BIGINT AS words FROM deg")
+add("w2_support_quantiles", on("cohour", lambda e: exact.algebraic_support(e).agg(*(F.round(F.percentile("support", q), 6).alias(f"p{int(q * 100)}") for q in (0.25, 0.5, 0.9)))), graph("cohour", TRI, SUP) + "SELECT " + ", ".join(f"round(quantile_cont(support, {q}), 6) AS p{int(q * 100)}" for q in (0.25, 0.5, 0.9)) + " FROM sup")
+add("w3_find", on_both("forest", lambda v, e: drivers.find_triangle(v, e, delta=0.5).drop("repetitions")), FREE)
+for q, g in (("w3_is_triangle_free", "part_supplier"), ("w3_forest_is_triangle_free", "forest")):
+    add(q, on(g, lambda e: e.sparkSession.createDataFrame([(exact.triangles(e).isEmpty(),)], "triangle_free boolean")), graph(g, TRI) + "SELECT count(*) = 0 AS triangle_free FROM tri")
+add("w3_open_support_max", on_both("forest", lambda v, e, p: measures.open_support_max(v, e, p, 3), 0.2), graph("forest", PSUP, *x_ctes(3), eps=0.2) + OSM)
+add("w4_closed_form", on("cells", lambda e: counted(exact.triangles(e))), "SELECT sum(c * (c - 1) * (c - 2) // 6)::BIGINT AS triangles FROM (SELECT count(*) AS c FROM customer GROUP BY c_nationkey, c_mktsegment)")
+
+
+def recall_by_eps(v, e):
+    n, rows = v.count(), None
+    for eps in (0.25, 0.4):
+        p = Params(n, eps)
+        r = measures.recall(heavy.heavy_hash(e, p, 1), e, p.threshold).filter("class = 'all'").select(F.lit(eps).alias("eps"), "total", "found")
+        rows = r if rows is None else rows.unionByName(r)
+    return rows
+
+
+add("w4_recall_by_eps", on_both("cells", recall_by_eps), " UNION ALL ".join("(" + graph("cells", TRI, *hash_ctes(1), eps=x) + f"SELECT {x}::DOUBLE AS eps, (SELECT count(*) FROM tri) AS total, (SELECT count(DISTINCT (a, b, c)) FROM hh) AS found)" for x in (0.25, 0.4)))
+add("w4_heavy_only_ablation", on_both("cells", lambda v, e, p: measures.recall(heavy.heavy_hash(e, p, 2), e, p.threshold), 0.4), graph("cells", TRI, SUP, classes("(SELECT threshold FROM par)"), *hash_ctes(2), HIT.format("hh"), eps=0.4) + RECALL)
+add("w4_light_only_ablation", on_both("cells", lambda v, e, p: measures.recall(light.light_avoid(v, e, p, 2)[0], e, p.threshold), 0.4), graph("cells", TRI, SUP, classes("(SELECT threshold FROM par)"), *x_ctes(2), *core_ctes("(SELECT r FROM par)", 1), HIT.format("core"), eps=0.4) + RECALL)
+add("w5_heavy_edges", on_both("book", lambda v, e, p: exact.edge_support(e).filter(F.col("support") >= p.threshold), 0.3), graph("book", TRI, SUP, eps=0.3) + "SELECT sup.* FROM sup, par WHERE support >= threshold")
+add("w6_light_survival", on_both("halfyear", lambda v, e, p: measures.light_survival(v, e, p, [4, 5]), 0.5), survival_sql("halfyear", 0.5, (4, 5)))
+
+
+def rounds_compared(s, d):
+    v, e = vertices_of(s, d, "windmill"), edges_of(s, d, "windmill")
+    p = Params(v.count(), 0.2)
+    out, trace = light.avoid_core(v, e, light.sample_x(v, p, 4), 10)
+    return exact.degrees(e).agg(F.max("degree").alias("two_hop_rounds")).select("two_hop_rounds", F.lit(trace.rounds <= 40).alias("core_within_40"), F.lit(trace.rounds).cast("long").alias("core_rounds"))
+
+
+add("w7_core_rounds_vs_two_hop", rounds_compared)
+add("w7_overflow_sets", on_both("windmill", lambda v, e, p: light.overflow_sets(offers(v, e, p, 4), 10), 0.2), graph("windmill", *x_ctes(4), *core_ctes("10", 1), eps=0.2) + "SELECT j, k FROM ov1")
+add("w8_tripartition", on("copurchase", lambda e: counted(exact.tripartition(e, 4))), graph("copurchase", TRI) + COUNT)
+add("w8_algebraic_count", on("copurchase", exact.algebraic_count), graph("copurchase", TRI) + COUNT)
+add("w8_degree_ordered", on("copurchase", lambda e: exact.triangles(e).groupBy("a").agg(F.count("*").alias("triangles"))), graph("copurchase", TRI) + "SELECT a, count(*) AS triangles FROM tri GROUP BY 1")
+for w, g in (("w8", "copurchase"), ("w10", "document_lines")):
+    add(f"{w}_heavy_light_counts", on_both(g, lambda v, e, p: exact.classify(e, p.threshold).agg(F.count_if("is_heavy").alias("heavy"), F.count_if(~F.col("is_heavy")).alias("light")), 0.4), graph(g, TRI, SUP, classes("(SELECT threshold FROM par)"), eps=0.4) + "SELECT count(*) FILTER (is_heavy) AS heavy, count(*) FILTER (NOT is_heavy) AS light FROM cls")
+add("w8_find", on_both("copurchase", lambda v, e: drivers.find_triangle(v, e, delta=0.3)))
+add("w9_tripartition", on("trade", lambda e: counted(exact.tripartition(e, 5))), graph("trade", TRI) + COUNT)
+add("w9_triangles_per_vertex_type", on("trade", lambda e: exact.local_listing(e).groupBy((F.col("node") % 3).alias("type")).agg(F.count("*").alias("triangles"))), graph("trade", TRI) + "SELECT node % 3 AS type, count(*) AS triangles FROM (SELECT unnest([a, b, c]) AS node FROM tri) GROUP BY 1")
+add("w10_clustering", on("document_lines", clustering), graph("document_lines", TRI, DEG) + CLUSTER)
+add("w11_label_heavy_edges", on_both("labels", lambda v, e, p: exact.algebraic_support(e).filter(F.col("support") >= p.threshold), 0.6), graph("labels", TRI, SUP, eps=0.6) + "SELECT sup.* FROM sup, par WHERE support >= threshold")
+add("w11_knn_triangles", lambda s, d: exact.triangles(udx.knn_edges(load(s, d, "embeddings"), 5)))
+add("w12_host_local_listing", on("hosts", exact.local_listing), graph("hosts", TRI) + "SELECT unnest([a, b, c]) AS node, a, b, c FROM tri")
+add("w12_link_triangle_free_vertices", on_both("links", exact.triangle_free_vertices), graph("links", TRI) + "SELECT v FROM vert WHERE v NOT IN (SELECT unnest([a, b, c]) FROM tri)")
+for q, g in (("w14_empty", "empty"), ("w14_single_triangle", "triangle"), ("w14_complete", "complete"), ("w14_cycle", "cycle"), ("w14_star", "star"), ("w14_path", "path"), ("w14_one_edge", "one_edge")):
+    add(q, on(g, exact.triangles), graph(g, TRI) + LIST)
+add("w15_find", on_both("overlap", lambda v, e: drivers.find_triangle(v, e, delta=0.5).drop("repetitions")), FREE)
