@@ -71,9 +71,9 @@ def links(fps: DataFrame, cell_limit: int = CELL_LIMIT) -> DataFrame:
     counts = F.shiftleft(both, 1).bitwiseOR(one)  # 0, 1 or 2 in each two-bit field
     masks = [(i, j, ((0xFFFF << 16 * i | 0xFFFF << 16 * j) + 2**63) % 2**64 - 2**63) for i in range(4) for j in range(i + 1, 4)]
     cells = fps.select("fp", counts.alias("v")).select("fp", "v", F.explode(F.array(*(F.struct(F.lit(4 * i + j).alias("pair"), F.col("v").bitwiseAND(F.lit(m)).alias("cell")) for i, j, m in masks))).alias("c")).select("fp", "v", "c.pair", "c.cell")
-    cells = materialise(cells, "simhash-cells")
+    cells = materialise(cells, "simhash-cells", "snappy")
     full = cells.groupBy("pair", "cell").agg(F.count("*").alias("n")).filter("n > 1")
-    shared = materialise(join_hot(cells, full, ["pair", "cell"], "n", cells.count()), "simhash-shared")
+    shared = materialise(join_hot(cells, full, ["pair", "cell"], "n", cells.count()), "simhash-shared", "snappy")
     left = shared.filter(F.col("n") <= cell_limit).select("pair", "cell", F.col("fp").alias("a"), F.col("v").alias("va"))
     right = shared.filter(F.col("n") <= cell_limit).select("pair", "cell", F.col("fp").alias("b"), F.col("v").alias("vb"))
     apart = F.expr(" + ".join(f"abs((shiftrightunsigned(va, {s}) & 3) - (shiftrightunsigned(vb, {s}) & 3))" for s in range(0, 64, 2)))
@@ -88,7 +88,7 @@ def links(fps: DataFrame, cell_limit: int = CELL_LIMIT) -> DataFrame:
 
 def group_by_fingerprint(fps: DataFrame, order: str, cell_limit: int = CELL_LIMIT) -> DataFrame:
     """For a table with fp and an id column: rows (fp, n, lead) where lead is the smallest id of the whole component."""
-    nodes = materialise(fps.groupBy("fp").agg(F.min(order).alias("own"), F.count("*").alias("n")), "simhash-nodes")
+    nodes = materialise(fps.groupBy("fp").agg(F.min(order).alias("own"), F.count("*").alias("n")), "simhash-nodes", "snappy")
     roots = components(links(nodes.select("fp"), cell_limit), "simhash-components")
     rooted = nodes.join(roots.withColumnRenamed("node", "fp"), "fp", "left").withColumn("root", F.coalesce("root", "fp"))
     leads = rooted.groupBy("root").agg(F.min("own").alias("lead"))

@@ -5,7 +5,7 @@ beyond what any grid can separate from chance, so the same shingle hashes also g
 share a band are compared on their whole shingle sets. Texts with equal sets are one node.
 
 Bands of at most ``pair_limit`` nodes are compared in full. Larger ones are compared with two leaders (the node that meets
-most others, and a random one); of the nodes like neither, one for each component found so far is dealt again by further minimum hashes, three ways each, level
+most others, and a random one); of the nodes like neither, one for each leader linked to elsewhere is dealt again by further minimum hashes, three ways each, level
 by level, so dissimilar texts that share a frequent passage separate without ever being paired. A pair of similarity 0.8
 shares one of the 20 bands with probability 0.9996. Links are exact (no similarity is estimated); recall is not.
 
@@ -24,7 +24,7 @@ from pyspark.sql import functions as F
 from trilist.llm.common import K1, K2, bounded_batches, components, discard, join_hot, materialise, packed, release
 from trilist.llm.simhash import links
 
-BANDS, ROWS, LEVELS, WAYS, PAIR_LIMIT = 20, 5, 3, 3, 4
+BANDS, ROWS, LEVELS, WAYS, PAIR_LIMIT = 20, 5, 2, 3, 4
 
 
 def shingle_hashes(text: str | None, width: int):
@@ -115,37 +115,34 @@ def band_links(docs: DataFrame, nodes: DataFrame, width: int, similarity: float)
     """Edges (a, b) between nodes(node, lead, bands, spare) of at least that similarity that share a band."""
     one = nodes.filter("bands IS NOT NULL").select("node", F.posexplode("bands").alias("band", "key")).select("node", F.xxhash64("band", "key").alias("g"))
     meet = one.groupBy("g").agg(F.count("*").alias("size")).filter("size > 1")
-    groups = materialise(join_hot(one, meet, ["g"], "size", one.count()), "similar-groups")
+    groups = materialise(join_hot(one, meet, ["g"], "size", one.count()), "similar-groups", "snappy")
     wanted = groups.select("node").distinct().join(nodes.select("node", "lead.k1", "lead.k2"), "node").select("node", F.col("k1").alias(K1), F.col("k2").alias(K2))
     sets = materialise(shingle_sets(docs, wanted, width), "similar-sets").groupBy("node").agg(F.first("items").alias("items"))
     release(docs.sparkSession)
     rank = nodes.select("node", "spare")
-    busy = materialise(groups.groupBy("node").agg(F.sum("size").alias("meets")), "similar-busy")
+    busy = materialise(groups.groupBy("node").agg(F.sum("size").alias("meets")), "similar-busy", "snappy")
     found = None
     for level in range(LEVELS + 1):
         small = groups.filter(F.col("size") <= PAIR_LIMIT)
         pairs = small.select("g", F.col("node").alias("a")).join(small.select("g", F.col("node").alias("b")), "g").filter("a < b").select("a", "b")
         large = groups.filter(F.col("size") > PAIR_LIMIT)
         leaders = large.join(busy, "node").groupBy("g").agg(F.max_by("node", F.struct("meets", "node")).alias("l1"), F.min_by("node", F.struct(F.xxhash64("g", "node"), "node")).alias("l2"), F.count("*").alias("n"))
-        led = materialise(join_hot(large.select("g", "node"), leaders, ["g"], "n", max(1, large.count())), f"similar-led-{level}")
+        led = materialise(join_hot(large.select("g", "node"), leaders, ["g"], "n", max(1, large.count())), f"similar-led-{level}", "snappy")
         tries = led.select("g", "node", F.explode(F.array("l1", "l2")).alias("l")).filter("node <> l")
         asked = pairs.unionByName(tries.select(F.least("node", "l").alias("a"), F.greatest("node", "l").alias("b"))).distinct()
-        good = materialise(similar_pairs(asked, sets, similarity), f"similar-links-{level}")
+        good = materialise(similar_pairs(asked, sets, similarity), f"similar-links-{level}", "snappy")
         found = good if found is None else found.unionByName(good)
         if level == LEVELS:
             break
         linked = tries.join(good.unionByName(good.select(F.col("b").alias("a"), F.col("a").alias("b"))).select(F.col("a").alias("node"), F.col("b").alias("l")), ["node", "l"], "left_semi").select("g", "node")
         rest = led.filter("node <> l1 AND node <> l2").select("g", "node").join(linked.distinct(), ["g", "node"], "left_anti")
-        rest = materialise(rest, f"similar-rest-{level}")
-        if rest.isEmpty():
-            break
-        # what is linked by now needs no more links inside its component: one member of it speaks for it in each group
-        roots = components(found, f"similar-roots-{level}")
-        rest = rest.join(roots, "node", "left").groupBy("g", F.coalesce("root", "node").alias("root")).agg(F.min_by("node", F.struct(F.xxhash64("g", "node"), "node")).alias("node"))
-        again = rest.join(rank, "node").select("node", "g", F.explode(F.transform(F.sequence(F.lit(0), F.lit(WAYS - 1)), lambda i: F.xxhash64("g", i, F.get("spare", i + level * WAYS)))).alias("sub")).select("node", F.col("sub").alias("g"))
-        again = materialise(again, f"similar-again-{level}")
-        spent = [groups, led, rest, roots, again]
-        groups = materialise(again.join(again.groupBy("g").agg(F.count("*").alias("size")).filter("size > 1"), "g").select("g", "node", "size"), f"similar-next-{level}")
+        # nodes linked to the same leader need no more links among themselves: one speaks for them in each group
+        ends = good.unionByName(good.select(F.col("b").alias("a"), F.col("a").alias("b"))).groupBy(F.col("a").alias("node")).agg(F.min("b").alias("to"))
+        rest = rest.join(ends, "node", "left").groupBy("g", F.least("node", F.coalesce("to", "node")).alias("to")).agg(F.min_by("node", F.struct(F.xxhash64("g", "node"), "node")).alias("node"))
+        ways = F.transform(F.sequence(F.lit(0), F.lit(WAYS - 1)), lambda i: F.xxhash64("g", i, F.get("spare", i + level * WAYS)))
+        again = rest.join(rank, "node").select("node", F.explode(ways).alias("g"))
+        spent = [groups, led]
+        groups = materialise(again.join(again.groupBy("g").agg(F.count("*").alias("size")).filter("size > 1"), "g").select("g", "node", "size"), f"similar-next-{level}", "snappy")
         discard(*spent)
         if groups.isEmpty():
             break
@@ -161,7 +158,7 @@ def near_duplicates(docs: DataFrame, width: int = 5, similarity: float = 0.8) ->
     order = F.struct(F.col("doc_id").isNull().alias("nul"), F.col("doc_id").alias("id"), F.col(K1).alias("k1"), F.col(K2).alias("k2"))
     nodes = materialise(sketch.groupBy("node").agg(F.min(order).alias("lead"), F.first("fp").alias("fp"), F.first("bands").alias("bands"), F.first("spare").alias("spare")), "similar-nodes")
     release(docs.sparkSession)
-    heads = materialise(nodes.groupBy("fp").agg(F.min("node").alias("head"), F.count("*").alias("n")), "similar-heads")
+    heads = materialise(nodes.groupBy("fp").agg(F.min("node").alias("head"), F.count("*").alias("n")), "similar-heads", "snappy")
     same = nodes.join(heads.filter("n > 1"), "fp").select(F.col("head").alias("a"), F.col("node").alias("b")).filter("a <> b")
     close = links(heads.select("fp"))
     close = close.join(heads.select(F.col("fp").alias("a"), F.col("head").alias("x")), "a").join(heads.select(F.col("fp").alias("b"), F.col("head").alias("y")), "b").select(F.col("x").alias("a"), F.col("y").alias("b"))
@@ -169,7 +166,7 @@ def near_duplicates(docs: DataFrame, width: int = 5, similarity: float = 0.8) ->
     roots = components(edges, "similar-components")
     rooted = nodes.select("node", "lead").join(roots, "node", "left").withColumn("root", F.coalesce("root", "node"))
     keep = rooted.groupBy("root").agg(F.min("lead").alias("lead")).select(F.col("lead.k1").alias(K1), F.col("lead.k2").alias(K2), F.lit(True).alias("stays"))
-    keep = materialise(keep, "similar-keep")
+    keep = materialise(keep, "similar-keep", "snappy")
     discard(sketch, nodes, heads, roots)
     release(docs.sparkSession)
     # rows with equal keys are equal in doc_id and text: the join brings them together, and one of them stays
