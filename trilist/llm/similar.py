@@ -127,6 +127,7 @@ def band_links(docs: DataFrame, nodes: DataFrame, width: int, similarity: float)
         pairs = small.select("g", F.col("node").alias("a")).join(small.select("g", F.col("node").alias("b")), "g").filter("a < b").select("a", "b")
         large = groups.filter(F.col("size") > PAIR_LIMIT)
         leaders = large.join(busy, "node").groupBy("g").agg(F.max_by("node", F.struct("meets", "node")).alias("l1"), F.min_by("node", F.struct(F.xxhash64("g", "node"), "node")).alias("l2"), F.count("*").alias("n"))
+        leaders = materialise(leaders, f"similar-leaders-{level}", "snappy")
         led = materialise(join_hot(large.select("g", "node"), leaders, ["g"], "n", max(1, large.count())), f"similar-led-{level}", "snappy")
         tries = led.select("g", "node", F.explode(F.array("l1", "l2")).alias("l")).filter("node <> l")
         asked = pairs.unionByName(tries.select(F.least("node", "l").alias("a"), F.greatest("node", "l").alias("b"))).distinct()
@@ -140,8 +141,8 @@ def band_links(docs: DataFrame, nodes: DataFrame, width: int, similarity: float)
         ends = good.unionByName(good.select(F.col("b").alias("a"), F.col("a").alias("b"))).groupBy(F.col("a").alias("node")).agg(F.min("b").alias("to"))
         rest = rest.join(ends, "node", "left").groupBy("g", F.least("node", F.coalesce("to", "node")).alias("to")).agg(F.min_by("node", F.struct(F.xxhash64("g", "node"), "node")).alias("node"))
         ways = F.transform(F.sequence(F.lit(0), F.lit(WAYS - 1)), lambda i: F.xxhash64("g", i, F.get("spare", i + level * WAYS)))
-        again = rest.join(rank, "node").select("node", F.explode(ways).alias("g"))
-        spent = [groups, led]
+        again = materialise(rest.join(rank, "node").select("node", F.explode(ways).alias("g")), f"similar-again-{level}", "snappy")
+        spent = [groups, leaders, led, again]
         groups = materialise(again.join(again.groupBy("g").agg(F.count("*").alias("size")).filter("size > 1"), "g").select("g", "node", "size"), f"similar-next-{level}", "snappy")
         discard(*spent)
         if groups.isEmpty():
