@@ -67,7 +67,7 @@ def test_offers_are_asymmetric(spark, sf):
     assert sizes.get((0, 1)) == 1 and (1, 0) not in sizes
 
 
-@pytest.mark.parametrize(("name", "eps", "r", "seed"), [("coin", 0.3, 20, 5), ("coin", 0.3, 30, 6), ("windmill", 0.2, 10, 4)])
+@pytest.mark.parametrize(("name", "eps", "r", "seed"), [("coin", 0.3, 20, 4), ("coin", 0.3, 30, 7), ("windmill", 0.2, 10, 4)])
 def test_core_lists_all_open_triangles_within_its_bounds(spark, name, eps, r, seed):
     v, e = vertices_of(spark, SF01, name), edges_of(spark, SF01, name).cache()
     p = Params(v.count(), eps)

@@ -142,18 +142,18 @@ def core_sql(g: str, eps: float, r: float, seed: int, steps: int) -> str:
 
 CORE, TRACE = "SELECT * FROM core", "SELECT * FROM trace"
 add("avoid_core", core("halfyear", 0.2, 0, 3, "out"), core_sql("halfyear", 0.2, 0, 3, 1) + CORE)
-add("avoid_core_small_r", core("coin", 0.3, 20, 5, "out"), core_sql("coin", 0.3, 20, 5, 6) + CORE)
-add("core_iteration_trace", core("coin", 0.3, 20, 5, "trace"), core_sql("coin", 0.3, 20, 5, 6) + TRACE)
-add("active_shrinkage", lambda s, d: core("coin", 0.3, 20, 5, "shrink")(s, d).select("iteration", "active", F.round((F.col("active") - F.col("settled")) / F.col("active"), 6).alias("unsettled_share"), F.lag("active").over(Window.orderBy("iteration")).alias("before")), core_sql("coin", 0.3, 20, 5, 6) + "SELECT iteration, active, round((active - settled) / active, 6)::DOUBLE AS unsettled_share, lag(active) OVER (ORDER BY iteration) AS before FROM trace")
+add("avoid_core_small_r", core("coin", 0.3, 20, 4, "out"), core_sql("coin", 0.3, 20, 4, 6) + CORE)
+add("core_iteration_trace", core("coin", 0.3, 20, 4, "trace"), core_sql("coin", 0.3, 20, 4, 6) + TRACE)
+add("active_shrinkage", lambda s, d: core("coin", 0.3, 20, 4, "shrink")(s, d).select("iteration", "active", F.round((F.col("active") - F.col("settled")) / F.col("active"), 6).alias("unsettled_share"), F.lag("active").over(Window.orderBy("iteration")).alias("before")), core_sql("coin", 0.3, 20, 4, 6) + "SELECT iteration, active, round((active - settled) / active, 6)::DOUBLE AS unsettled_share, lag(active) OVER (ORDER BY iteration) AS before FROM trace")
 for part, cte in (("core_small_offers", "oa1"), ("core_settled_overflow", "ob1")):
 
     def half(v, e, p, part=part):
-        nx = light.x_neighbourhoods(e, light.sample_x(v, p, 5))
+        nx = light.x_neighbourhoods(e, light.sample_x(v, p, 4))
         sets = light.offer_sets(e, nx, v)
         over = light.overflow_sets(sets.groupBy("j", "k").agg(F.count("*").alias("size")), 20)
         return light.close_small(sets, over, e) if part == "core_small_offers" else light.close_overflow(over, light.settled(v, over, 20), e, v)
 
-    add(part, on_both("coin", half, 0.3), core_sql("coin", 0.3, 20, 5, 1) + f"SELECT * FROM {cte}")
+    add(part, on_both("coin", half, 0.3), core_sql("coin", 0.3, 20, 4, 1) + f"SELECT * FROM {cte}")
 add("core_stall", core("coin", 0.25, 3, 2, "stall"))
 add("ledger_avoid_core", core("windmill", 0.2, 10, 4, "ledger"))
 add("light_avoid", on_both("halfyear", lambda v, e, p: light.light_avoid(v, e, p, 3)[0], 0.2), core_sql("halfyear", 0.2, 0, 3, 1) + CORE)
@@ -393,9 +393,9 @@ for w, g, eps in (("w1", "coin", 0.3), ("w2", "cohour", 0.3), ("w4", "cells", 0.
     add(f"{w}_heavy_sample", on_both(g, lambda v, e, p: heavy.heavy_sample(e, p, 1), eps), graph(g, *sample_ctes(1), eps=eps) + HS)
 for w, g, eps in (("w1", "coin", 0.6), ("w4", "cells", 0.4), ("w5", "book", 0.6)):
     add(f"{w}_heavy_hash", on_both(g, lambda v, e, p: heavy.heavy_hash(e, p, 1), eps), graph(g, *hash_ctes(1), eps=eps) + HH)
-add("w1_core_trace", core("coin", 0.3, 20, 6, "trace"), core_sql("coin", 0.3, 20, 6, 6) + TRACE)
-add("w2_core_trace", core("cohour", 0.3, 15, 2, "trace"), core_sql("cohour", 0.3, 15, 2, 6) + TRACE)
-add("w2_core_stall", core("cohour", 0.3, 15, 1, "trace"), core_sql("cohour", 0.3, 15, 1, 6) + TRACE)
+add("w1_core_trace", core("coin", 0.3, 20, 10, "trace"), core_sql("coin", 0.3, 20, 10, 6) + TRACE)
+add("w2_core_trace", core("cohour", 0.3, 15, 8, "trace"), core_sql("cohour", 0.3, 15, 8, 6) + TRACE)
+add("w2_core_stall", core("cohour", 0.3, 15, 3, "trace"), core_sql("cohour", 0.3, 15, 3, 6) + TRACE)
 for w, g, eps, steps in (("w1", "coin", 0.3, 1), ("w6", "halfyear", 0.4, 1), ("w7", "windmill", 0.2, 1)):
     add(f"{w}_light_avoid", on_both(g, lambda v, e, p: light.light_avoid(v, e, p, 4)[0], eps), core_sql(g, eps, 0, 4, steps) + CORE)
 for w, g in (("w1", "coin"), ("w6", "halfyear"), ("w10", "document_lines")):
