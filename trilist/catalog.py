@@ -147,13 +147,14 @@ add("core_iteration_trace", core("coin", 0.3, 20, 4, "trace"), core_sql("coin",
 add("active_shrinkage", lambda s, d: core("coin", 0.3, 20, 4, "shrink")(s, d).select("iteration", "active", F.round((F.col("active") - F.col("settled")) / F.col("active"), 6).alias("unsettled_share"), F.lag("active").over(Window.orderBy("iteration")).alias("before")), core_sql("coin", 0.3, 20, 4, 6) + "SELECT iteration, active, round((active - settled) / active, 6)::DOUBLE AS unsettled_share, lag(active) OVER (ORDER BY iteration) AS before FROM trace")
 for part, cte in (("core_small_offers", "oa1"), ("core_settled_overflow", "ob1")):
 
-    def half(v, e, p, part=part):
+    def half(v, e, p, part=part, r=20):
         nx = light.x_neighbourhoods(e, light.sample_x(v, p, 4))
         sets = light.offer_sets(e, nx, v)
-        over = light.overflow_sets(sets.groupBy("j", "k").agg(F.count("*").alias("size")), 20)
-        return light.close_small(sets, over, e) if part == "core_small_offers" else light.close_overflow(over, light.settled(v, over, 20), e, v)
+        over = light.overflow_sets(sets.groupBy("j", "k").agg(F.count("*").alias("size")), r)
+        return light.close_small(sets, over, e) if part == "core_small_offers" else light.close_overflow(over, light.settled(v, over, r), e, v)
 
-    add(part, on_both("coin", half, 0.3), core_sql("coin", 0.3, 20, 4, 1) + f"SELECT * FROM {cte}")
+    g, eps, r = ("coin", 0.3, 20) if part == "core_small_offers" else ("windmill", 0.2, 10)
+    add(part, on_both(g, lambda v, e, p, f=half, r=r: f(v, e, p, r=r), eps), core_sql(g, eps, r, 4, 1) + f"SELECT * FROM {cte}")
 add("core_stall", core("coin", 0.25, 3, 2, "stall"))
 add("ledger_avoid_core", core("windmill", 0.2, 10, 4, "ledger"))
 add("light_avoid", on_both("halfyear", lambda v, e, p: light.light_avoid(v, e, p, 3)[0], 0.2), core_sql("halfyear", 0.2, 0, 3, 1) + CORE)
