@@ -145,7 +145,9 @@ def tripartition_keys(edges: DataFrame, parts: int, seed: int = 0) -> DataFrame:
 def algebraic_support(edges: DataFrame) -> DataFrame:
     """(A^2 masked by A): counts only, as sums of products over the joined coordinates."""
     a = arcs(edges).withColumn("x", F.lit(1))
-    square = a.select(F.col("src").alias("u"), F.col("dst").alias("k"), "x").join(a.select(F.col("src").alias("k"), F.col("dst").alias("v"), F.col("x").alias("y")), "k").filter("u < v").groupBy("u", "v").agg(F.sum(F.col("x") * F.col("y")).alias("support"))
+    walks = a.select(F.col("src").alias("u"), F.col("dst").alias("k"), "x").join(a.select(F.col("src").alias("k"), F.col("dst").alias("v"), F.col("x").alias("y")), "k").filter("u < v")
+    # the mask comes before the sum: only products at edges are ever shuffled for it
+    square = walks.join(edges, ["u", "v"], "left_semi").groupBy("u", "v").agg(F.sum(F.col("x") * F.col("y")).alias("support"))
     return edges.join(square, ["u", "v"], "left").select("u", "v", F.coalesce("support", F.lit(0)).alias("support"))
 
 
