@@ -68,7 +68,7 @@ def listing_bound(spark, ns: list[int]) -> DataFrame:
     rows = spark.createDataFrame([(x,) for x in ns], "n long").withColumn("triples", n * (n - 1) * (n - 2) / 6)
     bits = F.lit(ROOT) * F.pow(F.col("triples") / (16 * n), F.lit(2 / 3)) * F.lit(TAIL)
     out = rows.withColumn("information", bits).withColumn("transcript", F.greatest(F.lit(0.0), bits - (n - 1)))
-    return out.select("n", F.round("information", 6).alias("information"), F.round("transcript", 6).alias("transcript"), F.round(F.col("transcript") / ((n - 1) * F.ceil(F.log2(n))), 9).alias("rounds"))
+    return out.select("n", F.round("information", 4).alias("information"), F.round("transcript", 4).alias("transcript"), F.round(F.col("transcript") / ((n - 1) * F.ceil(F.log2(n))), 9).alias("rounds"))
 
 
 def local_bound(spark, ns: list[int]) -> DataFrame:
@@ -76,7 +76,7 @@ def local_bound(spark, ns: list[int]) -> DataFrame:
     n = F.col("n").cast("double")
     rows = spark.createDataFrame([(x,) for x in ns], "n long").withColumn("information", n * (n - 1) / 32 * F.lit(TAIL))
     out = rows.withColumn("transcript", F.greatest(F.lit(0.0), F.col("information") - (n - 1)))
-    return out.select("n", F.round("information", 6).alias("information"), F.round("transcript", 6).alias("transcript"), F.round(F.col("transcript") / ((n - 1) * F.ceil(F.log2(n))), 9).alias("rounds"), ((n - 1) * (n - 2) / 16).alias("expected_local"))
+    return out.select("n", F.round("information", 4).alias("information"), F.round("transcript", 4).alias("transcript"), F.round(F.col("transcript") / ((n - 1) * F.ceil(F.log2(n))), 9).alias("rounds"), ((n - 1) * (n - 2) / 16).alias("expected_local"))
 
 
 def coin_expectations(spark, ns: list[int]) -> DataFrame:
