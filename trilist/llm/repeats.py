@@ -20,10 +20,10 @@ from __future__ import annotations
 from collections.abc import Iterator
 
 import pyarrow as pa
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from trilist.llm.common import K1, K2, bounded_batches, join_hot, materialise, read_table, release, with_row_key
+from trilist.llm.common import K1, K2, bounded_batches, discard, join_hot, materialise, read_table, release, with_row_key
 
 DEPTH, GRAM, STRETCH = 400, 48, 32
 BLOCK = 1 << 21
@@ -184,23 +184,31 @@ def repeated_ranges(docs: DataFrame, depth: int = DEPTH, gram: int = GRAM) -> Da
     """For docs with a row key: rows (key, ranges), the byte ranges [start, end) of all repeated windows."""
     spark = docs.sparkSession
     anchors = materialise(anchor_rows(docs, depth, gram), "repeats-anchors")
-    distinct = anchors.groupBy("ah", "rid").agg(F.count("*").alias("m"), *(F.first(c).alias(c) for c in (K1, K2, "p", "low", "high")))
-    held = materialise(distinct.withColumn("alike", F.count("*").over(Window.partitionBy("ah"))).filter("alike > 1 OR m > 1"), "repeats-regions")
+    total = anchors.count()
+    distinct = materialise(anchors.groupBy("ah", "rid").agg(F.count("*").alias("m"), *(F.first(c).alias(c) for c in (K1, K2, "p", "low", "high"))), "repeats-distinct")
+    # anchors with two regions or more; a frequent anchor meets its regions without being dealt to one task
+    mixed_anchors = anchors.groupBy("ah").agg(F.count("*").alias("n"), (F.min("rid") != F.max("rid")).alias("alike")).filter("alike")
+    held = join_hot(distinct, mixed_anchors, ["ah"], "n", total, how="left")
+    held = materialise(held.withColumn("alike", F.coalesce("alike", F.lit(False))).filter("alike OR m > 1").drop("n"), "repeats-regions")
+    discard(distinct)
     release(spark)
-    regions = materialise(cut_regions(docs, held.filter("alike > 1"), depth), "repeats-bodies")
+    regions = materialise(cut_regions(docs, held.filter("alike"), depth), "repeats-bodies")
     release(spark)
-    same = Window.partitionBy("ah", "s", "core")
-    dealt = stretch_rows(regions, depth).withColumn("total", F.sum("m").over(same)).filter("total > 1")
-    dealt = dealt.withColumn("one", F.min("whole").over(same) == F.max("whole").over(same))
-    stretches = materialise(dealt.select("ah", "rid", "m", "lo", "hi", "one"), "repeats-stretches")
-    windows = window_rows(regions, stretches.filter("NOT one"), depth)
-    equal = windows.withColumn("total", F.sum("m").over(Window.partitionBy("ah", "o", "wh"))).filter("total > 1 AND m = 1")
-    found = equal.select("ah", "rid", F.col("o").alias("lo"), F.col("o").alias("hi")).unionByName(stretches.filter("one AND m = 1").select("ah", "rid", "lo", "hi"))
+    dealt = materialise(stretch_rows(regions, depth), "repeats-dealt")
+    same = dealt.groupBy("ah", "s", "core").agg(F.sum("m").alias("total"), (F.min("whole") == F.max("whole")).alias("one"), F.count("*").alias("n")).filter("total > 1")
+    stretches = join_hot(dealt, same, ["ah", "s", "core"], "n", dealt.count())
+    stretches = materialise(stretches.select("ah", "rid", "m", "lo", "hi", "one"), "repeats-stretches")
+    discard(dealt)
+    windows = materialise(window_rows(regions, stretches.filter("NOT one"), depth), "repeats-windows")
+    equal = windows.groupBy("ah", "o", "wh").agg(F.sum("m").alias("total"), F.count("*").alias("n")).filter("total > 1")
+    alone = join_hot(windows.filter("m = 1").drop("m"), equal, ["ah", "o", "wh"], "n", windows.count())
+    found = alone.select("ah", "rid", F.col("o").alias("lo"), F.col("o").alias("hi")).unionByName(stretches.filter("one AND m = 1").select("ah", "rid", "lo", "hi"))
     partly = found.groupBy("ah", "rid").agg(F.lit(1).cast("long").alias("m"), F.collect_list(F.struct("lo", "hi")).alias("spans"))
     wholly = held.filter("m > 1").select("ah", "rid", "m", F.array(F.struct(F.col("low").alias("lo"), F.col("high").alias("hi"))).alias("spans"))
     result = materialise(partly.unionByName(wholly), "repeats-result")
     release(spark)
-    hits = join_hot(anchors.select(K1, K2, "p", "ah", "rid"), result, ["ah", "rid"], "m", anchors.count())
+    discard(windows, regions)
+    hits = join_hot(anchors.select(K1, K2, "p", "ah", "rid"), result, ["ah", "rid"], "m", total)
     ranges = F.transform("spans", lambda x: F.struct((F.col("p") - x["hi"]).alias("s"), (F.col("p") - x["lo"] + depth).alias("e")))
     return materialise(hits.select(K1, K2, ranges.alias("r")).groupBy(K1, K2).agg(F.flatten(F.collect_list("r")).alias("ranges")), "repeats-ranges")
 
