@@ -104,6 +104,23 @@ def join_hot(left: DataFrame, right: DataFrame, keys: list[str], weight: str, to
     return here.unionByName(rest)
 
 
+def join_dealt(left: DataFrame, right: DataFrame, key: str, total: int, counted: DataFrame | None = None, share: float = 0.001) -> DataFrame:
+    """Join left with right, one wide row per key in right, each frequent key of left dealt over several tasks.
+
+    A key with more than share of the rows goes in parts of that many rows, and its row of right is copied once a part,
+    so right grows by at most 2/share rows; only the names and parts of these keys (at most 1/share) are broadcast.
+    counted: a smaller table with the same keys as left, to count them on.
+    """
+    limit = max(1, int(total * share))
+    hot = (left if counted is None else counted).groupBy(key).agg(F.count("*").alias("n")).filter(F.col("n") > limit)
+    hot = F.broadcast(hot.select(key, F.ceil(F.col("n") / limit).cast("int").alias("parts")))
+    parts = F.coalesce("parts", F.lit(1))
+    others = [c for c in left.columns if c != key and dict(left.dtypes)[c] != "binary"]
+    dealt = left.join(hot, key, "left").withColumn("part", F.pmod(F.xxhash64(*others), parts).cast("int")).drop("parts")
+    copied = right.join(hot, key, "left").withColumn("part", F.explode(F.sequence(F.lit(0), parts - 1))).drop("parts")
+    return dealt.join(copied, [key, "part"]).drop("part")
+
+
 def components(edges: DataFrame, tag: str = "components", limit: int = 60) -> DataFrame:
     """Connected components of edges(a, b): rows (node, root) with root the smallest node of the component.
 

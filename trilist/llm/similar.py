@@ -21,7 +21,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from trilist.llm.common import K1, K2, bounded_batches, components, discard, join_hot, materialise, packed, release
+from trilist.llm.common import K1, K2, bounded_batches, components, discard, join_dealt, join_hot, materialise, packed, release
 from trilist.llm.simhash import links
 
 BANDS, ROWS, LEVELS, WAYS, PAIR_LIMIT = 20, 5, 2, 3, 4
@@ -107,7 +107,9 @@ def similar_pairs(pairs: DataFrame, sets: DataFrame, similarity: float) -> DataF
                 keep.append(both >= similarity * (len(p) + len(q) - both))
             yield b.filter(pa.array(keep, pa.bool_())).select(["a", "b"])
 
-    full = pairs.join(sets.select(F.col("node").alias("a"), F.col("items").alias("x")), "a").join(sets.select(F.col("node").alias("b"), F.col("items").alias("y")), "b")
+    total = max(1, pairs.count())
+    full = join_dealt(pairs, sets.select(F.col("node").alias("a"), F.col("items").alias("x")), "a", total)
+    full = join_dealt(full, sets.select(F.col("node").alias("b"), F.col("items").alias("y")), "b", total, pairs)
     return full.select("a", "b", "x", "y").mapInArrow(run, "a string, b string")
 
 
@@ -130,7 +132,7 @@ def band_links(docs: DataFrame, nodes: DataFrame, width: int, similarity: float)
         leaders = materialise(leaders, f"similar-leaders-{level}", "snappy")
         led = materialise(join_hot(large.select("g", "node"), leaders, ["g"], "n", max(1, large.count())), f"similar-led-{level}", "snappy")
         tries = led.select("g", "node", F.explode(F.array("l1", "l2")).alias("l")).filter("node <> l")
-        asked = pairs.unionByName(tries.select(F.least("node", "l").alias("a"), F.greatest("node", "l").alias("b"))).distinct()
+        asked = materialise(pairs.unionByName(tries.select(F.least("node", "l").alias("a"), F.greatest("node", "l").alias("b"))).distinct(), f"similar-asked-{level}", "snappy")
         good = materialise(similar_pairs(asked, sets, similarity), f"similar-links-{level}", "snappy")
         found = good if found is None else found.unionByName(good)
         if level == LEVELS:
@@ -142,7 +144,7 @@ def band_links(docs: DataFrame, nodes: DataFrame, width: int, similarity: float)
         rest = rest.join(ends, "node", "left").groupBy("g", F.least("node", F.coalesce("to", "node")).alias("to")).agg(F.min_by("node", F.struct(F.xxhash64("g", "node"), "node")).alias("node"))
         ways = F.transform(F.sequence(F.lit(0), F.lit(WAYS - 1)), lambda i: F.xxhash64("g", i, F.get("spare", i + level * WAYS)))
         again = materialise(rest.join(rank, "node").select("node", F.explode(ways).alias("g")), f"similar-again-{level}", "snappy")
-        spent = [groups, leaders, led, again]
+        spent = [groups, leaders, led, asked, again]
         groups = materialise(again.join(again.groupBy("g").agg(F.count("*").alias("size")).filter("size > 1"), "g").select("g", "node", "size"), f"similar-next-{level}", "snappy")
         discard(*spent)
         if groups.isEmpty():
