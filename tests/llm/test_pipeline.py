@@ -41,6 +41,31 @@ def test_near_duplicates_equal_brute_force(spark):
     assert got == sorted((min(g)[1] for g in groups.values()), key=str)
 
 
+def crowd():
+    """Families that share a passage: 40 copies like a base, one cut by its end, and one cut at both ends that only the last is like."""
+    r = random.Random(11)
+    words = lambda n: ["".join(r.choice("abcdefghijklmnop") for _ in range(7)) for _ in range(n)]
+    passage, rows = words(130), []
+    for _ in range(8):
+        base = words(60) + passage + words(64)
+        rows += [base + words(2) for _ in range(40)] + [base[:-2], base[49:-2]]
+    r.shuffle(rows)
+    return list(enumerate(map(" ".join, rows)))
+
+
+def test_crowded_bands_lose_no_pair(spark):
+    rows = crowd()
+    docs = spark.createDataFrame([(i, t, "en", "s", 0, "x") for i, t in rows], SCHEMA)
+    got = {x.doc.doc_id for x in similar.near_duplicates(docs).filter("stays").collect()}
+    sets = [set(similar.shingle_hashes(t, 5).tolist()) for _, t in rows]
+    root = list(range(len(rows)))
+    for i in range(len(rows)):
+        for j in range(i):
+            if root[i] != root[j] and len(sets[i] & sets[j]) >= 0.8 * len(sets[i] | sets[j]):
+                root = [min(root[i], root[j]) if x in (root[i], root[j]) else x for x in root]
+    assert len(set(root)) == 8 and got == set(root)
+
+
 def test_stages_keep_columns_and_clean_documents(spark, sf):
     docs = spark.read.parquet(f"{sf}/documents.parquet")
     rows = docs

@@ -6,8 +6,10 @@ share a band are compared on their whole shingle sets. Texts with equal sets are
 
 Bands of at most ``pair_limit`` nodes are compared in full. Larger ones are compared with two leaders (the node that meets
 most others, and a random one); of the nodes like neither, one for each leader linked to elsewhere is dealt again by further minimum hashes, three ways each, level
-by level, so dissimilar texts that share a frequent passage separate without ever being paired. A pair of similarity 0.8
-shares one of the 20 bands with probability 0.9996. Links are exact (no similarity is estimated); recall is not.
+by level, so dissimilar texts that share a frequent passage separate without ever being paired. That only merges early: what
+large bands still hold of different components goes through an exact set join on prefixes of rare shingles, so a pair that
+shares a band, however crowded, is never lost. A pair of similarity 0.8 shares one of the 20 bands with probability 0.9996.
+Links are exact (no similarity is estimated); of recall only the bands are by chance.
 
 Edge cases: texts without words form one group; shorter texts are one shingle; of rows that are equal in doc_id and text one
 stays; a null doc_id comes after all others; an empty table gives no rows.
@@ -113,8 +115,69 @@ def similar_pairs(pairs: DataFrame, sets: DataFrame, similarity: float) -> DataF
     return full.select("a", "b", "x", "y").mapInArrow(run, "a string, b string")
 
 
-def band_links(docs: DataFrame, nodes: DataFrame, width: int, similarity: float) -> DataFrame:
-    """Edges (a, b) between nodes(node, lead, bands, spare) of at least that similarity that share a band."""
+def shingle_rows(sets: DataFrame) -> DataFrame:
+    """Rows (node, size, t): one for each shingle hash of each set."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        import numpy as np
+
+        def batch(names, found):
+            at = np.repeat(np.arange(len(found)), [len(t) for t in found])
+            sizes = np.array([len(t) for t in found], np.int64)[at]
+            return pa.RecordBatch.from_arrays([pa.array(names, pa.string()).take(pa.array(at)), pa.array(sizes), pa.array(np.concatenate(found).astype(np.int64))], names=["node", "size", "t"])
+
+        for b in batches:
+            names, found = [], []
+            for name, items in zip(b.column(0).to_pylist(), b.column(1)):
+                names.append(name)
+                found.append(np.frombuffer(items.as_buffer(), np.uint32))
+                if sum(map(len, found)) > 1 << 16:
+                    yield batch(names, found)
+                    names, found = [], []
+            if found:
+                yield batch(names, found)
+
+    return sets.select("node", "items").mapInArrow(run, "node string, size long, t long")
+
+
+def crowded_links(crowded: DataFrame, sets: DataFrame, roots: DataFrame, similarity: float) -> DataFrame | None:
+    """All edges (a, b) of at least that similarity between nodes of different roots that share a crowded band (g, node).
+
+    Sets that similar share one of their first size - ceil(similarity * size) + 1 shingles in any common order; here the rare
+    come first, so a frequent passage makes no pairs. Members of one root need no edge: of each shingle's nodes,
+    those outside its most frequent root meet the others. None where no crowded band has two roots.
+    """
+    named = materialise(crowded.select("g", "node").join(roots, "node", "left").withColumn("root", F.coalesce("root", "node")), "similar-named", "snappy")
+    mixed = named.groupBy("g").agg(F.min("root").alias("lo"), F.max("root").alias("hi"), F.count("*").alias("n")).filter("lo <> hi").select("g", "n")
+    mine = materialise(join_hot(named, mixed, ["g"], "n", max(1, named.count())).select("node", "root").distinct(), "similar-open", "snappy")
+    if mine.isEmpty():
+        return None
+    rows = materialise(shingle_rows(sets.join(mine.select("node"), "node", "left_semi")), "similar-shingles")
+    often = materialise(rows.groupBy("t").agg(F.count("*").alias("n")).filter("n > 1"), "similar-often", "snappy")
+    total = rows.count()
+    place = F.row_number().over(Window.partitionBy("node").orderBy(F.coalesce("n", F.lit(1)), "t"))
+    most = F.col("size") - F.ceil(F.col("size") * similarity - 1e-9) + 1
+    first = join_hot(rows, often, ["t"], "n", total, how="left").withColumn("place", place).filter((F.col("place") <= most) & F.col("n").isNotNull())
+    first = materialise(first.select("t", "node", "size", "place").join(mine, "node"), "similar-prefixes")
+    held = first.groupBy("t", "root").agg(F.count("*").alias("c")).groupBy("t").agg(F.max_by("root", F.struct("c", "root")).alias("main"), F.sum("c").alias("m"), F.count("*").alias("roots"))
+    held = materialise(held.filter("roots > 1").select("t", "main", "m"), "similar-mixed", "snappy")
+    met = materialise(join_hot(first, held, ["t"], "m", max(1, first.count())), "similar-met")
+    a = met.filter("root <> main").select("t", F.col("node").alias("a"), F.col("root").alias("ra"), F.col("size").alias("sa"), F.col("place").alias("pa"))
+    b = met.select("t", F.col("node").alias("b"), F.col("root").alias("rb"), F.col("size").alias("sb"), F.col("place").alias("pb"), (F.col("root") == F.col("main")).alias("mainly"))
+    both = join_dealt(a, b, "t", max(1, met.count())).filter("ra <> rb AND (mainly OR a < b)").filter((F.col("sa") >= F.col("sb") * similarity - 1e-9) & (F.col("sb") >= F.col("sa") * similarity - 1e-9))
+    # the first shingle shared is at the least place of both, and only what follows it can be shared besides
+    low, pair = F.col("a") < F.col("b"), (F.least("a", "b").alias("x"), F.greatest("a", "b").alias("y"))
+    left, right = F.col("sa") - F.col("pa"), F.col("sb") - F.col("pb")
+    ends = both.groupBy(*pair).agg(F.max(F.when(low, left).otherwise(right)).alias("ex"), F.max(F.when(low, right).otherwise(left)).alias("ey"), F.first(F.col("sa") + F.col("sb")).alias("s"))
+    likely = ends.filter(1 + F.least("ex", "ey") >= F.col("s") * (similarity / (1 + similarity)) - 1e-9)
+    asked = materialise(likely.select(F.col("x").alias("a"), F.col("y").alias("b")), "similar-crowded", "snappy")
+    good = materialise(similar_pairs(asked, sets, similarity), "similar-crowded-links", "snappy")
+    discard(named, mine, rows, often, first, held, met, asked)
+    return good
+
+
+def band_links(docs: DataFrame, nodes: DataFrame, width: int, similarity: float) -> tuple[DataFrame, DataFrame, DataFrame]:
+    """Edges (a, b) between nodes(node, lead, bands, spare) of at least that similarity that share a band; the crowded bands (g, node), whose edges may be too few; and the sets."""
     one = nodes.filter("bands IS NOT NULL").select("node", F.posexplode("bands").alias("band", "key")).select("node", F.xxhash64("band", "key").alias("g"))
     meet = one.groupBy("g").agg(F.count("*").alias("size")).filter("size > 1")
     groups = materialise(join_hot(one, meet, ["g"], "size", one.count()), "similar-groups", "snappy")
@@ -123,6 +186,8 @@ def band_links(docs: DataFrame, nodes: DataFrame, width: int, similarity: float)
     release(docs.sparkSession)
     rank = nodes.select("node", "spare")
     busy = materialise(groups.groupBy("node").agg(F.sum("size").alias("meets")), "similar-busy", "snappy")
+    crowded = groups.filter(F.col("size") > PAIR_LIMIT)
+    crowded._scratch_path = groups._scratch_path
     found = None
     for level in range(LEVELS + 1):
         small = groups.filter(F.col("size") <= PAIR_LIMIT)
@@ -144,12 +209,12 @@ def band_links(docs: DataFrame, nodes: DataFrame, width: int, similarity: float)
         rest = rest.join(ends, "node", "left").groupBy("g", F.least("node", F.coalesce("to", "node")).alias("to")).agg(F.min_by("node", F.struct(F.xxhash64("g", "node"), "node")).alias("node"))
         ways = F.transform(F.sequence(F.lit(0), F.lit(WAYS - 1)), lambda i: F.xxhash64("g", i, F.get("spare", i + level * WAYS)))
         again = materialise(rest.join(rank, "node").select("node", F.explode(ways).alias("g")), f"similar-again-{level}", "snappy")
-        spent = [groups, leaders, led, asked, again]
+        spent = [*([groups] if level else []), leaders, led, asked, again]
         groups = materialise(again.join(again.groupBy("g").agg(F.count("*").alias("size")).filter("size > 1"), "g").select("g", "node", "size"), f"similar-next-{level}", "snappy")
         discard(*spent)
         if groups.isEmpty():
             break
-    return found
+    return found, crowded, sets
 
 
 def near_duplicates(docs: DataFrame, width: int = 5, similarity: float = 0.8) -> DataFrame:
@@ -165,8 +230,13 @@ def near_duplicates(docs: DataFrame, width: int = 5, similarity: float = 0.8) ->
     same = nodes.join(heads.filter("n > 1"), "fp").select(F.col("head").alias("a"), F.col("node").alias("b")).filter("a <> b")
     close = links(heads.select("fp"))
     close = close.join(heads.select(F.col("fp").alias("a"), F.col("head").alias("x")), "a").join(heads.select(F.col("fp").alias("b"), F.col("head").alias("y")), "b").select(F.col("x").alias("a"), F.col("y").alias("b"))
-    edges = same.unionByName(close).unionByName(band_links(plain, nodes, width, similarity))
-    roots = components(edges, "similar-components")
+    linked, crowded, sets = band_links(plain, nodes, width, similarity)
+    roots = components(same.unionByName(close).unionByName(linked), "similar-components")
+    more = crowded_links(crowded, sets, roots, similarity)
+    discard(crowded)
+    if more is not None and not more.isEmpty():
+        early, roots = roots, components(more.unionByName(roots.select(F.col("node").alias("a"), F.col("root").alias("b"))), "similar-components")
+        discard(early)
     rooted = nodes.select("node", "lead").join(roots, "node", "left").withColumn("root", F.coalesce("root", "node"))
     keep = rooted.groupBy("root").agg(F.min("lead").alias("lead")).select(F.col("lead.k1").alias(K1), F.col("lead.k2").alias(K2), F.lit(True).alias("stays"))
     keep = materialise(keep, "similar-keep", "snappy")
