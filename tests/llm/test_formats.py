@@ -138,3 +138,16 @@ def test_tool_links(spark):
     order = [(x.turn, x.idx) for x in sorted((x for x in got if x.conv_id == 1), key=lambda x: (x.at, x.level, x.turn, x.idx, x.step))]
     assert order.index((1, 2)) < order.index((2, 0)) < order.index((1, 1)) < order.index((3, 0))
     assert next(x.json for x in got if (x.conv_id, x.turn) == (1, 2)) == '{"content":{"a":"é","b":1},"role":"tool","tool_call_id":"c1"}'
+
+
+def test_language_of_many_copies_is_learned(spark):
+    copies = [(f"le chat numero {'abcdefghij'[i % 10]}{'klmno'[i % 5]} dort", "fr") for i in range(10)] * 2000
+    rows = spark.createDataFrame(copies + [("the cat sleeps", "en")] * 3, "text string, lang string")
+    seen = []
+    real, language.Model = language.Model, lambda langs, x: seen.append(list(langs)) or real(langs, x)
+    try:
+        language.train(rows, 4)
+        language.train(rows)
+    finally:
+        language.Model = real
+    assert [sorted(s) for s in seen] == [["en"] + ["fr"] * 4, ["en"] + ["fr"] * 10]

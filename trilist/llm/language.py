@@ -130,15 +130,9 @@ def train(labelled: DataFrame, per_language: int = PER_LANGUAGE) -> Model:
     import numpy as np
 
     rows = labelled.filter("text IS NOT NULL AND lang IS NOT NULL").select("text", "lang", F.xxhash64("text").alias("h"))
-    counts = {r.lang: r["count"] for r in rows.groupBy("lang").count().collect()}
-    if not counts:
-        return Model([], np.zeros((0, 2 * SIZE), np.float32))
-    # hashes are uniform: a threshold lets through about three times the bound before the exact cut
-    share = F.create_map(*(F.lit(v) for lang, n in counts.items() for v in (lang, min(1.0, 3 * per_language / n))))
-    drawn = rows.filter((F.col("h").bitwiseAND(F.lit(2**31 - 1)) / float(2**31)) < share[F.col("lang")])
-    distinct = drawn.groupBy("lang", "h").agg(F.first("text").alias("text"))
     place = F.row_number().over(Window.partitionBy("lang").orderBy("h"))
-    few = distinct.withColumn("place", place).filter(F.col("place") <= per_language)
+    few = rows.select("lang", "h").distinct().withColumn("place", place).filter(F.col("place") <= per_language).select("lang", "h")
+    few = rows.join(F.broadcast(few), ["lang", "h"]).groupBy("lang", "h").agg(F.first("text").alias("text"))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
@@ -146,6 +140,8 @@ def train(labelled: DataFrame, per_language: int = PER_LANGUAGE) -> Model:
             yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), pa.array(found, pa.binary())], names=["lang", "h", "v"])
 
     got = sorted(few.select("lang", "h", "text").mapInArrow(run, "lang string, h long, v binary").collect(), key=lambda r: (r.lang, r.h))
+    if not got:
+        return Model([], np.zeros((0, 2 * SIZE), np.float32))
     return Model([r.lang for r in got], np.stack([np.frombuffer(r.v, np.float16).astype(np.float32) for r in got]))
 
 
