@@ -25,8 +25,8 @@ def identify_language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> Data
 
 
 def dedup_lines(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Shorten texts by their boilerplate lines and set n_chars anew; every document stays."""
-    done = lines.dedup_lines(docs)
+    """Shorten texts by their boilerplate lines, short ones too, and set n_chars anew; every document stays."""
+    done = lines.dedup_lines(docs, min_chars=1)
     new = {"text": F.col("text"), "n_chars": F.when(F.col("n_gone") > 0, F.length("text")).otherwise(F.col("doc.n_chars")).cast(docs.schema["n_chars"].dataType)}
     return done.select(*(new.get(c, F.col(f"doc.`{c}`")).alias(c) for c in docs.columns))
 

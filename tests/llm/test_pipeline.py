@@ -80,3 +80,9 @@ def test_empty_table(spark, sf):
     rows = spark.read.parquet(f"{sf}/documents.parquet").filter("doc_id < 0")
     for _, stage in corpus_pipeline.STAGES:
         assert stage(spark, rows, sf).count() == 0
+
+
+def test_short_boilerplate_lines_go(spark, sf):
+    rows = [(i, f"a line of document number {i}\nMenu\n\n \nend {i}", "en", f"s{i}", 0, "x") for i in range(12)]
+    got = corpus_pipeline.dedup_lines(spark, spark.createDataFrame(rows, SCHEMA), sf)
+    assert {r.doc_id: r.text for r in got.collect()} == {r[0]: r[1] if r[0] == 0 else r[1].replace("Menu\n", "") for r in rows}
