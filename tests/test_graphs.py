@@ -177,3 +177,26 @@ def test_sql_twins(spark, sf, query):
         con.sql(f"CREATE VIEW {t} AS SELECT * FROM '{sf}/{t}.parquet'")
     got, want = catalog.QUERIES[query](spark, sf), con.sql(catalog.SQL[query])
     assert sorted(got.columns) == sorted(want.columns) and got.count() == len(want.fetchall())
+
+
+def test_listing_queries_run_the_whole_method(spark, sf, monkeypatch):
+    from trilist import catalog
+
+    seen = []
+    monkeypatch.setattr(drivers, "list_triangles", lambda v, e, **options: seen.append(options))
+    for name in ("list_triangles", "w1_list", "w6_list", "w10_list"):
+        catalog.QUERIES[name](spark, sf)
+    assert seen == [{}] * 4
+
+
+def test_listing_stops_early_only_with_one_bucket(spark, sf, monkeypatch):
+    v, e = vertices_of(spark, sf, "complete"), edges_of(spark, sf, "complete")
+    passes = []
+    none = spark.createDataFrame([], "node long, a long, b long, c long")
+    real = drivers.heavy_hash
+    monkeypatch.setattr(drivers, "heavy_hash", lambda *a, **b: passes.append("heavy") or real(*a, **b))
+    monkeypatch.setattr(drivers, "light_avoid", lambda *a, **b: passes.append("light") or (none, None))
+    assert rows(drivers.list_triangles(v, e)) == rows(exact.triangles(e)) and passes == ["heavy"]
+    passes.clear()
+    drivers.list_triangles(v, e, eps=1.0)
+    assert passes == ["heavy", "light"] * 12

@@ -165,7 +165,7 @@ FREE = "SELECT false AS found, NULL::BIGINT AS a, NULL::BIGINT AS b, NULL::BIGIN
 add("find_triangle", on_both("halfyear", lambda v, e: drivers.find_triangle(v, e)))
 add("find_triangle_free", on_both("forest", lambda v, e: drivers.find_triangle(v, e, delta=0.5).drop("repetitions")), FREE)
 add("find_count_reps", on_both("cycle", lambda v, e: drivers.find_triangle(v, e, delta=0.1).select("found", "repetitions")), "SELECT false AS found, 5::BIGINT AS repetitions")
-add("list_triangles", on_both("halfyear", lambda v, e: drivers.list_triangles(v, e, repetitions=1)), graph("halfyear", TRI) + LIST)
+add("list_triangles", on_both("halfyear", lambda v, e: drivers.list_triangles(v, e)), graph("halfyear", TRI) + LIST)
 add("parameter_table", lambda s, d: s.createDataFrame([(n, round(p.eps, 9), round(p.threshold, 6), p.buckets, p.bucket_cap, p.sample_cap, round(p.r, 4)) for n in NS[:4] for p in (Params.for_finding(n),)], "n long, eps double, threshold double, buckets long, bucket_cap long, sample_cap long, r double"),
     "WITH x AS (SELECT unnest([100, 1000, 10000, 100000])::DOUBLE AS n), y AS (SELECT n, greatest(0, 1/3.0::DOUBLE - 2/3.0::DOUBLE * ln(ln(n)) / ln(n)) AS eps FROM x), z AS (SELECT *, greatest(1, floor(pow(n, eps / 2) + 1e-9)) AS b FROM y) SELECT n::BIGINT AS n, round(eps, 9) AS eps, round(pow(n, eps), 6) AS threshold, b::BIGINT AS buckets, floor(8 + 4 * n / b + 1e-9)::BIGINT AS bucket_cap, floor(4 * pow(n, 1 - eps) + 1e-9)::BIGINT AS sample_cap, round(sqrt(54 * pow(n, 1 + eps) * ln(n)), 4) AS r FROM z")
 add("union_of_repetitions", on_both("cells", lambda v, e, p: heavy.heavy_hash(e, p, 1, 0).union(heavy.heavy_hash(e, p, 1, 1)).select("a", "b", "c").distinct(), 0.4), graph("cells", *hash_ctes(1, 0), *hash_ctes(1, 1, suffix="2"), eps=0.4) + "SELECT a, b, c FROM hh UNION SELECT a, b, c FROM hh2")
@@ -400,7 +400,7 @@ add("w2_core_stall", core("cohour", 0.3, 15, 3, "trace"), core_sql("cohour", 0.3
 for w, g, eps, steps in (("w1", "coin", 0.3, 1), ("w6", "halfyear", 0.4, 1), ("w7", "windmill", 0.2, 1)):
     add(f"{w}_light_avoid", on_both(g, lambda v, e, p: light.light_avoid(v, e, p, 4)[0], eps), core_sql(g, eps, 0, 4, steps) + CORE)
 for w, g in (("w1", "coin"), ("w6", "halfyear"), ("w10", "document_lines")):
-    add(f"{w}_list", on_both(g, lambda v, e: drivers.list_triangles(v, e, repetitions=1, light=False)), graph(g, TRI) + LIST)
+    add(f"{w}_list", on_both(g, lambda v, e: drivers.list_triangles(v, e)), graph(g, TRI) + LIST)
 add("w1_local_listing", on("coin", exact.local_listing), graph("coin", TRI) + "SELECT unnest([a, b, c]) AS node, a, b, c FROM tri")
 LOCAL = "loc AS (SELECT unnest([a, b, c]) AS node, a, b, c FROM tri)"
 add("w1_edge_bound", on("coin", lambda e: measures.edge_bound_check(exact.local_listing(e))), graph("coin", TRI, LOCAL, COVER.format("loc")) + BOUND)

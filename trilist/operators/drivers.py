@@ -24,10 +24,15 @@ def find_triangle(vertices: DataFrame, edges: DataFrame, delta: float = 0.01, se
 
 
 def list_triangles(vertices: DataFrame, edges: DataFrame, seed: int = 1, eps: float | None = None, repetitions: int | None = None, heavy: bool = True, light: bool = True, r: float | None = None) -> DataFrame:
-    """TRI: union over repetitions of both halves (or of one of them, for ablations)."""
+    """TRI: union over repetitions of both halves (or of one of them, for ablations).
+
+    With one bucket a single heavy pass sends every edge to all neighbours and no sender is over its cap: it is exact alone.
+    """
     n = vertices.count()
     p = Params.for_listing(n) if eps is None else Params(n, eps)
     out = edges.sparkSession.createDataFrame([], "a long, b long, c long")
+    if heavy and p.buckets == 1:
+        repetitions, light = 1, False
     for rep in range(repetitions or list_repetitions(n)):
         if heavy:
             out = out.union(heavy_hash(edges, p, seed, rep).select("a", "b", "c"))
