@@ -20,6 +20,20 @@ def repeats(docs, depth=400):
     return out
 
 
+def passages(docs, words=51):
+    """Words of each text under a run of that many words that a row with another key (doc_id, text) has too."""
+    texts = [(t or "").encode().split() for _, t in docs]
+    where = {}
+    for key, t in zip(docs, texts):
+        for i in range(len(t) - words + 1):
+            where.setdefault(tuple(t[i : i + words]), set()).add(key)
+    out = []
+    for t in texts:
+        hit = {k for i in range(len(t) - words + 1) if len(where[tuple(t[i : i + words])]) > 1 for k in range(i, i + words)}
+        out.append(len(hit))
+    return out
+
+
 def simhash(docs):
     def fp(text):
         words = (text or "").encode().lower().split()

@@ -1,5 +1,8 @@
+import hashlib
 import random
 
+import pytest
+
 from tests.llm import brute
 from trilist.llm import lines, mixing, repeats, simhash
 
@@ -24,18 +27,32 @@ def texts(seed=1, n=60):
     return [*out, out[3], out[5], None, "", "a" * 1500, "ab" * 700, passage, passage]
 
 
-def test_repeats_equal_brute_force(spark):
-    rows = [(i, t) for i, t in enumerate(texts())]
-    got = repeats.without_repeats(table(spark, [(i, t, "s") for i, t in rows]), 400)
-    import hashlib
+def digested(row):
+    return (row.doc_id, row.n_bytes, row.n_removed, row.n_spans, hashlib.sha256(row.kept).hexdigest(), row.n_passage_words)
+
 
-    assert sorted((x.doc_id, x.n_bytes, x.n_removed, x.n_spans, hashlib.sha256(x.kept).hexdigest()) for x in got.collect()) == sorted(brute.repeats(rows))
+@pytest.mark.parametrize("block", [repeats.BLOCK, 700])
+def test_repeats_equal_brute_force(spark, block):
+    rows = [(i, t) for i, t in enumerate(texts())]
+    got = repeats.without_repeats(table(spark, [(i, t, "s") for i, t in rows]), 400, block=block)
+    assert sorted(map(digested, got.collect())) == sorted((*r, n) for r, n in zip(brute.repeats(rows), brute.passages(rows)))
 
 
 def test_repeats_short_depth_and_nulls(spark):
     rows = [(1, "xyz" * 30), (1, "xyz" * 30), (None, "q" * 70), (None, None), (2, "")]
     got = repeats.without_repeats(table(spark, [(i, t, None) for i, t in rows]), 60, 8).collect()
     assert sorted((str(x.doc_id), x.n_removed) for x in got) == sorted((str(i), r[2]) for (i, _), r in zip(rows, brute.repeats(rows, 60)))
+    assert repeats.without_repeats(table(spark, [])).count() == 0
+
+
+def test_repeats_of_equal_rows_and_very_long_texts(spark):
+    r = random.Random(9)
+    passage = " ".join(str(r.random()) for _ in range(60))
+    long = " ".join(str(r.random()) for _ in range(170_000))
+    rows = [(7, "start " + passage + " end")] * 40 + [(8, "other " + passage), (9, long), (10, long[2_500_000:2_500_900]), (11, "x y " * 20)]
+    got = {x.doc_id: x for x in repeats.without_repeats(table(spark, [(i, t, "s") for i, t in rows])).collect()}
+    assert len(long) > repeats.BLOCK and got[9].n_removed == got[10].n_removed == 900 and got[9].n_passage_words == 0 == got[11].n_passage_words
+    assert got[7].n_removed == len(rows[0][1]) and got[8].n_removed == len(passage) + 1 and got[7].n_passage_words == got[8].n_passage_words == 60
 
 
 def test_simhash_equals_brute_force(spark, sf):

@@ -8,16 +8,21 @@ repeated windows. Neighbouring suffixes that have the same anchor travel as one
 together: a region that occurs twice as a whole is settled at once, and only stretches where a match begins or ends are
 opened into single windows.
 
-All digits are hashes of byte strings by content (64 bits each, always together with the anchor's hash, so 128 in all).
+All digits are hashes of byte strings by content: 64 bits each, compared only among windows with the same anchor.
 Removed bytes are those of any repeated window; overlaps count; windows are judged on the input.
 
-Edge cases: null text is empty; texts shorter than ``depth`` bytes have no window; equal rows repeat each other; texts of
-any length are worked in blocks; an empty table gives no rows; other columns are ignored.
+The same passes run over words in place of bytes (``unit``): there a passage counts where another document has it too, so
+``shared_passages`` finds passages of more than 50 words across documents, whatever their length in bytes.
+
+Edge cases: null text is empty; texts shorter than ``depth`` have no window; equal rows repeat each other's bytes, but are
+one document as to passages; texts of any length are worked in blocks of ``block`` symbols; an empty table gives no rows;
+other columns are ignored.
 """
 
 from __future__ import annotations
 
 from collections.abc import Iterator
+from dataclasses import dataclass
 
 import pyarrow as pa
 from pyspark.sql import DataFrame
@@ -26,11 +31,45 @@ from pyspark.sql import functions as F
 from trilist.llm.common import K1, K2, bounded_batches, discard, join_hot, materialise, read_table, release, with_row_key
 
 DEPTH, GRAM, STRETCH = 400, 48, 32
+PASSAGE, PASSAGE_GRAM = 51, 8
 BLOCK = 1 << 21
 
 
+@dataclass(frozen=True)
+class Unit:
+    """What windows are made of, and when equal windows count as repeated: m is their number, x and y are the least and largest key of their rows."""
+
+    name: str
+    dtype: str
+    width: int
+    carried: tuple[str, ...]
+    repeated: str
+
+    def symbols(self, raw: bytes):
+        """The text as an array: its bytes, or the XXH64 of its words (runs of bytes other than ASCII white space)."""
+        import numpy as np
+
+        if self.name == "byte":
+            return np.frombuffer(raw, np.uint8)
+        import xxhash
+
+        return np.fromiter(map(xxhash.xxh64_intdigest, raw.split()), np.uint64)
+
+    def first(self) -> list:
+        given = {"m": F.count("*"), "x": F.min(K1), "y": F.max(K1)}
+        return [given[c].alias(c) for c in self.carried]
+
+    def merged(self) -> list:
+        given = {"m": F.sum("m"), "x": F.min("x"), "y": F.max("y")}
+        return [given[c].alias(c) for c in self.carried]
+
+
+BYTES = Unit("byte", "u1", 1, ("m",), "m > 1")
+WORDS = Unit("word", "u8", 8, ("m", "x", "y"), "x <> y")
+
+
 class Rolling:
-    """Polynomial hashes (mod 2^64) of all substrings of one byte string, from running sums."""
+    """Polynomial hashes (mod 2^64) of all substrings of one string of bytes or word hashes, from running sums."""
 
     base = 0x9E3779B97F4A7C15
     inverse = pow(base, -1, 2**64)
@@ -45,7 +84,7 @@ class Rolling:
             Rolling.powers = [np.multiply.accumulate(np.r_[np.uint64(1), np.full(size, b, np.uint64)]) for b in (Rolling.base, Rolling.inverse)]
             Rolling.letters = np.random.default_rng(2).integers(0, 2**64, 256, dtype=np.uint64)
         self.sums = np.zeros(n + 1, np.uint64)
-        np.cumsum(Rolling.letters[data] * Rolling.powers[0][:n], out=self.sums[1:])
+        np.cumsum((Rolling.letters[data] if data.dtype == np.uint8 else data) * Rolling.powers[0][:n], out=self.sums[1:])
 
     def of(self, start, end):
         """Hashes of data[start:end] for arrays of bounds, well mixed."""
@@ -98,7 +137,7 @@ def regions_of(data, depth: int, gram: int):
     return p, low, high, ah, mixed(ah, low, high, roll.of(first, last + depth))
 
 
-def anchor_rows(docs: DataFrame, depth: int, gram: int) -> DataFrame:
+def anchor_rows(docs: DataFrame, depth: int, gram: int, unit: Unit = BYTES, block: int = BLOCK) -> DataFrame:
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         import numpy as np
 
@@ -106,10 +145,9 @@ def anchor_rows(docs: DataFrame, depth: int, gram: int) -> DataFrame:
             k1, k2 = (b.column(i).to_numpy() for i in (0, 1))
             parts = []
             for i, text in enumerate(b.column(2)):
-                raw = text.as_buffer()
-                data = np.frombuffer(raw, np.uint8) if raw is not None else np.zeros(0, np.uint8)
-                for at in range(0, max(0, len(data) - depth + 1), BLOCK):
-                    p, low, high, ah, rid = regions_of(data[at : at + BLOCK + depth - 1], depth, gram)
+                data = unit.symbols(text.as_py() or b"")
+                for at in range(0, max(0, len(data) - depth + 1), block):
+                    p, low, high, ah, rid = regions_of(data[at : at + block + depth - 1], depth, gram)
                     parts.append((np.full(len(p), i), p + at, low, high, ah, rid))
             if parts:
                 row, p, low, high, ah, rid = map(np.concatenate, zip(*parts))
@@ -118,99 +156,118 @@ def anchor_rows(docs: DataFrame, depth: int, gram: int) -> DataFrame:
     return docs.select(K1, K2, F.col("text").cast("binary").alias("text")).mapInArrow(run, f"{K1} long, {K2} long, p long, low int, high int, ah long, rid long")
 
 
-def cut_regions(docs: DataFrame, wanted: DataFrame, depth: int) -> DataFrame:
-    """The bytes of one occurrence of each wanted region (ah, rid, m, low, high, and its row key and place)."""
+def carried_schema(unit: Unit) -> str:
+    return ", ".join(f"{c} long" for c in unit.carried)
+
+
+def cut_regions(docs: DataFrame, wanted: DataFrame, depth: int, total: int, unit: Unit) -> DataFrame:
+    """The symbols of one occurrence of each wanted region (ah, rid, what is carried, low, high, and its row key and place).
+
+    Copies of a row share its key; each task cuts a key once.
+    """
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        names, seen = ["ah", "rid", *unit.carried, "low", "high"], set()
         for b in batches:
             out = []
-            for text, todo in zip(b.column(0), b.column(1).to_pylist()):
-                raw = text.as_py() if text.is_valid else b""
-                out += [(r["ah"], r["rid"], r["m"], r["low"], r["high"], raw[r["p"] - r["high"] : r["p"] - r["low"] + depth]) for r in todo]
-            cols = list(zip(*out)) or [[]] * 6
-            types = [pa.int64(), pa.int64(), pa.int64(), pa.int32(), pa.int32(), pa.binary()]
-            yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(cols, types)], names=["ah", "rid", "m", "low", "high", "body"])
-
-    by_row = wanted.groupBy(K1, K2).agg(F.collect_list(F.struct("ah", "rid", "m", "p", "low", "high")).alias("todo"))
+            for key, text, todo in zip(zip(b.column(0).to_pylist(), b.column(1).to_pylist()), b.column(2), b.column(3).to_pylist()):
+                if key in seen:
+                    continue
+                seen.add(key)
+                raw = text.as_py() or b""
+                raw = raw if unit.width == 1 else unit.symbols(raw).tobytes()
+                out += [(*(r[c] for c in names), raw[(r["p"] - r["high"]) * unit.width : (r["p"] - r["low"] + depth) * unit.width]) for r in todo]
+            cols = list(zip(*out)) or [[]] * (len(names) + 1)
+            types = [*[pa.int64()] * (2 + len(unit.carried)), pa.int32(), pa.int32(), pa.binary()]
+            yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(cols, types)], names=[*names, "body"])
+
+    by_row = wanted.groupBy(K1, K2).agg(F.collect_list(F.struct("ah", "rid", *unit.carried, "p", "low", "high")).alias("todo"), F.min("m").alias("copies"))
     texts = docs.select(K1, K2, F.col("text").cast("binary").alias("text"))
-    joined = texts.join(by_row, [K1, K2])
-    return joined.select("text", "todo").mapInArrow(run, "ah long, rid long, m long, low int, high int, body binary")
+    joined = join_hot(texts, by_row, [K1, K2], "copies", total)
+    return joined.select(K1, K2, "text", "todo").mapInArrow(run, f"ah long, rid long, {carried_schema(unit)}, low int, high int, body binary")
 
 
-def stretch_rows(regions: DataFrame, depth: int) -> DataFrame:
+def stretch_rows(regions: DataFrame, depth: int, unit: Unit) -> DataFrame:
     """Second digit: one row for each stretch of a region, with the hash of what its windows share (core) and of all of it."""
+    fixed = ["ah", "rid", *unit.carried]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         import numpy as np
 
+        step = min(STRETCH, depth)
         for b in batches:
             parts = []
-            for i, (low, high, body) in enumerate(zip(b.column(3).to_pylist(), b.column(4).to_pylist(), b.column(5))):
-                roll = Rolling(np.frombuffer(body.as_buffer(), np.uint8))
-                s = np.arange(low // STRETCH, high // STRETCH + 1)
-                lo, hi = np.maximum(s * STRETCH, low), np.minimum(s * STRETCH + STRETCH - 1, high)
-                core = roll.of(high - s * STRETCH, high - s * STRETCH - STRETCH + 1 + depth)
+            for i, (low, high, body) in enumerate(zip(b.column("low").to_pylist(), b.column("high").to_pylist(), b.column("body"))):
+                roll = Rolling(np.frombuffer(body.as_buffer(), unit.dtype))
+                s = np.arange(low // step, high // step + 1)
+                lo, hi = np.maximum(s * step, low), np.minimum(s * step + step - 1, high)
+                core = roll.of(high - s * step, high - s * step - step + 1 + depth)
                 parts.append((np.full(len(s), i), s, lo, hi, core, mixed(lo, hi, roll.of(high - hi, high - lo + depth))))
             if parts:
                 row, s, lo, hi, core, whole = map(np.concatenate, zip(*parts))
-                ah, rid, m = (b.column(k).to_numpy()[row] for k in range(3))
-                yield pa.RecordBatch.from_arrays([pa.array(x) for x in (ah, rid, m, s.astype(np.int32), lo.astype(np.int32), hi.astype(np.int32), core.view(np.int64), whole.view(np.int64))], names=["ah", "rid", "m", "s", "lo", "hi", "core", "whole"])
+                same = [b.column(c).to_numpy()[row] for c in fixed]
+                yield pa.RecordBatch.from_arrays([pa.array(x) for x in (*same, s.astype(np.int32), lo.astype(np.int32), hi.astype(np.int32), core.view(np.int64), whole.view(np.int64))], names=[*fixed, "s", "lo", "hi", "core", "whole"])
 
-    return regions.select("ah", "rid", "m", "low", "high", "body").mapInArrow(run, "ah long, rid long, m long, s int, lo int, hi int, core long, whole long")
+    return regions.select(*fixed, "low", "high", "body").mapInArrow(run, f"ah long, rid long, {carried_schema(unit)}, s int, lo int, hi int, core long, whole long")
 
 
-def window_rows(regions: DataFrame, opened: DataFrame, depth: int) -> DataFrame:
+def window_rows(regions: DataFrame, opened: DataFrame, depth: int, unit: Unit) -> DataFrame:
     """Last digit: one row for each window of the opened stretches."""
+    fixed = ["ah", "rid", *unit.carried]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         import numpy as np
 
         for b in batches:
             parts = []
-            for i, (high, body, spans) in enumerate(zip(b.column(3).to_pylist(), b.column(4), b.column(5).to_pylist())):
-                roll = Rolling(np.frombuffer(body.as_buffer(), np.uint8))
+            for i, (high, body, spans) in enumerate(zip(b.column("high").to_pylist(), b.column("body"), b.column("spans").to_pylist())):
+                roll = Rolling(np.frombuffer(body.as_buffer(), unit.dtype))
                 o = np.concatenate([np.arange(x["lo"], x["hi"] + 1) for x in spans])
                 parts.append((np.full(len(o), i), o, roll.of(high - o, high - o + depth)))
             if parts:
                 row, o, wh = map(np.concatenate, zip(*parts))
-                ah, rid, m = (b.column(k).to_numpy()[row] for k in range(3))
-                yield pa.RecordBatch.from_arrays([pa.array(x) for x in (ah, rid, m, o.astype(np.int32), wh.view(np.int64))], names=["ah", "rid", "m", "o", "wh"])
+                same = [b.column(c).to_numpy()[row] for c in fixed]
+                yield pa.RecordBatch.from_arrays([pa.array(x) for x in (*same, o.astype(np.int32), wh.view(np.int64))], names=[*fixed, "o", "wh"])
 
-    todo = opened.groupBy("ah", "rid").agg(F.collect_list(F.struct("lo", "hi")).alias("spans"))
-    return regions.join(todo, ["ah", "rid"]).select("ah", "rid", "m", "high", "body", "spans").mapInArrow(run, "ah long, rid long, m long, o int, wh long")
+    todo = opened.groupBy("ah", "rid").agg(F.collect_set(F.struct("lo", "hi")).alias("spans"))
+    return regions.join(todo, ["ah", "rid"]).select(*fixed, "high", "body", "spans").mapInArrow(run, f"ah long, rid long, {carried_schema(unit)}, o int, wh long")
 
 
-def repeated_ranges(docs: DataFrame, depth: int = DEPTH, gram: int = GRAM) -> DataFrame:
-    """For docs with a row key: rows (key, ranges), the byte ranges [start, end) of all repeated windows."""
-    spark = docs.sparkSession
-    anchors = materialise(anchor_rows(docs, depth, gram), "repeats-anchors")
+def repeated_ranges(docs: DataFrame, depth: int = DEPTH, gram: int = GRAM, unit: Unit = BYTES, block: int = BLOCK) -> DataFrame:
+    """For docs with a row key: rows (key, ranges, n), the ranges [start, end) of all repeated windows in symbols; n rows have the key."""
+    spark, fixed = docs.sparkSession, ["ah", "rid", *unit.carried]
+    anchors = materialise(anchor_rows(docs, depth, gram, unit, block), "repeats-anchors")
     total = anchors.count()
-    distinct = materialise(anchors.groupBy("ah", "rid").agg(F.count("*").alias("m"), *(F.first(c).alias(c) for c in (K1, K2, "p", "low", "high"))), "repeats-distinct")
+    distinct = materialise(anchors.groupBy("ah", "rid").agg(*unit.first(), *(F.first(c).alias(c) for c in (K1, K2, "p", "low", "high"))), "repeats-distinct")
     # anchors with two regions or more; a frequent anchor meets its regions without being dealt to one task
     mixed_anchors = anchors.groupBy("ah").agg(F.count("*").alias("n"), (F.min("rid") != F.max("rid")).alias("alike")).filter("alike")
     held = join_hot(distinct, mixed_anchors, ["ah"], "n", total, how="left")
-    held = materialise(held.withColumn("alike", F.coalesce("alike", F.lit(False))).filter("alike OR m > 1").drop("n"), "repeats-regions")
+    held = materialise(held.withColumn("alike", F.coalesce("alike", F.lit(False))).withColumn("whole", F.expr(unit.repeated)).filter("alike OR whole").drop("n"), "repeats-regions")
     discard(distinct)
     release(spark)
-    regions = materialise(cut_regions(docs, held.filter("alike"), depth), "repeats-bodies")
+    regions = materialise(cut_regions(docs, held.filter("alike"), depth, total, unit), "repeats-bodies")
     release(spark)
-    dealt = materialise(stretch_rows(regions, depth), "repeats-dealt")
-    same = dealt.groupBy("ah", "s", "core").agg(F.sum("m").alias("total"), (F.min("whole") == F.max("whole")).alias("one"), F.count("*").alias("n")).filter("total > 1")
-    stretches = join_hot(dealt, same, ["ah", "s", "core"], "n", dealt.count())
-    stretches = materialise(stretches.select("ah", "rid", "m", "lo", "hi", "one"), "repeats-stretches")
+    dealt = materialise(stretch_rows(regions, depth, unit), "repeats-dealt")
+    same = dealt.groupBy("ah", "s", "core").agg(*unit.merged(), (F.min("whole") == F.max("whole")).alias("one"), F.count("*").alias("n")).filter(unit.repeated)
+    stretches = join_hot(dealt, same.select("ah", "s", "core", "one", "n"), ["ah", "s", "core"], "n", dealt.count())
+    stretches = materialise(stretches.withColumn("settled", F.expr(unit.repeated)).select(*fixed, "lo", "hi", "one", "settled"), "repeats-stretches")
     discard(dealt)
-    windows = materialise(window_rows(regions, stretches.filter("NOT one"), depth), "repeats-windows")
-    equal = windows.groupBy("ah", "o", "wh").agg(F.sum("m").alias("total"), F.count("*").alias("n")).filter("total > 1")
-    alone = join_hot(windows.filter("m = 1").drop("m"), equal, ["ah", "o", "wh"], "n", windows.count())
-    found = alone.select("ah", "rid", F.col("o").alias("lo"), F.col("o").alias("hi")).unionByName(stretches.filter("one AND m = 1").select("ah", "rid", "lo", "hi"))
-    partly = found.groupBy("ah", "rid").agg(F.lit(1).cast("long").alias("m"), F.collect_list(F.struct("lo", "hi")).alias("spans"))
-    wholly = held.filter("m > 1").select("ah", "rid", "m", F.array(F.struct(F.col("low").alias("lo"), F.col("high").alias("hi"))).alias("spans"))
+    windows = materialise(window_rows(regions, stretches.filter("NOT one"), depth, unit), "repeats-windows")
+    equal = windows.groupBy("ah", "o", "wh").agg(*unit.merged(), F.count("*").alias("n")).filter(unit.repeated).select("ah", "o", "wh", "n")
+    alone = join_hot(windows.filter(f"NOT ({unit.repeated})"), equal, ["ah", "o", "wh"], "n", windows.count())
+    found = alone.select("ah", "rid", "m", F.col("o").alias("lo"), F.col("o").alias("hi")).unionByName(stretches.filter("one AND NOT settled").select("ah", "rid", "m", "lo", "hi"))
+    partly = found.groupBy("ah", "rid").agg(F.first("m").alias("m"), F.collect_set(F.struct("lo", "hi")).alias("spans"))
+    wholly = held.filter("whole").select("ah", "rid", "m", F.array(F.struct(F.col("low").alias("lo"), F.col("high").alias("hi"))).alias("spans"))
     result = materialise(partly.unionByName(wholly), "repeats-result")
     release(spark)
-    discard(windows, regions)
+    discard(windows, regions, stretches, held)
     hits = join_hot(anchors.select(K1, K2, "p", "ah", "rid"), result, ["ah", "rid"], "m", total)
     ranges = F.transform("spans", lambda x: F.struct((F.col("p") - x["hi"]).alias("s"), (F.col("p") - x["lo"] + depth).alias("e")))
-    return materialise(hits.select(K1, K2, ranges.alias("r")).groupBy(K1, K2).agg(F.flatten(F.collect_list("r")).alias("ranges")), "repeats-ranges")
+    # copies of a row have the same anchors, so a set of what the anchors give holds each once
+    by_row = hits.select(K1, K2, ranges.alias("r")).groupBy(K1, K2).agg(F.collect_set("r").alias("r"), F.count("*").alias("n"))
+    done = materialise(by_row.select(K1, K2, F.flatten("r").alias("ranges"), F.ceil(F.col("n") / F.size("r")).alias("n")), "repeats-ranges")
+    discard(anchors, result)
+    return done
 
 
 def merged(ranges) -> list[tuple[int, int]]:
@@ -224,31 +281,40 @@ def merged(ranges) -> list[tuple[int, int]]:
     return [(s, e) for s, e in out]
 
 
-def without_repeats(docs: DataFrame, depth: int = DEPTH, gram: int = GRAM) -> DataFrame:
-    """Rows (doc_id, n_bytes, n_removed, n_spans, kept): the remaining bytes, which may cut a character where a window does."""
-    bounded_batches(docs.sparkSession)
+def shared_passages(docs: DataFrame, words: int = PASSAGE, gram: int = PASSAGE_GRAM, block: int = BLOCK) -> DataFrame:
+    """For docs with a row key: rows (key, ranges, n), the ranges of words in passages of words or more that another document has too."""
+    return repeated_ranges(docs, words, gram, WORDS, block)
+
+
+def without_repeats(docs: DataFrame, depth: int = DEPTH, gram: int = GRAM, passage: int = PASSAGE, passage_gram: int = PASSAGE_GRAM, block: int = BLOCK) -> DataFrame:
+    """Rows (doc_id, n_bytes, n_removed, n_spans, kept, n_passage_words): the remaining bytes, which may cut a character where a window does; the words in shared passages, which stay."""
+    spark = docs.sparkSession
+    bounded_batches(spark)
     keyed = with_row_key(docs.select("doc_id", "text"))
-    ranges = repeated_ranges(keyed, depth, gram)
+    ranges = repeated_ranges(keyed, depth, gram, BYTES, block).withColumnRenamed("n", "n_rows")
+    shared = shared_passages(keyed, passage, passage_gram, block).select(K1, K2, F.col("ranges").alias("passages"), F.col("n").alias("n_shared"))
+    either = ranges.join(shared, [K1, K2], "full").withColumn("n", F.coalesce("n_rows", "n_shared"))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
             out = []
-            for text, ranges in zip(b.column(1), b.column(2).to_pylist()):
+            for text, ranges, passages in zip(b.column(1), b.column(2).to_pylist(), b.column(3).to_pylist()):
                 raw = text.as_py() if text.is_valid else b""
                 runs, at, kept = merged(ranges), 0, []
                 for s, e in runs:
                     kept.append(raw[at:s])
                     at = e
-                out.append((len(raw), sum(e - s for s, e in runs), len(runs), b"".join([*kept, raw[at:]])))
-            cols = list(zip(*out)) or [[]] * 4
-            yield pa.RecordBatch.from_arrays([b.column(0), *(pa.array(c, t) for c, t in zip(cols, (pa.int64(), pa.int64(), pa.int64(), pa.binary())))], names=["doc_id", "n_bytes", "n_removed", "n_spans", "kept"])
+                out.append((len(raw), sum(e - s for s, e in runs), len(runs), b"".join([*kept, raw[at:]]), sum(e - s for s, e in merged(passages))))
+            cols = list(zip(*out)) or [[]] * 5
+            yield pa.RecordBatch.from_arrays([b.column(0), *(pa.array(c, t) for c, t in zip(cols, (pa.int64(), pa.int64(), pa.int64(), pa.binary(), pa.int64())))], names=["doc_id", "n_bytes", "n_removed", "n_spans", "kept", "n_passage_words"])
 
-    joined = keyed.select(K1, K2, "doc_id", F.col("text").cast("binary").alias("text")).join(ranges, [K1, K2], "left")
+    texts = keyed.select(K1, K2, "doc_id", F.col("text").cast("binary").alias("text"))
+    joined = join_hot(texts, either.select(K1, K2, "ranges", "passages", "n"), [K1, K2], "n", max(1, keyed.count()), how="left")
     kind = docs.schema["doc_id"].dataType.simpleString()
-    return joined.select("doc_id", "text", "ranges").mapInArrow(run, f"doc_id {kind}, n_bytes long, n_removed long, n_spans long, kept binary")
+    return joined.select("doc_id", "text", "ranges", "passages").mapInArrow(run, f"doc_id {kind}, n_bytes long, n_removed long, n_spans long, kept binary, n_passage_words long")
 
 
 def op2_repeated_windows(spark, sf_dir: str) -> DataFrame:
-    """Every byte under a 400-byte string that starts twice or more goes; per document, what is left."""
+    """Every byte under a 400-byte string that starts twice or more goes; per document, what is left, and its words in passages of over 50 words that other documents share."""
     done = without_repeats(read_table(spark, sf_dir, "documents"))
-    return done.select("doc_id", "n_bytes", "n_removed", "n_spans", F.sha2("kept", 256).alias("kept_sha256"))
+    return done.select("doc_id", "n_bytes", "n_removed", "n_spans", F.sha2("kept", 256).alias("kept_sha256"), "n_passage_words")
