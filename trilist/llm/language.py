@@ -126,12 +126,20 @@ class Model:
 
 
 def train(labelled: DataFrame, per_language: int = PER_LANGUAGE) -> Model:
-    """Fit on rows (text, lang), at most per_language distinct texts a language, by smallest content hash."""
+    """Fit on rows (text, lang), at most per_language distinct texts a language, by smallest content hash.
+
+    What is broadcast and collected holds per_language rows a language, and a model for each pair of families: bounded by the number
+    of languages, not of documents.
+    """
     import numpy as np
 
     rows = labelled.filter("text IS NOT NULL AND lang IS NOT NULL").select("text", "lang", F.xxhash64("text").alias("h"))
+    # hashes are uniform: of d distinct ones, about 3 * per_language lie in this share of their range, so few meet in one task
+    hashes = rows.select("lang", "h").distinct()
+    share = hashes.groupBy("lang").agg((F.lit(3.0 * per_language) / F.count("*")).alias("share"))
+    near = hashes.join(F.broadcast(share), "lang").filter((F.col("h") / 2.0**64 + 0.5) <= F.col("share"))
     place = F.row_number().over(Window.partitionBy("lang").orderBy("h"))
-    few = rows.select("lang", "h").distinct().withColumn("place", place).filter(F.col("place") <= per_language).select("lang", "h")
+    few = near.withColumn("place", place).filter(F.col("place") <= per_language).select("lang", "h")
     few = rows.join(F.broadcast(few), ["lang", "h"]).groupBy("lang", "h").agg(F.first("text").alias("text"))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -151,10 +159,10 @@ def predict(docs: DataFrame, model: Model) -> DataFrame:
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            found = [model.predict(t) for t in b.column(1).to_pylist()]
+            found = [model.predict(t) for t in b.column(0).field("text").to_pylist()]
             yield pa.RecordBatch.from_arrays([b.column(0), pa.array([x for x, _ in found], pa.string()), pa.array([s for _, s in found], pa.float64())], names=["doc", "lang_pred", "score"])
 
-    rows = packed(docs, "text").select("doc", "text")
+    rows = packed(docs).select("doc")
     return rows.mapInArrow(run, f"doc {rows.schema['doc'].dataType.simpleString()}, lang_pred string, score double")
 
 

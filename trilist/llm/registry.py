@@ -15,6 +15,7 @@ def queries():
         "op5_family_svm": language.op5_family_svm,
         "op9_suffix_decontamination": decontaminate.op9_suffix_decontamination,
         "op6_digest_cache": tokencount.op6_digest_cache,
+        "token_cache_again": tokencount.token_cache_again,
         "op7_media_columns": media.op7_media_columns,
         "op8_source_mix": mixing.op8_source_mix,
         "op10_segment_reassembly": warc.op10_segment_reassembly,

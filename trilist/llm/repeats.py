@@ -236,14 +236,15 @@ def window_rows(regions: DataFrame, opened: DataFrame, depth: int, unit: Unit) -
 def repeated_ranges(docs: DataFrame, depth: int = DEPTH, gram: int = GRAM, unit: Unit = BYTES, block: int = BLOCK) -> DataFrame:
     """For docs with a row key: rows (key, ranges, n), the ranges [start, end) of all repeated windows in symbols; n rows have the key."""
     spark, fixed = docs.sparkSession, ["ah", "rid", *unit.carried]
-    anchors = materialise(anchor_rows(docs, depth, gram, unit, block), "repeats-anchors")
-    total = anchors.count()
-    distinct = materialise(anchors.groupBy("ah", "rid").agg(*unit.first(), *(F.first(c).alias(c) for c in (K1, K2, "p", "low", "high"))), "repeats-distinct")
-    # anchors with two regions or more; a frequent anchor meets its regions without being dealt to one task
-    mixed_anchors = anchors.groupBy("ah").agg(F.count("*").alias("n"), (F.min("rid") != F.max("rid")).alias("alike")).filter("alike")
-    held = join_hot(distinct, mixed_anchors, ["ah"], "n", total, how="left")
-    held = materialise(held.withColumn("alike", F.coalesce("alike", F.lit(False))).withColumn("whole", F.expr(unit.repeated)).filter("alike OR whole").drop("n"), "repeats-regions")
-    discard(distinct)
+    every = materialise(anchor_rows(docs, depth, gram, unit, block), "repeats-anchors")
+    total = every.count()
+    # the first digit drops most: anchors met once (or in one document) stand for no repeated window
+    met = every.groupBy("ah").agg(*unit.first(), (F.min("rid") != F.max("rid")).alias("alike")).filter(unit.repeated)
+    anchors = materialise(join_hot(every, met.select("ah", "alike", F.col("m").alias("n")), ["ah"], "n", total).drop("n"), "repeats-met")
+    discard(every)
+    release(spark)
+    distinct = anchors.groupBy("ah", "rid").agg(*unit.first(), *(F.first(c).alias(c) for c in (K1, K2, "p", "low", "high", "alike")))
+    held = materialise(distinct.withColumn("whole", F.expr(unit.repeated)).filter("alike OR whole"), "repeats-regions")
     release(spark)
     regions = materialise(cut_regions(docs, held.filter("alike"), depth, total, unit), "repeats-bodies")
     release(spark)
