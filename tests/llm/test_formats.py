@@ -50,8 +50,10 @@ def test_contamination_equals_brute_force(spark, block):
 def test_longest_matches(spark):
     item = " ".join(f"w{i}" for i in range(30))
     text = "start " + " ".join(f"w{i}" for i in range(5, 25)) + " stop"
-    got = decontaminate.longest_matches(docs(spark, [(1, text)]), spark.createDataFrame([(9, item)], "item_id long, text string")).collect()
-    assert [tuple(x) for x in got] == [(1, "9", 1, 5, 20)]
+    for block in (4_000_000, 5):
+        got = decontaminate.longest_matches(docs(spark, [(1, text), (1, text), (2, None), (3, "long " * 300_000 + text)]), spark.createDataFrame([(9, item), (8, "w1 w2")], "item_id long, text string"), block_words=block).collect()
+        assert sorted(tuple(x) for x in got) == [(1, "9", 1, 5, 20)] * 2 + [(3, "9", 300_001, 5, 20)]
+    assert decontaminate.longest_matches(docs(spark, []), spark.createDataFrame([(9, item)], "item_id long, text string")).count() == 0
 
 
 def test_language(spark):

@@ -6,8 +6,9 @@ word) are sorted into a suffix array. Every test suffix, cut to its window of ``
 that is shorter, is then looked up by two binary searches; the interval between them holds all its verbatim occurrences.
 Adjacent occurrences on one diagonal join to the longest matches.
 
-The benchmark goes to the executors in blocks of at most ``block_words`` words, so no broadcast grows with it beyond that;
-a task works through the blocks one after the other, and documents never move.
+The benchmark goes to the executors in blocks of about ``block_words`` words, so no broadcast grows with it beyond that. One
+block needs one pass in which documents never move; with more, each block is broadcast, passed over all documents, and
+destroyed before the next, and what the passes hit is joined to the documents by row.
 
 Edge cases: null text has no words and is clean; an item without words has no window; a null item_id is the id "null"; equal
 rows get equal results; an empty benchmark or document table is fine; other columns are ignored.
@@ -21,7 +22,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from trilist.llm.common import bounded_batches, packed, read_table
+from trilist.llm.common import K1, K2, bounded_batches, discard, join_hot, materialise, packed, read_table
 
 WIDTH, BLOCK_WORDS = 10, 4_000_000
 
@@ -92,17 +93,18 @@ class TestIndex:
         return at[order[place]], window
 
 
-def blocks(benchmark: DataFrame, width: int, block_words: int) -> list:
-    """Broadcast indexes of the items, in blocks; the driver holds the texts of one block at a time."""
-    spark, out, items, size = benchmark.sparkSession, [], [], 0
+def blocks(benchmark: DataFrame, width: int, block_words: int) -> Iterator[TestIndex]:
+    """Indexes of the items, in blocks; the driver holds the texts and the index of one block at a time."""
+    items, size = [], 0
     rows = benchmark.select(F.coalesce(F.col("item_id").cast("string"), F.lit("null")).alias("name"), F.col("text").cast("binary").alias("raw")).filter("raw IS NOT NULL")
     for row in rows.toLocalIterator():
         items.append((row.name, bytes(row.raw)))
         size += len(row.raw) // 2
         if size >= block_words:
-            out.append(spark.sparkContext.broadcast(TestIndex(items, width)))
+            yield TestIndex(items, width)
             items, size = [], 0
-    return [*out, spark.sparkContext.broadcast(TestIndex(items, width))] if items else out
+    if items:
+        yield TestIndex(items, width)
 
 
 def shard_ids(texts: list[bytes], vocabulary: dict, table: bytes, gap: int):
@@ -123,86 +125,133 @@ def shard_ids(texts: list[bytes], vocabulary: dict, table: bytes, gap: int):
     return np.concatenate(parts), np.array(starts), counts
 
 
-def matched(texts: list[bytes], indexes: list, width: int):
-    """For each text: its word count, the hit mask, the item names; and all matches (text, item, position, offset, words)."""
+def matched(texts: list[bytes], index: TestIndex, width: int) -> list[tuple]:
+    """For each text: its word count, its hit stretches [s, e), its item names, its maximal matches (item, doc word, item word, words)."""
     import numpy as np
 
-    table = letters()
-    names, hits, counts, matches = [set() for _ in texts], None, [0] * len(texts), []
-    for held in indexes:
-        index = held.value
-        ids, starts, counts = shard_ids(texts, index.vocabulary, table, width)
-        cover = np.zeros(len(ids) + 1, np.int32)
-        for n, (_, first, item, offset, _) in index.windows.items():
-            at, window = index.search(ids, n)
-            if not len(at):
-                continue
-            np.add.at(cover, at, 1)
-            np.add.at(cover, at + n, -1)
-            text = np.searchsorted(starts, at, "right") - 1
-            pairs = np.unique(np.stack([text, window]), axis=1)
-            for t, w in pairs.T:
-                names[t].update(index.names[i] for i in item[first[w] : first[w + 1]])
-            matches.append((index, n, text, at - starts[text], window))
-        mask = np.cumsum(cover[:-1]) > 0
-        mask = [mask[s : s + c] for s, c in zip(starts, counts)]
-        hits = mask if hits is None else [a | b for a, b in zip(hits, mask)]
-    if hits is None:
-        counts = [len(words_of(raw, table)) for raw in texts]
-        hits = [np.zeros(c, bool) for c in counts]
-    return counts, hits, names, matches
+    ids, starts, counts = shard_ids(texts, index.vocabulary, letters(), width)
+    lines: list[dict] = [{} for _ in texts]
+    for n, (_, first, item, offset, _) in index.windows.items():
+        at, window = index.search(ids, n)
+        text = np.searchsorted(starts, at, "right") - 1
+        for t, p, w in zip(text.tolist(), (at - starts[text]).tolist(), window.tolist()):
+            for k in range(first[w], first[w + 1]):
+                lines[t].setdefault((int(item[k]), p - int(offset[k]), n), []).append(p)
+    out = []
+    for count, found in zip(counts, lines):
+        matches = []
+        for (item, shift, n), places in found.items():
+            places.sort()
+            begin = places[0]
+            for x, y in zip(places, [*places[1:], None]):
+                if y is None or y > x + 1:
+                    matches.append((index.names[item], begin, begin - shift, x - begin + n))
+                    begin = y
+        spans: list[list[int]] = []
+        for s, e in sorted((m[1], m[1] + m[3]) for m in matches):
+            if spans and s <= spans[-1][1]:
+                spans[-1][1] = max(spans[-1][1], e)
+            else:
+                spans.append([s, e])
+        out.append((count, spans, sorted({m[0] for m in matches}), sorted(matches)))
+    return out
+
+
+MATCHES = "array<struct<item_id: string, doc_word: bigint, item_word: bigint, words: bigint>>"
+ARROW_MATCHES = pa.list_(pa.struct([("item_id", pa.string()), ("doc_word", pa.int64()), ("item_word", pa.int64()), ("words", pa.int64())]))
+
+
+def as_structs(matches: list[tuple]) -> list[dict]:
+    return [dict(zip(("item_id", "doc_word", "item_word", "words"), m)) for m in matches]
+
+
+def texts_in(column) -> list[bytes]:
+    return [(x or "").encode("utf-8", "surrogatepass") for x in column.field("text").to_pylist()]
 
 
 def contamination(docs: DataFrame, benchmark: DataFrame, width: int = WIDTH, block_words: int = BLOCK_WORDS) -> DataFrame:
-    """Rows (doc, n_words, n_hit, items): the row of docs as a struct, and its sorted item names."""
-    bounded_batches(docs.sparkSession)
+    """Rows (doc, n_words, n_hit, items, matches): the row of docs as a struct, its sorted item names and its maximal verbatim matches."""
+    spark = docs.sparkSession
+    bounded_batches(spark)
+    rows = packed(docs).select("doc", K1, K2)
+    kind = rows.schema["doc"].dataType.simpleString()
     indexes = blocks(benchmark, width, block_words)
-
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    head, more = next(indexes, TestIndex([], width)), next(indexes, None)
+    shape = f"doc {kind}, n_words long, n_hit long, items array<string>, matches {MATCHES}"
+
+    def finished(doc, found) -> pa.RecordBatch:
+        counts, spans, items, matches = zip(*found)
+        hits = pa.array([sum(e - s for s, e in x) for x in spans], pa.int64())
+        return pa.RecordBatch.from_arrays([doc, pa.array(counts, pa.int64()), hits, pa.array(items, pa.list_(pa.string())), pa.array(map(as_structs, matches), ARROW_MATCHES)], names=["doc", "n_words", "n_hit", "items", "matches"])
+
+    if more is None:
+        held = spark.sparkContext.broadcast(head)
+
+        def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            for b in batches:
+                if b.num_rows:
+                    yield finished(b.column(0), matched(texts_in(b.column(0)), held.value, width))
+
+        return rows.select("doc").mapInArrow(run, shape)
+
+    # one block after the other: each is in the executors' memory alone, and leaves only what it hit
+    parts, block = [], head
+    while block is not None:
+        held = spark.sparkContext.broadcast(block)
+
+        def scan(batches: Iterator[pa.RecordBatch], held=held) -> Iterator[pa.RecordBatch]:
+            for b in batches:
+                if b.num_rows:
+                    found = matched(texts_in(b.column(0)), held.value, width)
+                    hit = [i for i, x in enumerate(found) if x[3]]
+                    at = pa.array(hit, pa.int64())
+                    yield pa.RecordBatch.from_arrays([b.column(1).take(at), b.column(2).take(at), pa.array([as_structs(found[i][3]) for i in hit], ARROW_MATCHES)], names=[K1, K2, "matches"])
+
+        parts.append(materialise(rows.mapInArrow(scan, f"{K1} long, {K2} long, matches {MATCHES}"), "decontaminate-block"))
+        held.destroy()
+        block, more = more, next(indexes, None)
+    every = parts[0]
+    for part in parts[1:]:
+        every = every.unionByName(part)
+    # equal rows have one key and equal matches: a set holds them once
+    by_row = materialise(every.groupBy(K1, K2).agg(F.flatten(F.collect_set("matches")).alias("matches"), F.count("*").alias("n")), "decontaminate-matches")
+    discard(*parts)
+
+    def join(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        table = letters()
         for b in batches:
-            if b.num_rows:
-                counts, hits, names, _ = matched([x or b"" for x in b.column(1).to_pylist()], indexes, width)
-                yield pa.RecordBatch.from_arrays([b.column(0), pa.array(counts, pa.int64()), pa.array([int(h.sum()) for h in hits], pa.int64()), pa.array([sorted(x) for x in names], pa.list_(pa.string()))], names=["doc", "n_words", "n_hit", "items"])
+            if not b.num_rows:
+                continue
+            out = []
+            for raw, given in zip(texts_in(b.column(0)), b.column(1).to_pylist()):
+                matches = sorted((m["item_id"], m["doc_word"], m["item_word"], m["words"]) for m in given or ())
+                spans, end = [], 0
+                for s, e in sorted((m[1], m[1] + m[3]) for m in matches):
+                    if e > end:
+                        spans.append((max(s, end), e))
+                        end = e
+                out.append((len(words_of(raw, table)), spans, sorted({m[0] for m in matches}), matches))
+            yield finished(b.column(0), out)
 
-    rows = packed(docs, "text").select("doc", F.col("text").cast("binary").alias("text"))
-    return rows.mapInArrow(run, f"doc {rows.schema['doc'].dataType.simpleString()}, n_words long, n_hit long, items array<string>")
+    joined = join_hot(rows, by_row, [K1, K2], "n", max(1, rows.count()), how="left")
+    return joined.select("doc", "matches").mapInArrow(join, shape)
 
 
 def longest_matches(docs: DataFrame, benchmark: DataFrame, width: int = WIDTH, block_words: int = BLOCK_WORDS) -> DataFrame:
     """Maximal verbatim matches: rows (doc_id, item_id, doc_word, item_word, words), places counted in words from 0."""
-    bounded_batches(docs.sparkSession)
-    indexes = blocks(benchmark, width, block_words)
-
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in batches:
-            if not b.num_rows:
-                continue
-            _, _, _, matches = matched([x or b"" for x in b.column(1).to_pylist()], indexes, width)
-            lines: dict = {}
-            for index, n, text, at, window in matches:
-                _, first, item, offset, _ = index.windows[n]
-                for t, a, w in zip(text.tolist(), at.tolist(), window.tolist()):
-                    for k in range(first[w], first[w + 1]):
-                        lines.setdefault((t, index.names[item[k]], int(item[k]), a - int(offset[k]), n), []).append(a)
-            out = []
-            for (t, name, _, shift, n), places in lines.items():
-                places.sort()
-                begin = places[0]
-                for x, y in zip(places, [*places[1:], None]):
-                    if y is None or y > x + 1:
-                        out.append((t, name, begin, begin - shift, x - begin + n))
-                        begin = y
-            cols = list(zip(*out)) or [[]] * 5
-            yield pa.RecordBatch.from_arrays([b.column(0).take(pa.array(cols[0], pa.int64())), pa.array(cols[1], pa.string()), *(pa.array(c, pa.int64()) for c in cols[2:])], names=["doc_id", "item_id", "doc_word", "item_word", "words"])
-
-    kind = docs.schema["doc_id"].dataType.simpleString()
-    return docs.select("doc_id", F.col("text").cast("binary").alias("text")).mapInArrow(run, f"doc_id {kind}, item_id string, doc_word long, item_word long, words long")
+    found = contamination(docs.select("doc_id", "text"), benchmark, width, block_words)
+    return found.select("doc.doc_id", F.explode("matches").alias("m")).select("doc_id", "m.*")
 
 
 def op9_suffix_decontamination(spark, sf_dir: str) -> DataFrame:
-    """Ten-word windows of all benchmark items in all documents."""
-    found = contamination(read_table(spark, sf_dir, "documents"), read_table(spark, sf_dir, "benchmark"))
-    return found.select("doc.doc_id", "n_words", "n_hit", F.size("items").cast("long").alias("n_items"), F.sha2(F.array_join("items", ","), 256).alias("items_sha256"), (F.col("n_hit") > 0).alias("contaminated"))
+    """Ten-word windows of all benchmark items in all documents; and each document's longest match (ties: first in it, item, place in the item)."""
+    found = contamination(read_table(spark, sf_dir, "documents").select("doc_id", "text"), read_table(spark, sf_dir, "benchmark"))
+    order = F.transform("matches", lambda m: F.struct((-m["words"]).alias("less"), m["doc_word"].alias("doc_word"), m["item_id"].alias("item_id"), m["item_word"].alias("item_word")))
+    best = F.array_min(order)
+    return found.select(
+        "doc.doc_id", "n_words", "n_hit", F.size("items").cast("long").alias("n_items"), F.sha2(F.array_join("items", ","), 256).alias("items_sha256"), (F.col("n_hit") > 0).alias("contaminated"),
+        F.size("matches").cast("long").alias("n_matches"), F.coalesce(-best["less"], F.lit(0)).cast("long").alias("longest_words"), best["item_id"].alias("longest_item"), best["doc_word"].alias("longest_doc_word"), best["item_word"].alias("longest_item_word"),
+    )
 
 
 OP9_SQL = r"""
@@ -210,18 +259,22 @@ WITH d AS (
   SELECT row_number() OVER () AS r, doc_id,
          regexp_extract_all(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[^\x00-\x2F\x3A-\x60\x7B-\x7F]+') AS w FROM documents),
 i AS (
-  SELECT coalesce(item_id::VARCHAR, 'null') AS item,
+  SELECT row_number() OVER () AS ir, coalesce(item_id::VARCHAR, 'null') AS item,
          regexp_extract_all(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[^\x00-\x2F\x3A-\x60\x7B-\x7F]+') AS w FROM benchmark),
 iw AS (
-  SELECT DISTINCT item, least(10, len(w)) AS n, array_to_string(list_slice(w, p, p + least(10, len(w)) - 1), ' ') AS k
-  FROM (SELECT item, w, unnest(range(1, len(w) - least(10, len(w)) + 2)) AS p FROM i WHERE len(w) > 0)),
+  SELECT ir, item, q, least(10, len(w)) AS n, array_to_string(list_slice(w, q, q + least(10, len(w)) - 1), ' ') AS k
+  FROM (SELECT ir, item, w, unnest(range(1, len(w) - least(10, len(w)) + 2)) AS q FROM i WHERE len(w) > 0)),
 dw AS (
   SELECT r, p, n, array_to_string(list_slice(w, p, p + n - 1), ' ') AS k
   FROM (SELECT r, w, n, unnest(range(1, len(w) - n + 2)) AS p FROM d, (SELECT DISTINCT n FROM iw))),
-hit AS (SELECT r, p, n, item FROM dw JOIN iw USING (n, k)),
+hit AS (SELECT r, p, n, ir, item, q FROM dw JOIN iw USING (n, k)),
 cover AS (SELECT r, count(DISTINCT q) AS n_hit FROM (SELECT DISTINCT r, p, n FROM hit), unnest(range(p, p + n)) AS t(q) GROUP BY r),
-its AS (SELECT r, count(*) AS n_items, string_agg(item, ',' ORDER BY item) AS items FROM (SELECT DISTINCT r, item FROM hit) GROUP BY r)
+its AS (SELECT r, count(*) AS n_items, string_agg(item, ',' ORDER BY item) AS items FROM (SELECT DISTINCT r, item FROM hit) GROUP BY r),
+runs AS (SELECT *, p - row_number() OVER (PARTITION BY r, ir, p - q ORDER BY p) AS island FROM hit),
+matches AS (SELECT r, ir, item, min(p) - 1 AS doc_word, min(q) - 1 AS item_word, max(p) - min(p) + any_value(n) AS words FROM runs GROUP BY r, ir, item, p - q, island),
+best AS (SELECT r, doc_word, item, item_word, words, count(*) OVER (PARTITION BY r) AS n_matches, row_number() OVER (PARTITION BY r ORDER BY words DESC, doc_word, item, item_word) AS place FROM matches)
 SELECT doc_id, len(w)::BIGINT AS n_words, coalesce(n_hit, 0)::BIGINT AS n_hit, coalesce(n_items, 0)::BIGINT AS n_items,
-       sha256(coalesce(items, '')) AS items_sha256, coalesce(n_hit, 0) > 0 AS contaminated
-FROM d LEFT JOIN cover USING (r) LEFT JOIN its USING (r)
+       sha256(coalesce(items, '')) AS items_sha256, coalesce(n_hit, 0) > 0 AS contaminated, coalesce(n_matches, 0)::BIGINT AS n_matches,
+       coalesce(words, 0)::BIGINT AS longest_words, b.item AS longest_item, b.doc_word::BIGINT AS longest_doc_word, b.item_word::BIGINT AS longest_item_word
+FROM d LEFT JOIN cover USING (r) LEFT JOIN its USING (r) LEFT JOIN (SELECT * FROM best WHERE place = 1) b USING (r)
 """
