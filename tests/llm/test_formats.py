@@ -142,6 +142,23 @@ def test_tool_links(spark):
     assert next(x.json for x in got if (x.conv_id, x.turn) == (1, 2)) == '{"content":{"a":"é","b":1},"role":"tool","tool_call_id":"c1"}'
 
 
+def test_legal_json_never_crashes(spark):
+    tool = lambda a: '{"tool_calls":[{"id":"i","name":"search","arguments":' + a + "}]}"
+    plain = ["1e400", '{"query":"\\ud800"}', "[" * 150 + "]" * 150, "NaN"]
+    rows = [(k, 0, "assistant", tool(a)) for k, a in enumerate(plain)] + [(10, 0, "assistant", tool('{"query":"x","limit":' + "9" * 400 + "}")), (11, 0, "assistant", tool('{"query":"' + "é" * 3_000_000 + '"}')), (12, 0, "tool", '{"tool_call_id":"\\udc00"}')]
+    schema = "conv_id long, turn long, role string, text string"
+    got = {x.conv_id: (x.kind, x.status, x.problem) for x in chat.format_chat(spark.createDataFrame(rows, schema)).collect()}
+    assert all(got[k] == ("message", "message", None) for k in (0, 1, 2, 3, 12))
+    assert got[10] == ("call", "invalid", "$.limit: out of range") and got[11] == ("call", "unanswered", None)
+    assert chat.format_chat(spark.createDataFrame([], schema)).count() == 0
+
+
+def test_given_conversations_as_calls_reach_every_status(spark):
+    done = chat.op3_tool_links(spark, "/root/testdata/sf0.01")
+    assert {x.status for x in done.select("status").distinct().collect()} >= {"message", "ok", "orphan", "invalid", "unknown_tool", "missing", "unanswered"}
+    assert done.filter("level > 0").count() > 0
+
+
 def test_language_of_many_copies_is_learned(spark):
     copies = [(f"le chat numero {'abcdefghij'[i % 10]}{'klmno'[i % 5]} dort", "fr") for i in range(10)] * 2000
     rows = spark.createDataFrame(copies + [("the cat sleeps", "en")] * 3, "text string, lang string")

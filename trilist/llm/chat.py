@@ -15,22 +15,26 @@ unanswered (no result), cyclic (depends on itself) and missing (depends on a cal
 A call gets the first that holds of duplicate, unknown_tool, invalid, missing, cyclic, unanswered, ok.
 
 Edge cases: null text is empty content, a null role is JSON null, a null conv_id is a conversation of its own and a null
-turn comes before all others; repeated rows give repeated events; broken JSON is a plain message; an empty table gives no rows;
-other columns are ignored.
+turn comes before all others; repeated rows give repeated events; broken JSON is a plain message, as is JSON with numbers that
+are not finite, with half a surrogate pair, or nested deeper than 100 levels; whole numbers may be of any size; an empty table
+gives no rows; other columns are ignored.
 """
 
 from __future__ import annotations
 
 import json
+import math
 from collections.abc import Iterator
 
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from trilist.llm.common import bounded_batches, join_hot, materialise, read_table
+from trilist.llm.common import bounded_batches, discard, join_hot, materialise, read_table
 
 EVENT = "conv_id {conv}, turn {turn}, idx int, kind string, role string, call_id string, name string, body string, problem string, refs array<string>"
+#: JSON nested deeper than this is a plain message.
+DEEPEST = 100
 #: Tools that the query knows.
 TOOLS = {
     "search": {"type": "object", "properties": {"query": {"type": "string", "minLength": 1}, "limit": {"type": "integer", "minimum": 1, "maximum": 100}}, "required": ["query"], "additionalProperties": False},
@@ -52,13 +56,23 @@ def canonical(value) -> str:
 
 
 def strict(text: str):
-    """Parsed JSON, or None where it is broken or holds NaN or infinities."""
+    """Parsed JSON, or None where it is broken, holds numbers that are not finite or half a surrogate pair, or is nested deeper than DEEPEST."""
 
     def refuse(name):
         raise ValueError(name)
 
+    def finite(digits):
+        return found if math.isfinite(found := float(digits)) else refuse(digits)
+
     try:
-        return json.loads(text, parse_constant=refuse)
+        value = json.loads(text, parse_constant=refuse, parse_float=finite)
+        level = [value]
+        for _ in range(DEEPEST):
+            level = [x for v in level if isinstance(v, (dict, list)) for x in (v.values() if isinstance(v, dict) else v)]
+        if any(isinstance(v, (dict, list)) for v in level):
+            return None
+        canonical(value).encode()
+        return value
     except (ValueError, RecursionError):
         return None
 
@@ -72,7 +86,7 @@ def problem_of(value, schema: dict, at: str = "$") -> str | None:
     kinds = {"object": dict, "array": list, "string": str, "boolean": bool, "null": type(None)}
     kind = schema.get("type")
     number = isinstance(value, (int, float)) and not isinstance(value, bool)
-    if kind in kinds and not isinstance(value, kinds[kind]) or kind == "number" and not number or kind == "integer" and not (number and float(value).is_integer()):
+    if kind in kinds and not isinstance(value, kinds[kind]) or kind == "number" and not number or kind == "integer" and not (number and (isinstance(value, int) or value.is_integer())):
         return f"{at}: not of type {kind}"
     if "enum" in schema and value not in schema["enum"] or "const" in schema and value != schema["const"]:
         return f"{at}: not an allowed value"
@@ -170,8 +184,10 @@ def places(calls: DataFrame) -> DataFrame:
         placed = materialise(placed.select("ck", "call_id", F.col("new_at").alias("at"), "level"), "chat-placed")
         if placed.isEmpty():
             break
+        spent = (done, waiting, placed)
         done = materialise(done.unionByName(placed), "chat-placed")
         waiting = materialise(waiting.join(placed, ["ck", "call_id"], "left_anti"), "chat-waiting")
+        discard(*spent)
     stuck = waiting.withColumns({"level": F.lit(0), "cyclic": F.lit(True)})
     both = done.withColumn("cyclic", F.lit(False)).unionByName(stuck.select("ck", "call_id", "at", "level", "cyclic"))
     return both.join(missing, ["ck", "call_id"], "left").withColumn("missing", F.coalesce("missing", F.lit(False)))
@@ -204,15 +220,78 @@ def format_chat(messages: DataFrame, tools: dict | None = None) -> DataFrame:
     return plain.select(*shape).unionByName(linked_calls.select(*shape)).unionByName(linked_results.select(*shape))
 
 
-def op3_tool_links(spark, sf_dir: str) -> DataFrame:
-    """All conversations as ordered events; the JSON by length and digest."""
-    done = format_chat(read_table(spark, sf_dir, "conversations"))
+def as_tool_chat(messages: DataFrame) -> DataFrame:
+    """Conversations as calls and results, by a fixed rule on turn and length, for tables that hold none; (conv_id, turn, role, text).
+
+    A message of an assistant becomes a call of the identifier c0 to c5 for its turn, with the whole text, or a reference two turns on or
+    back, as its query; a user's message after turn 0 becomes the result for the turn before. So there are calls that
+    are answered, unanswered, invalid, unknown, missing something, cyclic, or repeat an identifier. Other rows stay.
+    """
+    size = F.coalesce(F.length("text"), F.lit(0))
+    name = lambda turn: F.concat(F.lit("c"), F.pmod(turn, F.lit(6)).cast("string"))
+    turn, limit = F.col("turn").cast("long"), (size % 110).alias("limit")
+    there = F.when(size % 4 == 1, name(turn + 2)).when((size % 4 == 2) & (turn >= 3), name(turn - 2))
+    linked = F.to_json(F.struct(limit, F.struct(there.alias("$result")).alias("query")))
+    given = F.when(there.isNotNull(), linked).otherwise(F.to_json(F.struct(limit, F.coalesce("text", F.lit("")).alias("query"))))
+    call = F.struct(name(turn).alias("id"), F.when(size % 7 == 0, "lookup").otherwise("search").alias("name"), given.alias("arguments"))
+    asked = F.to_json(F.struct(F.when(size % 3 == 0, F.coalesce("text", F.lit(""))).alias("content"), F.array(call).alias("tool_calls")))
+    answer = F.to_json(F.struct(name(turn - 1).alias("tool_call_id"), F.coalesce("text", F.lit("")).alias("content")))
+    calls, answers = (F.col("role") == "assistant") & turn.isNotNull(), (F.col("role") == "user") & (turn > 0)
+    return messages.select("conv_id", "turn", F.when(answers, "tool").otherwise(F.col("role")).alias("role"), F.when(calls, asked).when(answers, answer).otherwise(F.col("text")).alias("text"))
+
+
+def digested(done: DataFrame) -> DataFrame:
     return done.select("conv_id", "turn", "idx", "kind", "status", "at", "level", "step", F.octet_length("json").cast("long").alias("json_bytes"), F.sha2("json", 256).alias("json_sha256"))
 
 
-#: The given conversations hold no tool message, so every row is a plain message here; links are tested on fixtures.
-OP3_SQL = """
+def op3_tool_links(spark, sf_dir: str) -> DataFrame:
+    """All conversations as calls and results, linked, ordered and validated; the JSON by length and digest."""
+    return digested(format_chat(as_tool_chat(read_table(spark, sf_dir, "conversations"))))
+
+
+def chat_messages(spark, sf_dir: str) -> DataFrame:
+    """All conversations as they are given: plain messages."""
+    return digested(format_chat(read_table(spark, sf_dir, "conversations")))
+
+
+MESSAGES_SQL = """
 WITH m AS (SELECT conv_id, turn, '{"content":' || to_json(coalesce(text, ''))::VARCHAR || ',"role":' || coalesce(to_json(role)::VARCHAR, 'null') || '}' AS j FROM conversations)
 SELECT conv_id, turn, 0::INT AS idx, 'message' AS kind, 'message' AS status, coalesce(turn, -1)::BIGINT AS at, 0::INT AS level, 0::INT AS step,
        octet_length(encode(j))::BIGINT AS json_bytes, sha256(j) AS json_sha256 FROM m
 """
+#: The rule of as_tool_chat and what follows from it: a call has one need at most, so places come from one recursion.
+OP3_SQL = """
+WITH RECURSIVE m AS (SELECT conv_id, turn, role, coalesce(text, '') AS t, length(coalesce(text, '')) AS n, role = 'assistant' AND turn IS NOT NULL AS asks, role = 'user' AND turn > 0 AS answers FROM conversations),
+calls AS (
+  SELECT *, 'c' || (turn % 6) AS id, CASE WHEN n % 4 = 1 THEN 'c' || ((turn + 2) % 6) WHEN n % 4 = 2 AND turn >= 3 THEN 'c' || ((turn - 2) % 6) END AS need,
+         row_number() OVER (PARTITION BY conv_id, turn % 6 ORDER BY turn) AS nth FROM m WHERE asks),
+heads AS (SELECT conv_id, id, turn, need FROM calls WHERE nth = 1),
+wired AS (SELECT h.*, p.id AS met FROM heads h LEFT JOIN heads p ON h.conv_id IS NOT DISTINCT FROM p.conv_id AND h.need = p.id),
+placed(conv_id, id, spot, level) AS (
+  SELECT conv_id, id, turn, 0 FROM wired WHERE met IS NULL
+  UNION ALL
+  SELECT w.conv_id, w.id, greatest(w.turn, p.spot), CASE WHEN p.spot >= w.turn THEN p.level + 1 ELSE 0 END FROM wired w JOIN placed p ON w.conv_id IS NOT DISTINCT FROM p.conv_id AND w.met = p.id),
+known AS (
+  SELECT w.conv_id, w.id, w.need IS NOT NULL AND w.met IS NULL AS missing, p.id IS NULL AS cyclic, coalesce(p.spot, w.turn) AS spot, coalesce(p.level, 0) AS level
+  FROM wired w LEFT JOIN placed p ON w.conv_id IS NOT DISTINCT FROM p.conv_id AND w.id = p.id),
+results AS (SELECT *, 'c' || ((turn - 1) % 6) AS id FROM m WHERE answers),
+answered AS (SELECT DISTINCT conv_id, id FROM results),
+events AS (
+  SELECT c.conv_id, c.turn, 1 AS idx, 'call' AS kind,
+         CASE WHEN nth > 1 THEN 'duplicate' WHEN n % 7 = 0 THEN 'unknown_tool' WHEN n % 110 NOT BETWEEN 1 AND 100 OR need IS NULL AND n = 0 THEN 'invalid'
+              WHEN missing THEN 'missing' WHEN cyclic THEN 'cyclic' WHEN a.id IS NULL THEN 'unanswered' ELSE 'ok' END AS status,
+         CASE WHEN nth > 1 THEN c.turn ELSE k.spot END AS spot, CASE WHEN nth > 1 THEN 0 ELSE k.level END AS level, 0 AS step,
+         '{"role":"assistant","tool_call":{"arguments":{"limit":' || (n % 110) || ',"query":' || CASE WHEN need IS NULL THEN to_json(t)::VARCHAR ELSE '{"$result":"' || need || '"}' END
+         || '},"id":"' || c.id || '","name":"' || CASE WHEN n % 7 = 0 THEN 'lookup' ELSE 'search' END || '"}}' AS j
+  FROM calls c LEFT JOIN known k ON c.conv_id IS NOT DISTINCT FROM k.conv_id AND c.id = k.id LEFT JOIN answered a ON c.conv_id IS NOT DISTINCT FROM a.conv_id AND c.id = a.id
+  UNION ALL
+  SELECT conv_id, turn, 0, 'message', 'message', turn, 0, 0, '{"content":' || to_json(t)::VARCHAR || ',"role":"assistant"}' FROM calls WHERE n % 3 = 0
+  UNION ALL
+  SELECT r.conv_id, r.turn, 0, 'result', CASE WHEN k.id IS NULL THEN 'orphan' ELSE 'ok' END, coalesce(k.spot, r.turn), coalesce(k.level, 0), CASE WHEN k.id IS NULL THEN 0 ELSE 1 END,
+         '{"content":' || to_json(t)::VARCHAR || ',"role":"tool","tool_call_id":"' || r.id || '"}'
+  FROM results r LEFT JOIN known k ON r.conv_id IS NOT DISTINCT FROM k.conv_id AND r.id = k.id
+  UNION ALL
+  SELECT conv_id, turn, 0, 'message', 'message', coalesce(turn, -1), 0, 0, '{"content":' || to_json(t)::VARCHAR || ',"role":' || coalesce(to_json(role)::VARCHAR, 'null') || '}'
+  FROM m WHERE NOT coalesce(asks, FALSE) AND NOT coalesce(answers, FALSE))
+SELECT conv_id, turn, idx::INT AS idx, kind, status, spot::BIGINT AS at, level::INT AS level, step::INT AS step, octet_length(encode(j))::BIGINT AS json_bytes, sha256(j) AS json_sha256 FROM events
+"""

@@ -11,6 +11,7 @@ def queries():
         "op1_line_spread": lines.op1_line_spread,
         "op2_repeated_windows": repeats.op2_repeated_windows,
         "op3_tool_links": chat.op3_tool_links,
+        "chat_messages": chat.chat_messages,
         "op4_simhash_grid": simhash.op4_simhash_grid,
         "op5_family_svm": language.op5_family_svm,
         "op9_suffix_decontamination": decontaminate.op9_suffix_decontamination,
@@ -24,4 +25,4 @@ def queries():
 
 
 def oracle_sql():
-    return {"op1_line_spread": lines.OP1_SQL, "op3_tool_links": chat.OP3_SQL, "op8_source_mix": mixing.OP8_SQL, "op10_segment_reassembly": warc.OP10_SQL, "op9_suffix_decontamination": decontaminate.OP9_SQL}
+    return {"op1_line_spread": lines.OP1_SQL, "op3_tool_links": chat.OP3_SQL, "chat_messages": chat.MESSAGES_SQL, "op8_source_mix": mixing.OP8_SQL, "op10_segment_reassembly": warc.OP10_SQL, "op9_suffix_decontamination": decontaminate.OP9_SQL}
