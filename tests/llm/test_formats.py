@@ -1,4 +1,5 @@
 import hashlib
+import io
 import json
 import random
 import re
@@ -84,6 +85,43 @@ def test_token_cache(spark, tmp_path):
             assert got == {(i, len(sp.encode(t or ""))) for i, t in rows}
 
 
+def brute_resize(image, height, width):
+    """Each target cell's mean over the area of the samples it covers."""
+    h, w = image.shape
+    out = np.zeros((height, width))
+    for a in range(height):
+        for b in range(width):
+            for y in range(h):
+                for x in range(w):
+                    dy = min(y + 1, (a + 1) * h / height) - max(y, a * h / height)
+                    dx = min(x + 1, (b + 1) * w / width) - max(x, b * w / width)
+                    out[a, b] += max(0, dy) * max(0, dx) * image[y, x]
+    return out / (h / height * w / width)
+
+
+def brute_media(text):
+    """What op7 returns of a text, but its feature by brute force."""
+    raw = (text or "").encode()
+    payload = raw + b"\0" * (max(64, -(-len(raw) // 64) * 64) - len(raw))
+    image = np.frombuffer(payload, np.uint8).reshape(-1, 64)
+    stored = [media.encode_pgm, media.encode_bmp][zlib.crc32(raw) % 2](image)
+    small = np.round(brute_resize(image, 8, 9), 6)
+    dhash = "".join("01"[int(v)] for v in (small[:, 1:] > small[:, :-1]).ravel())
+    tile = np.round(np.round(brute_resize(image, 16, 16), 6)).astype(np.uint8)
+    sha = lambda b: hashlib.sha256(b).hexdigest()
+    return len(raw), len(payload), sha(payload), zlib.crc32(payload[-64:]), len(stored), sha(stored), f"{int(dhash, 2):016x}:{sha(media.npy(tile))}"
+
+
+def test_media_query_equals_brute_force(spark, tmp_path):
+    r = random.Random(6)
+    texts = [None, "", "x", "x", "é" * 33] + ["".join(r.choice("abc é\n") for _ in range(r.randint(0, 900))) for _ in range(12)]
+    docs(spark, list(enumerate(texts))).write.parquet(str(tmp_path / "documents.parquet"))
+    got = {x[0]: tuple(x)[1:] for x in media.op7_media_columns(spark, str(tmp_path)).collect()}
+    assert got == {i: brute_media(t) for i, t in enumerate(texts)}
+    docs(spark, []).write.parquet(str(tmp_path / "none/documents.parquet"))
+    assert media.op7_media_columns(spark, str(tmp_path / "none")).count() == 0
+
+
 def test_media(spark):
     r = np.random.default_rng(0)
     grey, colour = r.integers(0, 256, (7, 13), dtype=np.uint8), r.integers(0, 256, (6, 5, 3), dtype=np.uint8)
@@ -95,12 +133,15 @@ def test_media(spark):
     big = r.integers(0, 256, (12, 18)).astype(np.uint8)
     assert np.allclose(media.area_resize(big, 4, 6), big.reshape(4, 3, 6, 3).mean((1, 3)))
     assert np.allclose(media.area_resize(big, 5, 7).mean(), big.mean())
+    for h, w in ((5, 7), (16, 16), (1, 1), (29, 3)):
+        assert np.allclose(media.area_resize(big, h, w), brute_resize(big, h, w))
+    assert np.load(io.BytesIO(media.npy(big))).tolist() == big.tolist()
     for bad in (b"GIF89a", b"P5\n9 9\n255\nxx", b"P5\n1 1\n65535\nxx"):
         with pytest.raises(ValueError):
             media.decode(bad)
     rows = [(1, "text é"), (2, None), (3, "a" * 64), (4, "a" * 65), (5, "text é")]
     payloads = docs(spark, rows).selectExpr("doc_id", "CAST(coalesce(text, '') AS BINARY) AS payload")
-    for codec in ("pgm", "bmp"):
+    for codec in ("pgm", "bmp", "either"):
         got = {x.doc_id: x for x in media.tiles(media.store(payloads, "doc_id", "payload", codec), ["doc_id", "n_bytes"]).collect()}
         for i, t in rows:
             raw = (t or "").encode()
@@ -120,6 +161,8 @@ def test_warc_round_trip(spark, tmp_path):
         html = next((h or "") for i, _, h in rows if str(i or "") == (x.page_id or ""))
         assert x.digest == hashlib.sha256(html.encode()).hexdigest()
         assert x.record_type == "revisit" or bytes(x.payload) == html.encode()
+    warc.write_archives(pages.filter("page_id < 0"), str(tmp_path / "none"))
+    assert warc.read_archives(spark, str(tmp_path / "none")).count() == 0
     assert warc.unchunked(b"4;x=1\r\nabcd\r\n0\r\nTrailer: 1\r\n\r\n") == b"abcd"
     with pytest.raises(ValueError):
         list(warc.parse(b"WARC/1.1\r\nContent-Length: 3\r\n\r\nab\r\n\r\n"))

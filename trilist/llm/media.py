@@ -1,7 +1,8 @@
 """Media columns: Netpbm and BMP images in binary columns, as numpy arrays, resized tiles in NPY form, difference hashes.
 
-``store`` writes encoded images as a Parquet table in the shared folder, ``tiles`` reads such a column back, decodes each image,
-resizes it by area (differences of an integral image, exact for fractional edges) and returns NPY bytes and a hash.
+``store`` writes encoded images as a Parquet table in the shared folder (as PGM, as BMP, or as one of both by the payload's checksum),
+``tiles`` reads such a column back, decodes each image, resizes it by area (differences of an integral image, exact for
+fractional edges) and returns NPY bytes and a hash; the query stores the NPY tiles too and takes the feature from what it reads back.
 
 Edge cases: a null or empty payload becomes one row of 64 zero samples in the query; null media gives nulls; unknown or
 broken media raises ValueError with its first bytes; equal payloads have equal results; an empty table gives no rows.
@@ -140,17 +141,17 @@ def npy(array) -> bytes:
     import numpy as np
 
     out = io.BytesIO()
-    np.save(out, array, allow_pickle=False)
+    np.save(out, np.ascontiguousarray(array), allow_pickle=False)
     return out.getvalue()
 
 
 def store(payloads: DataFrame, key: str, payload: str, codec: str = "pgm", width: int = WIDTH) -> DataFrame:
-    """Write the bytes in column payload as grey images (key, n_bytes, media) and read them back from the shared folder.
+    """codec: pgm, bmp, or either for one of them by the payload's CRC-32 (even: pgm). Write the bytes in column payload as grey images (key, n_bytes, media) and read them back from the shared folder.
 
     Bytes are samples in rows of width; zeros fill up the last row, and there is one row at least.
     """
     bounded_batches(payloads.sparkSession)
-    encode = {"pgm": encode_pgm, "bmp": encode_bmp}[codec]
+    encode = {"pgm": (encode_pgm, encode_pgm), "bmp": (encode_bmp, encode_bmp), "either": (encode_pgm, encode_bmp)}[codec]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         import numpy as np
@@ -161,7 +162,7 @@ def store(payloads: DataFrame, key: str, payload: str, codec: str = "pgm", width
                 raw = x.as_py() or b""
                 rows = max(1, -(-len(raw) // width))
                 sizes.append(len(raw))
-                media.append(encode(np.frombuffer(raw.ljust(rows * width, b"\0"), np.uint8).reshape(rows, width)))
+                media.append(encode[zlib.crc32(raw) % 2](np.frombuffer(raw.ljust(rows * width, b"\0"), np.uint8).reshape(rows, width)))
             yield pa.RecordBatch.from_arrays([b.column(0), pa.array(sizes, pa.int64()), pa.array(media, pa.binary())], names=[key, "n_bytes", "media"])
 
     kind = payloads.schema[key].dataType.simpleString()
@@ -179,7 +180,7 @@ def tiles(media: DataFrame, keys: list[str], column: str = "media", size: int =
             for x in b.column(len(keys)):
                 image = decode(x.as_py()) if x.is_valid else None
                 samples.append(None if image is None else image.tobytes())
-                tile.append(None if image is None else npy(np.round(area_resize(image, size, size)).astype(np.uint8)))
+                tile.append(None if image is None else npy(np.round(np.round(area_resize(image, size, size), 6)).astype(np.uint8)))
                 marks.append(None if image is None else difference_hash(image))
             yield pa.RecordBatch.from_arrays([*b.columns, pa.array(samples, pa.binary()), pa.array(tile, pa.binary()), pa.array(marks, pa.string())], names=[*keys, column, "samples", "tile", "dhash"])
 
@@ -188,12 +189,14 @@ def tiles(media: DataFrame, keys: list[str], column: str = "media", size: int =
 
 
 def op7_media_columns(spark, sf_dir: str) -> DataFrame:
-    """Whole texts as grey images: stored as PGM, read back, decoded, digested."""
+    """Whole texts as grey images: stored as PGM or BMP, read back, decoded, digested; their tiles stored as NPY and read back."""
     docs = read_table(spark, sf_dir, "documents").select("doc_id", text_of().cast("binary").alias("payload"))
-    done = tiles(store(docs, "doc_id", "payload"), ["doc_id", "n_bytes"])
+    done = tiles(store(docs, "doc_id", "payload", "either"), ["doc_id", "n_bytes"])
     size = F.octet_length("samples")
-    return done.select(
+    kept = done.select(
         "doc_id", "n_bytes", size.cast("long").alias("payload_bytes"), F.sha2("samples", 256).alias("payload_sha256"),
         F.crc32(F.substring("samples", -64, 64)).alias("tail_crc32"), F.octet_length("media").cast("long").alias("media_bytes"),
-        F.sha2("media", 256).alias("media_sha256"), F.concat_ws(":", "dhash", F.sha2("tile", 256)).alias("feature"),
-    )
+        F.sha2("media", 256).alias("media_sha256"), "dhash", "tile",
+    )
+    back = materialise(kept, "media-tiles")
+    return back.withColumn("feature", F.concat_ws(":", "dhash", F.sha2("tile", 256))).drop("dhash", "tile")

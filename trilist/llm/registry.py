@@ -13,6 +13,7 @@ def queries():
         "op3_tool_links": chat.op3_tool_links,
         "chat_messages": chat.chat_messages,
         "op4_simhash_grid": simhash.op4_simhash_grid,
+        "simhash_paths": simhash.simhash_paths,
         "op5_family_svm": language.op5_family_svm,
         "op9_suffix_decontamination": decontaminate.op9_suffix_decontamination,
         "op6_digest_cache": tokencount.op6_digest_cache,

@@ -5,7 +5,9 @@ exceeds the Hamming distance of the fingerprints, so a range join of radius 2 un
 form four blocks; vectors within distance 2 agree on two blocks at least, so a cell is a pair of blocks with its counts,
 and each fingerprint lies in six cells. Inside a cell, pairs within Manhattan distance 2 are verified on all 64 bits.
 
-Cells with more than ``cell_limit`` fingerprints are not paired: there, fingerprints meet at the points within one bit of
+Fingerprints of cells with more than ``cell_limit`` go to a finer grid: eight blocks, of which vectors within distance 2
+agree on six at least, so a cell is six blocks with their counts and each fingerprint lies in 28. Cells that are still over
+the limit are not paired: there, fingerprints meet at the points within one bit of
 them (two fingerprints differ in at most two bits exactly if they share such a point; at most 65 meet at one), which links
 the same pairs in linear work. Equal fingerprints are one node, so copies are never paired.
 
@@ -16,12 +18,13 @@ doc_id is never a component's name unless all are null; equal rows get equal res
 from __future__ import annotations
 
 from collections.abc import Iterator
+from itertools import combinations
 
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from trilist.llm.common import bounded_batches, components, join_hot, materialise, read_table
+from trilist.llm.common import bounded_batches, components, discard, join_hot, materialise, read_table
 
 RADIUS, CELL_LIMIT = 2, 64
 LOW_BITS = 0x5555555555555555
@@ -63,27 +66,45 @@ def fingerprints(docs: DataFrame, keys: list[str], width: int) -> DataFrame:
     return docs.select(*keys, "text").mapInArrow(run, schema)
 
 
-def links(fps: DataFrame, cell_limit: int = CELL_LIMIT) -> DataFrame:
-    """Edges (a, b) between different fingerprints that connect all those within two bits of each other."""
-    low = F.lit(LOW_BITS)
+def grid(fps: DataFrame, blocks: int, agree: int) -> DataFrame:
+    """Rows (fp, v, pick, cell): each fingerprint's segment counts v and its cells, one for each choice of agreeing blocks."""
+    low, width = F.lit(LOW_BITS), 64 // blocks
     odd = F.shiftrightunsigned("fp", 1)
     both, one = F.col("fp").bitwiseAND(odd).bitwiseAND(low), F.col("fp").bitwiseXOR(odd).bitwiseAND(low)
     counts = F.shiftleft(both, 1).bitwiseOR(one)  # 0, 1 or 2 in each two-bit field
-    masks = [(i, j, ((0xFFFF << 16 * i | 0xFFFF << 16 * j) + 2**63) % 2**64 - 2**63) for i in range(4) for j in range(i + 1, 4)]
-    cells = fps.select("fp", counts.alias("v")).select("fp", "v", F.explode(F.array(*(F.struct(F.lit(4 * i + j).alias("pair"), F.col("v").bitwiseAND(F.lit(m)).alias("cell")) for i, j, m in masks))).alias("c")).select("fp", "v", "c.pair", "c.cell")
-    cells = materialise(cells, "simhash-cells", "snappy")
-    full = cells.groupBy("pair", "cell").agg(F.count("*").alias("n")).filter("n > 1")
-    shared = materialise(join_hot(cells, full, ["pair", "cell"], "n", cells.count()), "simhash-shared", "snappy")
-    left = shared.filter(F.col("n") <= cell_limit).select("pair", "cell", F.col("fp").alias("a"), F.col("v").alias("va"))
-    right = shared.filter(F.col("n") <= cell_limit).select("pair", "cell", F.col("fp").alias("b"), F.col("v").alias("vb"))
+    masks = [sum(((1 << width) - 1) << width * i for i in chosen) for chosen in combinations(range(blocks), agree)]
+    cells = F.array(*(F.struct(F.lit(k).alias("pick"), F.col("v").bitwiseAND(F.lit(m - 2**64 if m >= 2**63 else m)).alias("cell")) for k, m in enumerate(masks)))
+    return fps.select("fp", counts.alias("v")).select("fp", "v", F.explode(cells).alias("c")).select("fp", "v", "c.pick", "c.cell")
+
+
+def met_in_cells(fps: DataFrame, blocks: int, agree: int, cell_limit: int) -> tuple[DataFrame, DataFrame]:
+    """Verified edges (a, b) of the cells within the limit, and the fingerprints (fp) of the others."""
+    cells = materialise(grid(fps, blocks, agree), "simhash-cells", "snappy")
+    full = cells.groupBy("pick", "cell").agg(F.count("*").alias("n")).filter("n > 1")
+    shared = materialise(join_hot(cells, full, ["pick", "cell"], "n", cells.count()), "simhash-shared", "snappy")
+    discard(cells)
+    left = shared.filter(F.col("n") <= cell_limit).select("pick", "cell", F.col("fp").alias("a"), F.col("v").alias("va"))
+    right = shared.filter(F.col("n") <= cell_limit).select("pick", "cell", F.col("fp").alias("b"), F.col("v").alias("vb"))
     apart = F.expr(" + ".join(f"abs((shiftrightunsigned(va, {s}) & 3) - (shiftrightunsigned(vb, {s}) & 3))" for s in range(0, 64, 2)))
-    near = left.join(right, ["pair", "cell"]).filter((F.col("a") < F.col("b")) & (apart <= RADIUS)).select("a", "b")
+    near = left.join(right, ["pick", "cell"]).filter((F.col("a") < F.col("b")) & (apart <= RADIUS)).select("a", "b")
     exact = near.filter(F.bit_count(F.col("a").bitwiseXOR(F.col("b"))) <= RADIUS)
-    crowded = shared.filter(F.col("n") > cell_limit).select("fp").distinct()
+    return exact, shared.filter(F.col("n") > cell_limit).select("fp").distinct()
+
+
+def links_by_path(fps: DataFrame, cell_limit: int = CELL_LIMIT) -> DataFrame:
+    """Edges (a, b, path) between different fingerprints that connect all those within two bits of each other; path: grid, finer or points."""
+    coarse, crowded = met_in_cells(fps, 4, 2, cell_limit)
+    finer, full = met_in_cells(materialise(crowded, "simhash-crowded", "snappy"), 8, 6, cell_limit)
     flips = [F.col("fp")] + [F.col("fp").bitwiseXOR(F.lit((1 << i) - (1 << 64 if i == 63 else 0))) for i in range(64)]
-    points = crowded.select("fp", F.explode(F.array(*flips)).alias("point")).groupBy("point").agg(F.collect_set("fp").alias("at")).filter(F.size("at") > 1)
+    points = full.select("fp", F.explode(F.array(*flips)).alias("point")).groupBy("point").agg(F.collect_set("fp").alias("at")).filter(F.size("at") > 1)
     star = points.select(F.array_min("at").alias("a"), F.explode("at").alias("b")).filter("a <> b")
-    return exact.unionByName(star).distinct()
+    named = [x.withColumn("path", F.lit(p)) for x, p in ((coarse, "grid"), (finer, "finer"), (star, "points"))]
+    return named[0].unionByName(named[1]).unionByName(named[2])
+
+
+def links(fps: DataFrame, cell_limit: int = CELL_LIMIT) -> DataFrame:
+    """Edges (a, b) between different fingerprints that connect all those within two bits of each other."""
+    return links_by_path(fps, cell_limit).select("a", "b").distinct()
 
 
 def group_by_fingerprint(fps: DataFrame, order: str, cell_limit: int = CELL_LIMIT) -> DataFrame:
@@ -95,6 +116,12 @@ def group_by_fingerprint(fps: DataFrame, order: str, cell_limit: int = CELL_LIMI
     return rooted.join(leads, "root").select("fp", "n", "lead")
 
 
+def simhash_paths(spark, sf_dir: str) -> DataFrame:
+    """How many different links each path of the grid gives: (path, n_links)."""
+    fps = materialise(fingerprints(read_table(spark, sf_dir, "documents"), ["doc_id"], 3).select("fp").distinct(), "simhash-fingerprints")
+    return links_by_path(fps).distinct().groupBy("path").agg(F.count("*").alias("n_links"))
+
+
 def op4_simhash_grid(spark, sf_dir: str) -> DataFrame:
     """Components of documents whose 3-word SimHash fingerprints differ in two bits or fewer."""
     fps = materialise(fingerprints(read_table(spark, sf_dir, "documents"), ["doc_id"], 3), "simhash-fingerprints")

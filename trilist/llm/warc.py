@@ -3,7 +3,8 @@
 Writing: one record per page, an HTTP response whose body is chunked. A record longer than ``segment`` bytes is split into a
 first segment and continuation records that name it as their origin and carry their segment number; the last one carries
 the total length. Spark's text writer stores the records (they end in the writer's line separator, two CRLFs), so
-archives are committed like any Spark output, gzipped, on any file system Spark can write to.
+archives are committed like any Spark output, gzipped, on any file system Spark can write to. As no record is longer than a segment
+and its header, an archive of ``PER_FILE`` records is bounded in bytes too (about 7 MB), whatever the pages' lengths.
 
 Reading: archives are parsed by Content-Length; continuation records are grouped by origin, ordered by segment number and
 checked against the total length, then chunks are decoded and the payload's digest is checked against its header.
@@ -30,7 +31,7 @@ from pyspark.sql import functions as F
 
 from trilist.llm.common import bounded_batches, join_hot, materialise, read_table, scratch, text_of
 
-SEGMENT, CHUNK, LEAST, PER_FILE = 32_768, 4_096, 100, 800
+SEGMENT, CHUNK, LEAST, PER_FILE = 8_192, 1_024, 100, 800
 DATE = "2024-01-01T00:00:00Z"
 END = b"\r\n\r\n"
 
