@@ -115,5 +115,9 @@ def test_mix_meets_targets(spark):
     total = sum(p.size for p in plan)
     assert abs(sum({p.name: p.target for p in plan}.values()) - 1.5 * total) < 0.01
     assert mixing.plan_mix(table(spark, [])).count() == 0
+    spread = mixing.prefixed(spark.range(50).selectExpr("'s' AS name", "id AS range", "id % 7 AS range_size"), 4).orderBy("range").collect()
+    assert [x.offset for x in spread] == [sum(i % 7 for i in range(k)) for k in range(50)]
+    clash = mixing.mix_documents(table(spark, rows).selectExpr("*", "'x' AS mix_size", "1 AS mix_copies"))
+    assert len(set(clash.columns)) == len(clash.columns) and clash.filter("mix_size > 0").count() > 0
     mix = mixing.mix_documents(table(spark, rows))
     assert mix.columns[:7] == table(spark, []).columns and mix.filter("mix_taken = 0").count() == 0

@@ -82,6 +82,11 @@ def test_empty_table(spark, sf):
         assert stage(spark, rows, sf).count() == 0
 
 
+def test_nothing_learned_rejects_no_letters_only(spark, sf):
+    rows = spark.createDataFrame([(1, "plain words", None, "s", 0, "x"), (2, "12 3", None, "s", 0, "x"), (3, None, None, "s", 0, "x"), (4, "é", None, "s", 0, "x")], SCHEMA)
+    assert {r.doc_id for r in corpus_pipeline.identify_language(spark, rows, sf).collect()} == {1, 4}
+
+
 def test_short_boilerplate_lines_go(spark, sf):
     rows = [(i, f"a line of document number {i}\nMenu\n\n \nend {i}", "en", f"s{i}", 0, "x") for i in range(12)]
     got = corpus_pipeline.dedup_lines(spark, spark.createDataFrame(rows, SCHEMA), sf)

@@ -3,13 +3,14 @@
 from __future__ import annotations
 
 import atexit
-import tempfile
 import uuid
 from collections.abc import Sequence
 
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from trilist.plans.session import shared_folder
+
 K1, K2 = "__ll_k1", "__ll_k2"
 
 
@@ -18,12 +19,8 @@ def read_table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The folder in spark.checkpoint.dir, which all executors share; a temporary one where it is unset, as in tests."""
-    found = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()
-    if not found:
-        found = tempfile.mkdtemp(prefix="trilist-shared-")
-        spark.sparkContext.setCheckpointDir(found)
-    return found.rstrip("/")
+    """The folder in spark.checkpoint.dir, which all executors share; on a local master, where it may be unset, a temporary one."""
+    return shared_folder(spark)
 
 
 def scratch(spark: SparkSession, tag: str) -> str:
@@ -69,8 +66,14 @@ def release(spark: SparkSession) -> None:
 
 
 def bounded_batches(spark: SparkSession, rows: int = 512) -> None:
-    """Arrow batches of few rows, so that long texts do not pile up in one Python batch."""
-    spark.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", str(rows))
+    """Arrow batches of few rows, so that long texts do not pile up in one Python batch.
+
+    Plans read the setting when they run, after the caller has them, so it stays; a smaller one of the user's is kept.
+    """
+    key = "spark.sql.execution.arrow.maxRecordsPerBatch"
+    now = int(spark.conf.get(key, "10000"))
+    if not 0 < now <= rows:
+        spark.conf.set(key, str(rows))
 
 
 def text_of(name: str = "text") -> Column:

@@ -20,6 +20,7 @@ from pyspark.sql import functions as F
 from trilist.llm.common import K1, K2, join_hot, materialise, packed, read_table
 
 MIN_SITES, MIN_CHARS, LG_K = 10, 16, 10
+LINE = ["lh", "lh2"]
 
 
 def trimmed(line: Column) -> Column:
@@ -27,24 +28,24 @@ def trimmed(line: Column) -> Column:
 
 
 def occurrences(docs: DataFrame, site: str, min_chars: int) -> DataFrame:
-    """One row for each line long enough: row key, doc_id, line number, line hash, site hash."""
+    """One row for each line long enough: row key, doc_id, line number, line hash (128 bits in two columns), site hash."""
     lines = packed(docs, "doc_id", "text", site).select(K1, K2, "doc_id", F.xxhash64(F.col(site), F.col(site).isNull()).alias("site"), F.posexplode(F.split(F.col("text"), "\n")).alias("pos", "line"))
     norm = trimmed(F.col("line"))
-    return lines.filter(F.length(norm) >= min_chars).select(K1, K2, "doc_id", "pos", F.xxhash64(norm).alias("lh"), "site")
+    return lines.filter(F.length(norm) >= min_chars).select(K1, K2, "doc_id", "pos", F.xxhash64(norm).alias("lh"), F.xxhash64(F.lit("second"), norm).alias("lh2"), "site")
 
 
 def boilerplate(occ: DataFrame, min_sites: int, lg_k: int = LG_K, band: float | None = None) -> DataFrame:
-    """Lines (lh, n, first) on min_sites sites or more; n counts occurrences, first is the one that stays."""
+    """Lines (lh, lh2, n, first) on min_sites sites or more; n counts occurrences, first is the one that stays."""
     width = band if band is not None else max(0.2, 4 * 1.04 / math.sqrt(2**lg_k))
     first = F.min(F.struct(F.col("doc_id").isNull().alias("nul"), F.col("doc_id").alias("id"), F.col("pos").alias("at"))).alias("first")
-    spread = occ.groupBy("lh").agg(F.hll_sketch_agg("site", F.lit(lg_k)).alias("sketch"), F.count("*").alias("n"), first).filter(F.col("n") >= min_sites)
+    spread = occ.groupBy(*LINE).agg(F.hll_sketch_agg("site", F.lit(lg_k)).alias("sketch"), F.count("*").alias("n"), first).filter(F.col("n") >= min_sites)
     rated = materialise(spread.withColumn("sites", F.hll_sketch_estimate("sketch")).filter(F.col("sites") >= min_sites * (1 - width)).drop("sketch"), "line-spread")
-    sure = rated.filter(F.col("sites") > min_sites * (1 + width)).select("lh", "n", "first")
+    sure = rated.filter(F.col("sites") > min_sites * (1 + width)).select(*LINE, "n", "first")
     near = rated.filter(F.col("sites") <= min_sites * (1 + width))
     total = rated.agg(F.sum("n")).first()[0] or 0
-    pairs = join_hot(occ.select("lh", "site"), near.select("lh", "n"), ["lh"], "n", total).groupBy("lh", "site").agg(F.lit(1).alias("one"))
-    exact = pairs.groupBy("lh").agg(F.count("*").alias("exact")).filter(F.col("exact") >= min_sites)
-    return sure.unionByName(near.join(exact.select("lh"), "lh", "left_semi").select("lh", "n", "first"))
+    pairs = join_hot(occ.select(*LINE, "site"), near.select(*LINE, "n"), LINE, "n", total).groupBy(*LINE, "site").agg(F.lit(1).alias("one"))
+    exact = pairs.groupBy(*LINE).agg(F.count("*").alias("exact")).filter(F.col("exact") >= min_sites)
+    return sure.unionByName(near.join(exact.select(*LINE), LINE, "left_semi").select(*LINE, "n", "first"))
 
 
 def removed_lines(docs: DataFrame, site: str = "source", min_sites: int = MIN_SITES, min_chars: int = MIN_CHARS, lg_k: int = LG_K) -> DataFrame:
@@ -52,7 +53,7 @@ def removed_lines(docs: DataFrame, site: str = "source", min_sites: int = MIN_SI
     occ = materialise(occurrences(docs, site, min_chars), "line-occurrences")
     common = materialise(boilerplate(occ, min_sites, lg_k), "line-boilerplate")
     total = common.agg(F.sum("n")).first()[0] or 0
-    hits = join_hot(occ.select(K1, K2, "doc_id", "pos", "lh"), common, ["lh"], "n", total)
+    hits = join_hot(occ.select(K1, K2, "doc_id", "pos", *LINE), common, LINE, "n", total)
     later = hits.filter(~(F.col("doc_id").eqNullSafe(F.col("first.id")) & (F.col("pos") == F.col("first.at"))))
     return later.groupBy(K1, K2).agg(F.collect_set("pos").alias("gone"))
 

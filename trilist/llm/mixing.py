@@ -60,6 +60,19 @@ def targets(sizes: DataFrame, weights: tuple[int, ...], share: float, max_epochs
     return found.select("name", "source_size", "source_rows", F.round(F.least(target, F.col("cap")), 6).alias("target"))
 
 
+def prefixed(sums: DataFrame, fan: int = 4096) -> DataFrame:
+    """For sums(name, range, range_size): offset, the size of all earlier ranges of the source, in two levels.
+
+    Ranges meet in blocks of fan, and then the blocks: with 1e9 ranges no task has more than 250,000 rows of a source.
+    """
+    block = F.floor(F.col("range") / F.lit(fan)).cast("long")
+    earlier = lambda *by: Window.partitionBy(*by).rowsBetween(Window.unboundedPreceding, -1)
+    inside = sums.withColumn("block", block).withColumn("within", F.coalesce(F.sum("range_size").over(earlier("name", "block").orderBy("range")), F.lit(0)))
+    blocks = sums.groupBy("name", block.alias("block")).agg(F.sum("range_size").alias("block_size"))
+    blocks = blocks.withColumn("ahead", F.coalesce(F.sum("block_size").over(earlier("name").orderBy("block")), F.lit(0))).drop("block_size")
+    return inside.join(blocks, ["name", "block"]).select("name", "range", "range_size", (F.col("within") + F.col("ahead")).alias("offset"))
+
+
 def plan_mix(docs: DataFrame, weights: tuple[int, ...] = (3, 1, 2), share: float = 1.5, max_epochs: float = 2.0, seed: int = 8, rows_per_range: int = 1024) -> DataFrame:
     """Rows (mix_key, doc_id, name, size, source_size, target, taken), one for each row of docs."""
     size = F.regexp_count(text_of(), F.lit(WORD)).cast("long")
@@ -70,8 +83,7 @@ def plan_mix(docs: DataFrame, weights: tuple[int, ...] = (3, 1, 2), share: float
     ranges = F.greatest(F.lit(1.0), F.ceil(F.col("source_rows") / F.lit(rows_per_range)).cast("double"))
     placed = join_hot(sized, totals.select("name", "source_rows"), ["name"], "source_rows", sized.count())
     placed = placed.withColumn("range", F.least(F.floor(lead / F.lit(float(2**60)) * ranges), ranges.cast("long") - 1))
-    before = Window.partitionBy("name").orderBy("range").rowsBetween(Window.unboundedPreceding, -1)
-    sums = placed.groupBy("name", "range").agg(F.sum("size").alias("range_size")).withColumn("offset", F.coalesce(F.sum("range_size").over(before), F.lit(0)))
+    sums = prefixed(placed.groupBy("name", "range").agg(F.sum("size").alias("range_size")))
     whole = F.floor("target")
     cuts = (
         sums.join(totals, "name")
@@ -90,13 +102,15 @@ def mix_documents(docs: DataFrame, **options) -> DataFrame:
     """The mix itself: the columns of docs, then size, taken and copies (passes over the text, the last one maybe in part).
 
     Rows of which nothing is taken are left out. Repeated rows share a key, and the words taken of them are dealt evenly.
+    Columns of docs that are named like the three new ones are left out for them.
     """
     seed = options.get("seed", 8)
     per_key = plan_mix(docs, **options).groupBy("mix_key").agg(F.sum("taken").alias("all_taken"), F.count("*").alias("rows"), F.first("size").alias("mix_size"))
     rows = packed(docs, "doc_id", "text").select("doc", mix_key(seed).alias("mix_key"))
-    kept = rows.join(per_key, "mix_key").filter("all_taken > 0")
+    kept = join_hot(rows, per_key.filter("all_taken > 0"), ["mix_key"], "rows", max(1, docs.count()))
     taken = F.col("all_taken") / F.col("rows")
-    return kept.select("doc.*", "mix_size", F.ceil(taken).cast("long").alias("mix_taken"), F.ceil(taken / F.col("mix_size")).cast("long").alias("mix_copies"))
+    own = [F.col(f"doc.`{c}`").alias(c) for c in docs.columns if c not in ("mix_size", "mix_taken", "mix_copies")]
+    return kept.select(*own, "mix_size", F.ceil(taken).cast("long").alias("mix_taken"), F.ceil(taken / F.col("mix_size")).cast("long").alias("mix_copies"))
 
 
 def op8_source_mix(spark, sf_dir: str) -> DataFrame:

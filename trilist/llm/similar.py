@@ -9,7 +9,8 @@ most others, and a random one); of the nodes like neither, one for each leader l
 by level, so dissimilar texts that share a frequent passage separate without ever being paired. That only merges early: what
 large bands still hold of different components goes through an exact set join on prefixes of rare shingles, so a pair that
 shares a band, however crowded, is never lost. A pair of similarity 0.8 shares one of the 20 bands with probability 0.9996.
-Links are exact (no similarity is estimated); of recall only the bands are by chance.
+Links are exact on whole sets of 32-bit shingle hashes (no similarity is estimated, and two sets of 10,000 shingles share 0.02 by a hash's chance); of recall
+only the bands are by chance.
 
 Edge cases: texts without words form one group; shorter texts are one shingle; of rows that are equal in doc_id and text one
 stays; a null doc_id comes after all others; an empty table gives no rows.
