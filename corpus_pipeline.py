@@ -19,8 +19,13 @@ ORACLE_SQL = None
 
 
 def identify_language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Reject texts that are null or have no letter; the model learns from the rows themselves, as in op5."""
+    """Reject texts that are null or have no letter; the model learns from the rows themselves, as in op5.
+
+    Where no row has a language to learn from, all texts with a letter stay.
+    """
     model = language.train(docs.filter(F.col("doc_id").isNotNull() & ~language.held_out()).select("text", "lang"))
+    if not model.families:
+        return docs.filter(F.col("text").rlike(r"\p{L}"))
     return language.predict(docs, model).filter("lang_pred <> 'und'").select("doc.*")
 
 

@@ -2,18 +2,17 @@
 
 from __future__ import annotations
 
-import tempfile
 import uuid
 
 from pyspark.sql import DataFrame, SparkSession
 
+from trilist.plans.session import shared_folder
 from trilist.sources.graphs import EDGES, arcs, require_schema
 
 
 def scratch_path(spark: SparkSession) -> str:
-    """A new path in the shared folder of spark.checkpoint.dir, or in a temporary one where none is set."""
-    base = spark.conf.get("spark.checkpoint.dir", None) or tempfile.gettempdir()
-    return f"{base.rstrip('/')}/trilist-{uuid.uuid4().hex}"
+    """A new path in the shared folder."""
+    return f"{shared_folder(spark)}/trilist-{uuid.uuid4().hex}"
 
 
 def write_edges(edges: DataFrame, path: str, fmt: str = "parquet", files: int | None = None) -> None:
