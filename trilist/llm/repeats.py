@@ -46,14 +46,16 @@ class Unit:
     repeated: str
 
     def symbols(self, raw: bytes):
-        """The text as an array: its bytes, or the XXH64 of its words (runs of bytes other than ASCII white space)."""
+        """The text as an array: its bytes, or 64-bit hashes of its words (runs of bytes other than ASCII white space)."""
         import numpy as np
 
+        data = np.frombuffer(raw, np.uint8)
         if self.name == "byte":
-            return np.frombuffer(raw, np.uint8)
-        import xxhash
-
-        return np.fromiter(map(xxhash.xxh64_intdigest, raw.split()), np.uint64)
+            return data
+        word = np.ones(256, bool)
+        word[[0x20, *range(0x09, 0x0E)]] = False
+        bounds = np.flatnonzero(np.diff(np.r_[False, word[data], False].view(np.int8)))
+        return Rolling(data).of(bounds[::2], bounds[1::2])
 
     def first(self) -> list:
         given = {"m": F.count("*"), "x": F.min(K1), "y": F.max(K1)}
