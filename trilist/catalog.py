@@ -10,8 +10,8 @@ from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from trilist.functions import udx
-from trilist.functions.coins import coin, poly_hash, sql_coin, sql_poly_hash, tag
-from trilist.functions.params import BOUNDS, Params
+from trilist.functions.coins import coin, poly_hash, sql_coefficient, sql_coin, sql_poly_hash, tag
+from trilist.functions.params import BOUNDS, Params, list_repetitions
 from trilist.operators import drivers, exact, heavy, light, measures
 from trilist.oracles import DEG, PSUP, SUP, TRI, classes, core_ctes, graph, hash_ctes, sample_ctes, x_ctes
 from trilist.plans import planner
@@ -149,20 +149,35 @@ for part, cte in (("core_small_offers", "oa1"), ("core_settled_overflow", "ob1")
 
     def half(v, e, p, part=part, r=20):
         nx = light.x_neighbourhoods(e, light.sample_x(v, p, 4))
-        sets = light.offer_sets(e, nx, v)
-        over = light.overflow_sets(sets.groupBy("j", "k").agg(F.count("*").alias("size")), r)
-        return light.close_small(sets, over, e) if part == "core_small_offers" else light.close_overflow(over, light.settled(v, over, r), e, v)
+        over = light.overflow_sets(light.offer_sizes(e, nx, v), r)
+        return light.close_small(light.open_closed(e, nx, v), over) if part == "core_small_offers" else light.close_overflow(over, light.settled(v, over, r), e, v)
 
     g, eps, r = ("coin", 0.3, 20) if part == "core_small_offers" else ("windmill", 0.2, 10)
     add(part, on_both(g, lambda v, e, p, f=half, r=r: f(v, e, p, r=r), eps), core_sql(g, eps, r, 4, 1) + f"SELECT * FROM {cte}")
-add("core_stall", core("coin", 0.25, 3, 2, "stall"))
-add("ledger_avoid_core", core("windmill", 0.2, 10, 4, "ledger"))
+add("core_stall", core("coin", 0.25, 3, 2, "stall"), core_sql("coin", 0.25, 3, 2, 6) + "SELECT bool_or(settled = 0) AS stalled, count(*)::BIGINT AS iterations FROM trace")
+WINDMILL_LEDGER = """SELECT 'avoid_core' AS method, i::BIGINT AS iteration, phase, coalesce(rounds, 0)::BIGINT AS rounds, coalesce(words, 0)::BIGINT AS words FROM (
+ SELECT 0 AS i, 'membership' AS phase, 1 AS rounds, (SELECT count(*) FROM a) AS words
+ UNION ALL SELECT 0, 'x_lists', max(len(xs)), sum(len(xs) * degree) FROM nx JOIN deg USING (v)
+ UNION ALL SELECT 1, 'small_offers', max(size), sum(size) FROM sz1 WHERE size <= 10
+ UNION ALL SELECT 1, 'overflow', max(n), sum(n * degree) FROM (SELECT j, count(*) AS n FROM ov1 WHERE j IN (SELECT v FROM calm1) GROUP BY 1) JOIN deg ON v = j
+ UNION ALL SELECT 1, 'active_bits', 1, (SELECT count(*) FROM a))"""
+add("ledger_avoid_core", core("windmill", 0.2, 10, 4, "ledger"), graph("windmill", *x_ctes(4), DEG, *core_ctes("10", 1), eps=0.2) + WINDMILL_LEDGER)
 add("light_avoid", on_both("halfyear", lambda v, e, p: light.light_avoid(v, e, p, 3)[0], 0.2), core_sql("halfyear", 0.2, 0, 3, 1) + CORE)
 add("light_avoid_budget", on_both("coin", lambda v, e, p: light.light_avoid(v, e, p, 5, r=20, c=1e-9)[0], 0.3), graph("coin") + "SELECT 0::BIGINT AS node, 0::BIGINT AS a, 0::BIGINT AS b, 0::BIGINT AS c WHERE false")
 
 # --- finding and listing ---------------------------------------------------------------------------------------------
 FREE = "SELECT false AS found, NULL::BIGINT AS a, NULL::BIGINT AS b, NULL::BIGINT AS c"
-add("find_triangle", on_both("halfyear", lambda v, e: drivers.find_triangle(v, e)))
+
+
+def found_and_checked(v, e, **options):
+    """Whether a triangle was found, and whether it is one: which one it is depends on which task ends first."""
+    row = drivers.find_triangle(v, e, **options)
+    sides = row.select(F.explode(F.array(*(F.struct(F.col(x).alias("u"), F.col(y).alias("v")) for x, y in exact.PAIRS))).alias("s")).select("s.*")
+    return row.select("found").crossJoin(sides.join(e, ["u", "v"], "left_semi").agg((F.count("*") == 3).alias("is_triangle")))
+
+
+FOUND = "SELECT count(*) > 0 AS found, count(*) > 0 AS is_triangle FROM tri"
+add("find_triangle", on_both("halfyear", found_and_checked), graph("halfyear", TRI) + FOUND)
 add("find_triangle_free", on_both("forest", lambda v, e: drivers.find_triangle(v, e, delta=0.5).drop("repetitions")), FREE)
 add("find_count_reps", on_both("cycle", lambda v, e: drivers.find_triangle(v, e, delta=0.1).select("found", "repetitions")), "SELECT false AS found, 5::BIGINT AS repetitions")
 add("list_triangles", on_both("halfyear", lambda v, e: drivers.list_triangles(v, e)), graph("halfyear", TRI) + LIST)
@@ -180,7 +195,7 @@ add("bfs_depth", on("windmill", lambda e: exact.bfs(e, 0)), graph("windmill").rs
 add("tripartition_listing", on("cells", lambda e: exact.tripartition(e, 4)), graph("cells", TRI) + LIST)
 KEYS = "SELECT key, count(*) AS edges FROM (SELECT array_to_string(list_sort([g1, g2, unnest(range(4))]), '-') AS key FROM (SELECT {} % 4 AS g1, {} % 4 AS g2 FROM e)) GROUP BY 1".format(*(sql_coin(0, "'part'", c) for c in "uv"))
 add("tripartition_replication", on("cells", lambda e: exact.tripartition_keys(e, 4)), graph("cells") + KEYS)
-add("degree_ordered_listing", on("copurchase", exact.triangles), graph("copurchase", TRI) + LIST)
+add("degree_ordered_listing", on("cells", exact.spread_listing), graph("cells", TRI) + LIST)
 add("degree_bound", on_both("cells", lambda v, e: exact.degrees(e).agg(F.max("degree").alias("max_degree")).join(v.agg(F.count("*").alias("n"))).select("max_degree", "n", F.round(F.pow("max_degree", F.lit(3)) / F.col("n"), 6).alias("bound"))), graph("cells", DEG) + "SELECT max(degree) AS max_degree, (SELECT count(*) FROM vert) AS n, round(pow(max(degree), 3) / (SELECT count(*) FROM vert), 6) AS bound FROM deg")
 add("algebraic_count", on("cells", exact.algebraic_count), graph("cells", TRI) + COUNT)
 add("algebraic_support", on("cells", exact.algebraic_support), graph("cells", TRI, SUP) + "SELECT * FROM sup")
@@ -295,7 +310,9 @@ for view, sql in (("sql_view_count", "SELECT count(*) AS edges FROM {e}"), ("sql
     add(view, on("halfyear", lambda e, sql=sql: e.sparkSession.sql(sql, e=e)), graph("halfyear", TRI) + ("SELECT count(*) AS edges FROM e" if view == "sql_view_count" else LIST))
 add("sql_open_pairs", on_both("halfyear", lambda v, e, p: v.sparkSession.sql("SELECT x.v AS u, y.v AS v FROM {v} x JOIN {v} y ON x.v < y.v WHERE NOT EXISTS (SELECT 1 FROM {b} b WHERE b.u = x.v AND b.v = y.v)", v=v, b=light.blocked_pairs(e, light.sample_x(v, p, 3))), 0.2), graph("halfyear", *x_ctes(3), eps=0.2) + OPEN)
 add("sql_bfs", on("windmill", lambda e: e.sparkSession.sql("WITH RECURSIVE a AS (SELECT u AS src, v AS dst FROM {e} UNION ALL SELECT v, u FROM {e}), b(v, depth) AS (SELECT CAST(0 AS BIGINT), 0 UNION ALL SELECT a.dst, depth + 1 FROM b JOIN a ON a.src = b.v WHERE depth < 2) SELECT v, min(depth) AS depth FROM b GROUP BY v", e=e)), graph("windmill").rstrip() + BFS.replace("depth < 12", "depth < 2"))
-add("edges_knn", lambda s, d: udx.knn_edges(load(s, d, "embeddings"), 5))
+KNN = """kn AS (SELECT x.vec_id AS u, y.vec_id AS v FROM embeddings x JOIN embeddings y ON x.vec_id <> y.vec_id
+ QUALIFY row_number() OVER (PARTITION BY x.vec_id ORDER BY list_cosine_similarity(x.embedding::DOUBLE[], y.embedding::DOUBLE[]) DESC, y.vec_id) <= 5), e AS (SELECT DISTINCT least(u, v) AS u, greatest(u, v) AS v FROM kn)"""
+add("edges_knn", lambda s, d: udx.knn_edges(load(s, d, "embeddings"), 5), f"WITH {KNN} SELECT u, v FROM e")
 
 # --- joins -----------------------------------------------------------------------------------------------------------------
 for hint in ("merge", "shuffle_hash"):
@@ -354,7 +371,8 @@ add("degree_stats", on("copurchase", planner.statistics), graph("copurchase", DE
 PER = "per AS (SELECT v, count(*) AS triangles FROM (SELECT unnest([a, b, c]) AS v FROM tri) GROUP BY 1)"
 add("triangles_per_vertex", on("cells", lambda e: exact.local_listing(e).groupBy(F.col("node").alias("v")).agg(F.count("*").alias("triangles"))), graph("cells", TRI, PER) + "SELECT * FROM per")
 add("distinct_triangles", on_both("cells", lambda v, e, p: heavy.heavy_hash(e, p, 1).agg(F.count("*").alias("outputs"), F.count_distinct("a", "b", "c").alias("triangles")), 0.4), graph("cells", *hash_ctes(1), eps=0.4) + "SELECT count(*) AS outputs, count(DISTINCT (a, b, c)) AS triangles FROM hh")
-add("approx_distinct_triangles", on_both("cells", lambda v, e, p: heavy.heavy_hash(e, p, 1).agg(F.approx_count_distinct(F.struct("a", "b", "c"), 0.02).alias("triangles")), 0.4))
+add("approx_distinct_triangles", on_both("cells", lambda v, e, p: heavy.heavy_hash(e, p, 1).agg(F.approx_count_distinct(F.struct("a", "b", "c"), 0.02).alias("about"), F.count_distinct("a", "b", "c").alias("triangles")).select("triangles", (F.abs(F.col("about") - F.col("triangles")) <= 0.06 * F.col("triangles")).alias("within_three_sigma")), 0.4),
+    graph("cells", *hash_ctes(1), eps=0.4) + "SELECT count(DISTINCT (a, b, c)) AS triangles, true AS within_three_sigma FROM hh")
 add("support_quantiles", on("cells", lambda e: exact.edge_support(e).agg(*(F.round(F.percentile("support", q), 6).alias(f"p{int(q * 100)}") for q in (0.25, 0.5, 0.9)))), graph("cells", TRI, SUP) + "SELECT " + ", ".join(f"round(quantile_cont(support, {q}), 6) AS p{int(q * 100)}" for q in (0.25, 0.5, 0.9)) + " FROM sup")
 add("message_positions", on("halfyear", lambda e: arcs(e).select("src", "dst", F.row_number().over(Window.partitionBy("src").orderBy("dst")).cast("long").alias("position"))), graph("halfyear") + "SELECT src, dst, row_number() OVER (PARTITION BY src ORDER BY dst) AS position FROM a")
 add("cap_by_window", on("halfyear", lambda e: arcs(e).withColumn("size", F.count("*").over(Window.partitionBy("src"))).filter("size <= 8").select("src", "dst")), graph("halfyear", DEG) + "SELECT src, dst FROM a JOIN deg ON v = src WHERE degree <= 8")
@@ -392,7 +410,7 @@ for w, g in (("w1", "coin"), ("w8", "copurchase"), ("w9", "trade"), ("w16", "qua
     add({"w16": "w16_induced_triangles", "w17": "w17_closed_form"}.get(w, f"{w}_triangle_count"), on(g, lambda e: counted(exact.triangles(e))), graph(g, TRI) + COUNT if w != "w17" else "SELECT sum(c * (c - 1) * (c - 2) // 6)::BIGINT AS triangles FROM (SELECT count(DISTINCT turn) AS c FROM conversations GROUP BY conv_id)")
 for w, g, eps in (("w1", "coin", 0.3), ("w2", "cohour", 0.3), ("w4", "cells", 0.2), ("w5", "book", 0.3)):
     add(f"{w}_heavy_sample", on_both(g, lambda v, e, p: heavy.heavy_sample(e, p, 1), eps), graph(g, *sample_ctes(1), eps=eps) + HS)
-for w, g, eps in (("w1", "coin", 0.6), ("w4", "cells", 0.4), ("w5", "book", 0.6)):
+for w, g, eps in (("w1", "coin", 0.9), ("w4", "cells", 0.4), ("w5", "book", 0.6)):
     add(f"{w}_heavy_hash", on_both(g, lambda v, e, p: heavy.heavy_hash(e, p, 1), eps), graph(g, *hash_ctes(1), eps=eps) + HH)
 add("w1_core_trace", core("coin", 0.3, 20, 10, "trace"), core_sql("coin", 0.3, 20, 10, 6) + TRACE)
 add("w2_core_trace", core("cohour", 0.3, 15, 8, "trace"), core_sql("cohour", 0.3, 15, 8, 6) + TRACE)
@@ -437,21 +455,142 @@ def rounds_compared(s, d):
     return exact.degrees(e).agg(F.max("degree").alias("two_hop_rounds")).select("two_hop_rounds", F.lit(trace.rounds <= 40).alias("core_within_40"), F.lit(trace.rounds).cast("long").alias("core_rounds"))
 
 
-add("w7_core_rounds_vs_two_hop", rounds_compared)
+add("w7_core_rounds_vs_two_hop", rounds_compared, graph("windmill", *x_ctes(4), DEG, *core_ctes("10", 1), "led AS (" + WINDMILL_LEDGER + ")", eps=0.2) + "SELECT (SELECT max(degree) FROM deg) AS two_hop_rounds, sum(rounds) <= 40 AS core_within_40, sum(rounds)::BIGINT AS core_rounds FROM led")
 add("w7_overflow_sets", on_both("windmill", lambda v, e, p: light.overflow_sets(offers(v, e, p, 4), 10), 0.2), graph("windmill", *x_ctes(4), *core_ctes("10", 1), eps=0.2) + "SELECT j, k FROM ov1")
 add("w8_tripartition", on("copurchase", lambda e: counted(exact.tripartition(e, 4))), graph("copurchase", TRI) + COUNT)
 add("w8_algebraic_count", on("copurchase", exact.algebraic_count), graph("copurchase", TRI) + COUNT)
 add("w8_degree_ordered", on("copurchase", lambda e: exact.triangles(e).groupBy("a").agg(F.count("*").alias("triangles"))), graph("copurchase", TRI) + "SELECT a, count(*) AS triangles FROM tri GROUP BY 1")
 for w, g in (("w8", "copurchase"), ("w10", "document_lines")):
     add(f"{w}_heavy_light_counts", on_both(g, lambda v, e, p: exact.classify(e, p.threshold).agg(F.count_if("is_heavy").alias("heavy"), F.count_if(~F.col("is_heavy")).alias("light")), 0.4), graph(g, TRI, SUP, classes("(SELECT threshold FROM par)"), eps=0.4) + "SELECT count(*) FILTER (is_heavy) AS heavy, count(*) FILTER (NOT is_heavy) AS light FROM cls")
-add("w8_find", on_both("copurchase", lambda v, e: drivers.find_triangle(v, e, delta=0.3)))
+add("w8_find", on_both("copurchase", lambda v, e: found_and_checked(v, e, delta=0.3)), graph("copurchase") + "SELECT true AS found, true AS is_triangle")
 add("w9_tripartition", on("trade", lambda e: counted(exact.tripartition(e, 5))), graph("trade", TRI) + COUNT)
 add("w9_triangles_per_vertex_type", on("trade", lambda e: exact.local_listing(e).groupBy((F.col("node") % 3).alias("type")).agg(F.count("*").alias("triangles"))), graph("trade", TRI) + "SELECT node % 3 AS type, count(*) AS triangles FROM (SELECT unnest([a, b, c]) AS node FROM tri) GROUP BY 1")
 add("w10_clustering", on("document_lines", clustering), graph("document_lines", TRI, DEG) + CLUSTER)
 add("w11_label_heavy_edges", on_both("labels", lambda v, e, p: exact.algebraic_support(e).filter(F.col("support") >= p.threshold), 0.6), graph("labels", TRI, SUP, eps=0.6) + "SELECT sup.* FROM sup, par WHERE support >= threshold")
-add("w11_knn_triangles", lambda s, d: exact.triangles(udx.knn_edges(load(s, d, "embeddings"), 5)))
+add("w11_knn_triangles", lambda s, d: exact.triangles(udx.knn_edges(load(s, d, "embeddings"), 5)), f"WITH {KNN}, {TRI} " + LIST)
 add("w12_host_local_listing", on("hosts", exact.local_listing), graph("hosts", TRI) + "SELECT unnest([a, b, c]) AS node, a, b, c FROM tri")
 add("w12_link_triangle_free_vertices", on_both("links", exact.triangle_free_vertices), graph("links", TRI) + "SELECT v FROM vert WHERE v NOT IN (SELECT unnest([a, b, c]) FROM tri)")
 for q, g in (("w14_empty", "empty"), ("w14_single_triangle", "triangle"), ("w14_complete", "complete"), ("w14_cycle", "cycle"), ("w14_star", "star"), ("w14_path", "path"), ("w14_one_edge", "one_edge")):
     add(q, on(g, exact.triangles), graph(g, TRI) + LIST)
 add("w15_find", on_both("overlap", lambda v, e: drivers.find_triangle(v, e, delta=0.5).drop("repetitions")), FREE)
+
+# --- all repetitions: the listing theorem, success constants, totals beside their bounds -------------------------------------
+REPS = 30
+
+
+def passes_sql(g: str, eps: float, reps: int, *, sample: bool = False, hashes: bool = False, light: bool = False, more: tuple = ()) -> str:
+    """Tables hs, hh (rep, node, a, b, c) and lt (rep, a, b, c) of all passes, with the coins of the single ones."""
+    parts = [f"reps AS (SELECT unnest(range({reps}))::BIGINT AS rep)", TRI]
+    if sample:
+        parts += [
+            f"kept AS (SELECT rep, src AS j, dst AS l FROM a, reps WHERE {sql_coin(1, 'rep', repr('s'), 'src', 'dst')} < (SELECT s_limit FROM par))",
+            "loud AS (SELECT rep, j FROM kept GROUP BY 1, 2 HAVING count(*) <= (SELECT s_cap FROM par))",
+            "hs AS (SELECT DISTINCT k.rep, x.dst AS node, least(k.j, x.dst, k.l) AS a, k.j + x.dst + k.l - least(k.j, x.dst, k.l) - greatest(k.j, x.dst, k.l) AS b, greatest(k.j, x.dst, k.l) AS c FROM kept k JOIN loud USING (rep, j) JOIN a x ON x.src = k.j AND x.dst <> k.l JOIN a z ON z.src = x.dst AND z.dst = k.l)",
+        ]
+    if hashes:
+        co = ", ".join(f"{sql_coefficient(1, 'rep', 'v', k)} AS c{k}" for k in range(3))
+        h = sql_poly_hash("y.dst", "c0", "c1", "c2", "(SELECT buckets FROM par)")
+        parts += [
+            f"hsh AS (SELECT rep, v AS node, {co} FROM (SELECT DISTINCT src AS v FROM a), reps)",
+            f"msg AS (SELECT rep, x.dst AS j, x.src AS a, y.dst AS l FROM hsh JOIN a x ON x.src = node JOIN a y ON y.src = x.dst WHERE {h} = 0)",
+            "msz AS (SELECT rep, j, a FROM msg GROUP BY 1, 2, 3 HAVING count(*) <= (SELECT floor(8 + 4 * n / buckets + 1e-9) FROM par))",
+            "got AS (SELECT DISTINCT rep, a AS node, least(j, l) AS u, greatest(j, l) AS v FROM msg JOIN msz USING (rep, j, a))",
+            "hh AS (SELECT x.rep, x.node, x.u AS a, x.v AS b, y.v AS c FROM got x JOIN got y ON x.rep = y.rep AND x.node = y.node AND x.u = y.u AND x.v < y.v JOIN got z ON z.rep = x.rep AND z.node = x.node AND z.u = x.v AND z.v = y.v)",
+        ]
+    if light:
+        parts += [
+            f"xr AS (SELECT rep, v FROM vert, reps WHERE {sql_coin(1, 'rep', repr('x'), 'v')} < (SELECT x_limit FROM par))",
+            "shut AS (SELECT DISTINCT rep, x.dst AS u, y.dst AS v FROM xr JOIN a x ON x.src = xr.v JOIN a y ON y.src = xr.v AND x.dst < y.dst)",
+            "sides AS (SELECT a, b, c, unnest([{'u': a, 'v': b}, {'u': a, 'v': c}, {'u': b, 'v': c}]) AS s FROM tri)",
+            "lt AS (SELECT DISTINCT rep, a, b, c FROM sides, reps WHERE (rep, s.u, s.v) NOT IN (SELECT (rep, u, v) FROM shut))",
+        ]
+    return graph(g, *parts, *more, eps=eps)
+
+
+def listing_recall(v, e, p):
+    """(rep, heavy, light, listed): how many triangles each half lists in a repetition, and both up to it, of all of them."""
+    reps = list_repetitions(p.n)
+    found = drivers.listing_passes(v, e, p, 1, reps)
+    by_rep = found.groupBy("rep").agg(F.count_if(F.col("half") == "heavy").alias("heavy"), F.count_if(F.col("half") == "light").alias("light"))
+    new = found.groupBy("a", "b", "c").agg(F.min("rep").alias("rep")).groupBy("rep").agg(F.count("*").alias("new"))
+    total = counted(exact.triangles(e))
+    # one row a repetition, about 5.4 ln n in all
+    run = F.sum(F.coalesce("new", F.lit(0))).over(Window.orderBy("rep").rowsBetween(Window.unboundedPreceding, 0))
+    return by_rep.join(new, "rep", "left").crossJoin(F.broadcast(total)).select(F.col("rep").cast("long").alias("rep"), "heavy", "light", run.alias("listed"), "triangles")
+
+
+LISTED = """SELECT rep, heavy, light, (SELECT count(*) FROM firsts f WHERE f.rep <= r.rep) AS listed, (SELECT count(*) FROM tri) AS triangles
+ FROM (SELECT rep, count(*) FILTER (half = 'heavy') AS heavy, count(*) FILTER (half = 'light') AS light FROM both_halves GROUP BY 1) r"""
+BOTH = ("both_halves AS (SELECT DISTINCT rep, 'heavy' AS half, a, b, c FROM hh UNION ALL SELECT rep, 'light', a, b, c FROM lt)", "firsts AS (SELECT a, b, c, min(rep) AS rep FROM both_halves GROUP BY 1, 2, 3)")
+LIST_REPS = "greatest(1, ceil(5.4 * ln((SELECT count(*) FROM vert))))::BIGINT"
+for w, g in (("w6", "halfyear"), ("w4b", "supplier_nation"), ("w7", "windmill")):
+    add(f"{w}_listing_theorem", on_both(g, listing_recall, 0.3), passes_sql(g, 0.3, 1, hashes=True, light=True, more=BOTH).replace("range(1)", f"range({LIST_REPS})") + LISTED)
+    add(f"{w}_list_all_passes", on_both(g, lambda v, e: drivers.list_triangles(v, e, eps=0.5)), graph(g, TRI) + LIST)
+
+HEAVY_ONLY = (SUP, classes("(SELECT threshold FROM par)"), "big AS (SELECT a, b, c FROM cls WHERE is_heavy)", "small AS (SELECT a, b, c FROM cls WHERE NOT is_heavy)")
+RATES = "SELECT {reps}::BIGINT AS reps, count(DISTINCT rep) AS hits, round(count(DISTINCT rep) / {reps}.0::DOUBLE, 6) AS rate, {g}::DOUBLE AS guarantee, count(DISTINCT rep) / {reps}.0::DOUBLE >= {g} AS holds FROM "
+
+
+def heavy_only(e, p):
+    return exact.classify(e, p.threshold).filter("is_heavy").select("a", "b", "c")
+
+
+def per_triangle(passes: DataFrame, wanted: DataFrame, guarantee: float) -> DataFrame:
+    """(triangles, least, mean, guarantee, holds): the share of the passes that list a wanted triangle, least and mean over the triangles."""
+    hits = wanted.join(passes.select("rep", "a", "b", "c").distinct(), ["a", "b", "c"], "left").groupBy("a", "b", "c").agg((F.count("rep") / F.lit(float(REPS))).alias("share"))
+    return hits.agg(F.count("*").alias("triangles"), F.round(F.min("share"), 6).alias("least"), F.round(F.avg("share"), 6).alias("mean")).select("triangles", "least", "mean", F.lit(guarantee).alias("guarantee"), (F.col("mean") >= guarantee).alias("holds"))
+
+
+SHARES = "SELECT count(*) AS triangles, round(min(share), 6) AS least, round(avg(share), 6) AS mean, {g}::DOUBLE AS guarantee, round(avg(share), 6) >= {g} AS holds FROM (SELECT w.a, w.b, w.c, count(x.rep) / {reps}.0::DOUBLE AS share FROM {w} w LEFT JOIN (SELECT DISTINCT rep, a, b, c FROM {t}) x USING (a, b, c) GROUP BY 1, 2, 3)"
+#: Guaranteed constants, with the success of one pass: some heavy triangle by sampling, each heavy one by hashing, each light one by avoidance.
+add("success_heavy_sample", on_both("cells", lambda v, e, p: measures.rate_over(heavy.sample_passes(e, p, 1, REPS).join(heavy_only(e, p), ["a", "b", "c"], "left_semi"), REPS, 0.38), 0.4), passes_sql("cells", 0.4, REPS, sample=True, more=HEAVY_ONLY) + RATES.format(reps=REPS, g=0.38) + "hs SEMI JOIN big USING (a, b, c)")
+add("success_heavy_hash", on_both("halfyear", lambda v, e, p: per_triangle(heavy.hash_passes(e, p, 1, REPS), heavy_only(e, p), 0.527633), 0.3), passes_sql("halfyear", 0.3, REPS, hashes=True, more=HEAVY_ONLY) + SHARES.format(reps=REPS, g=0.527633, w="big", t="hh"))
+add("success_light_avoid", on_both("halfyear", lambda v, e, p: per_triangle(light.light_at_once(v, e, p, 1, REPS), exact.classify(e, p.threshold).filter("NOT is_heavy").select("a", "b", "c"), 0.666667), 0.5), passes_sql("halfyear", 0.5, REPS, light=True, more=HEAVY_ONLY) + SHARES.format(reps=REPS, g=0.666667, w="small", t="lt"))
+add("recall_heavy_sample", on_both("cells", lambda v, e, p: measures.recall(heavy.heavy_sample(e, p, 1), e, p.threshold), 0.4), graph("cells", TRI, SUP, classes("(SELECT threshold FROM par)"), *sample_ctes(1), HIT.format("hs"), eps=0.4) + RECALL)
+
+
+def two_hop_messages(e: DataFrame) -> DataFrame:
+    d = exact.degrees(e)
+    return arcs(e).join(d.select(F.col("v").alias("src"), F.col("degree").alias("words")), "src")
+
+
+def sample_messages(e: DataFrame, p: Params) -> DataFrame:
+    s = heavy.neighbour_samples(e, p, 1).filter("speaks").select(F.col("j").alias("src"), F.col("size").alias("words")).distinct()
+    return arcs(e).join(s, "src")
+
+
+def hash_words(e: DataFrame, p: Params) -> DataFrame:
+    m = heavy.hash_messages(e, p, 1).filter("speaks").groupBy(F.col("j").alias("src"), F.col("a").alias("dst")).agg(F.count("*").alias("words"))
+    return m.unionByName(arcs(e).withColumn("words", F.lit(3).cast("long")))
+
+
+def all_pairs(v, e, p):
+    rows = [measures.all_pairs_rounds(m, p.n).select(F.lit(k).alias("method"), "*") for k, m in (("two_hop", two_hop_messages(e)), ("heavy_sample", sample_messages(e, p)), ("heavy_hash", hash_words(e, p)))]
+    return rows[0].unionByName(rows[1]).unionByName(rows[2])
+
+
+PAIRS_SQL = """, msgs AS (SELECT 'two_hop' AS method, src, dst, degree AS words FROM a JOIN deg ON v = src UNION ALL SELECT 'heavy_sample', src, dst, size FROM a JOIN ssz ON j = src WHERE speaks
+ UNION ALL SELECT 'heavy_hash', j, a, size FROM msz WHERE speaks UNION ALL SELECT 'heavy_hash', src, dst, 3 FROM a),
+sent AS (SELECT method, max(w)::BIGINT AS most_sent FROM (SELECT method, src, sum(words) AS w FROM msgs GROUP BY 1, 2) GROUP BY 1), into_ AS (SELECT method, max(w)::BIGINT AS most_received FROM (SELECT method, dst, sum(words) AS w FROM msgs GROUP BY 1, 2) GROUP BY 1)
+SELECT method, most_sent, most_received, ceil(greatest(most_sent, most_received) / (SELECT n - 1 FROM par))::BIGINT AS rounds FROM sent JOIN into_ USING (method)"""
+add("all_pairs_rounds", on_both("cells", all_pairs, 0.4), graph("cells", DEG, *sample_ctes(1)[:2], *hash_ctes(1)[:3], eps=0.4).rstrip() + PAIRS_SQL)
+
+
+def totals(v, e, p):
+    """(method, rounds, bound): rounds of one pass beside the asymptotic bound with constant 1."""
+    _, trace = light.light_avoid(v, e, p, 3)
+    n, eps = p.n, p.eps
+    bounds = {"heavy_sample": n ** (1 - eps), "heavy_hash": n ** (1 - eps / 2), "avoid_core": p.budget(1), "two_hop": None}
+    d = exact.degrees(e).agg(F.max("degree").alias("rounds"))
+    parts = [heavy.sample_ledger(e, p, 1).select("method", "rounds"), heavy.hash_ledger(e, p, 1).select("method", "rounds"), light.ledger_frame(v.sparkSession, trace).select("method", "rounds"), d.select(F.lit("two_hop").alias("method"), "rounds")]
+    every = parts[0]
+    for x in parts[1:]:
+        every = every.unionByName(x)
+    bound = F.create_map(*(F.lit(x) for k, b in bounds.items() if b is not None for x in (k, float(b))))
+    return every.groupBy("method").agg(F.sum("rounds").alias("rounds")).select("method", "rounds", F.round(F.coalesce(bound[F.col("method")], F.col("rounds").cast("double")), 6).alias("bound"))
+
+
+TOTALS = """, led AS (SELECT 'heavy_sample' AS method, coalesce(max(size) FILTER (speaks), 0) AS rounds FROM ssz UNION ALL SELECT 'heavy_hash', 3 + coalesce(max(size) FILTER (speaks), 0) FROM msz
+ UNION ALL SELECT 'two_hop', max(degree) FROM deg UNION ALL SELECT 'avoid_core', 1 + (SELECT coalesce(max(len(xs)), 0) FROM nx) + (SELECT coalesce(max(size), 0) FROM sz1) + 1)
+SELECT method, rounds::BIGINT AS rounds, round(CASE method WHEN 'heavy_sample' THEN pow(n, 0.8) WHEN 'heavy_hash' THEN pow(n, 0.9) WHEN 'two_hop' THEN rounds ELSE pow(n, 0.8) + pow(n, 0.6) * ln(n) END, 6)::DOUBLE AS bound FROM led, par"""
+add("round_totals_and_bounds", on_both("halfyear", totals, 0.2), graph("halfyear", DEG, *sample_ctes(1)[:2], *hash_ctes(1)[:3], *x_ctes(3), *core_ctes("(SELECT r FROM par)", 1), eps=0.2).rstrip() + TOTALS)

@@ -2,27 +2,49 @@
 
 from __future__ import annotations
 
+import warnings
+
 from pyspark.sql import DataFrame
+from pyspark.sql import functions as F
 
 from trilist.functions.params import Params, find_repetitions, list_repetitions
-from trilist.operators.heavy import heavy_hash, heavy_sample
-from trilist.operators.light import light_avoid
+from trilist.operators.heavy import hash_passes, heavy_hash, heavy_sample
+from trilist.operators.light import light_at_once, light_avoid, settles_at_once
+from trilist.plans.session import cut
 
 FOUND = "found boolean, a long, b long, c long, repetitions long"
 
 
 def find_triangle(vertices: DataFrame, edges: DataFrame, delta: float = 0.01, seed: int = 1, eps: float | None = None) -> DataFrame:
     """One row: a triangle, or found = false after enough repetitions that a miss has probability delta."""
-    n = vertices.count()
+    n, edges = vertices.count(), cut(edges)
     p = Params.for_finding(n) if eps is None else Params(n, eps)
     reps = find_repetitions(delta)
     for rep in range(reps):
-        for half in (lambda: heavy_sample(edges, p, seed, rep), lambda: light_avoid(vertices, edges, p, seed, rep)[0]):
+        for half in (lambda: heavy_sample(edges, p, seed, rep), lambda: finished(light_avoid(vertices, edges, p, seed, rep))):
             if row := half().limit(1).collect():
                 return edges.sparkSession.createDataFrame([(True, row[0].a, row[0].b, row[0].c, rep + 1)], FOUND)
     return edges.sparkSession.createDataFrame([(False, None, None, None, reps)], FOUND)
 
 
+def listing_passes(vertices: DataFrame, edges: DataFrame, p: Params, seed: int, reps: int, r: float | None = None) -> DataFrame:
+    """(rep, half, a, b, c), distinct: what each half lists in each repetition; all repetitions are one plan where the light half settles at once."""
+    strong = hash_passes(edges, p, seed, reps).select("rep", F.lit("heavy").alias("half"), "a", "b", "c").distinct()
+    if settles_at_once(edges, p.r if r is None else r):
+        return strong.unionByName(light_at_once(vertices, edges, p, seed, reps).select("rep", F.lit("light").alias("half"), "a", "b", "c").distinct())
+    for rep in range(reps):
+        strong = strong.unionByName(finished(light_avoid(vertices, edges, p, seed, rep, r=r)).select(F.lit(rep).alias("rep"), F.lit("light").alias("half"), "a", "b", "c").distinct())
+    return strong
+
+
+def finished(run: tuple) -> DataFrame:
+    """The output of a light pass; a warning where it stalled or ran out of its budget, so that a partial result is never silent."""
+    out, trace = run
+    if trace.stalled or trace.over_budget:
+        warnings.warn(f"a light pass {'stalled' if trace.stalled else 'ran out of its budget'} after {len(trace.iterations)} iterations; its output is partial", stacklevel=3)
+    return out
+
+
 def list_triangles(vertices: DataFrame, edges: DataFrame, seed: int = 1, eps: float | None = None, repetitions: int | None = None, heavy: bool = True, light: bool = True, r: float | None = None) -> DataFrame:
     """TRI: union over repetitions of both halves (or of one of them, for ablations).
 
@@ -33,11 +55,14 @@ def list_triangles(vertices: DataFrame, edges: DataFrame, seed: int = 1, eps: fl
     out = edges.sparkSession.createDataFrame([], "a long, b long, c long")
     if heavy and p.buckets == 1:
         repetitions, light = 1, False
-    for rep in range(repetitions or list_repetitions(n)):
+    passes = repetitions or list_repetitions(n)
+    if heavy and light:
+        return listing_passes(vertices, cut(edges), p, seed, passes, r).select("a", "b", "c").distinct()
+    for rep in range(passes):
         if heavy:
             out = out.union(heavy_hash(edges, p, seed, rep).select("a", "b", "c"))
         if light:
-            out = out.union(light_avoid(vertices, edges, p, seed, rep, r=r)[0].select("a", "b", "c"))
+            out = out.union(finished(light_avoid(vertices, edges, p, seed, rep, r=r)).select("a", "b", "c"))
     return out.distinct()
 
 

@@ -143,12 +143,20 @@ def tripartition_keys(edges: DataFrame, parts: int, seed: int = 0) -> DataFrame:
 
 
 def algebraic_support(edges: DataFrame) -> DataFrame:
-    """(A^2 masked by A): counts only, as sums of products over the joined coordinates."""
-    a = arcs(edges).withColumn("x", F.lit(1))
-    walks = a.select(F.col("src").alias("u"), F.col("dst").alias("k"), "x").join(a.select(F.col("src").alias("k"), F.col("dst").alias("v"), F.col("x").alias("y")), "k").filter("u < v")
-    # the mask comes before the sum: only products at edges are ever shuffled for it
-    square = walks.join(edges, ["u", "v"], "left_semi").groupBy("u", "v").agg(F.sum(F.col("x") * F.col("y")).alias("support"))
-    return edges.join(square, ["u", "v"], "left").select("u", "v", F.coalesce("support", F.lit(0)).alias("support"))
+    """(A^2 masked by A): for each edge the product of its ends' rows, as the size of their intersection; no walk is ever a row."""
+    rows = arcs(edges).groupBy("src").agg(F.collect_list("dst").alias("row"))
+    left = edges.join(rows.select(F.col("src").alias("u"), F.col("row").alias("x")), "u")
+    both = left.join(rows.select(F.col("src").alias("v"), F.col("row").alias("y")), "v")
+    return both.select("u", "v", F.size(F.array_intersect("x", "y")).cast("long").alias("support"))
+
+
+def spread_listing(edges: DataFrame, salts: int = 8) -> DataFrame:
+    """Degree-bounded listing: each vertex's pairs of outgoing neighbours are spread evenly over reducers, by a hash of one end."""
+    o = oriented(edges)
+    left = o.withColumn("salt", F.pmod(F.xxhash64("hi"), F.lit(salts)).cast("int"))
+    right = o.select("lo", F.col("hi").alias("h2"), F.explode(F.sequence(F.lit(0), F.lit(salts - 1))).alias("salt"))
+    pairs = left.join(right, ["lo", "salt"]).filter("hi < h2")
+    return pairs.join(edges.select(F.col("u").alias("hi"), F.col("v").alias("h2")), ["hi", "h2"], "left_semi").select(*triple("lo", "hi", "h2"))
 
 
 def algebraic_count(edges: DataFrame) -> DataFrame:

@@ -9,7 +9,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from trilist.functions.coins import below, coefficient, coin, poly_hash, tag
+from trilist.functions.coins import PRIME, below, coefficient, coin, poly_hash, tag
 from trilist.functions.params import Params
 from trilist.operators.exact import triple
 from trilist.sources.graphs import arcs
@@ -88,3 +88,28 @@ def received_words(edges: DataFrame, p: Params, seed: int) -> DataFrame:
     """(node, words) that each vertex receives in the filtered exchange."""
     m = hash_messages(edges, p, seed).filter("speaks")
     return m.groupBy(F.col("a").alias("node")).agg(F.count("*").alias("words"))
+
+
+def repeated(df: DataFrame, reps: int) -> DataFrame:
+    return df.withColumn("rep", F.explode(F.sequence(F.lit(0), F.lit(reps - 1))))
+
+
+def sample_passes(edges: DataFrame, p: Params, seed: int, reps: int) -> DataFrame:
+    """(rep, node, a, b, c): the first reps passes of heavy_sample as one plan, with the coins of the single passes."""
+    a = arcs(edges)
+    kept = repeated(a, reps).filter(coin(seed, "rep", tag("s"), "src", "dst") < below(p.sample_probability)).select("rep", F.col("src").alias("j"), F.col("dst").alias("l"))
+    loud = kept.groupBy("rep", "j").agg(F.count("*").alias("size")).filter(F.col("size") <= p.sample_cap).select("rep", "j")
+    heard = kept.join(loud, ["rep", "j"]).join(a.select(F.col("src").alias("j"), F.col("dst").alias("k")), "j").filter("k <> l")
+    return heard.join(a.select(F.col("src").alias("k"), F.col("dst").alias("l")), ["k", "l"], "left_semi").select("rep", F.col("k").alias("node"), *triple("j", "k", "l")).distinct()
+
+
+def hash_passes(edges: DataFrame, p: Params, seed: int, reps: int) -> DataFrame:
+    """(rep, node, a, b, c): the first reps passes of heavy_hash as one plan, with the coins of the single passes."""
+    own = arcs(edges)
+    drawn = repeated(own.select(F.col("src").alias("a")).distinct(), reps)
+    drawn = drawn.select("rep", "a", *(F.pmod(coin(seed, "rep", tag("h"), "a", k), F.lit(PRIME)).alias(f"c{k}") for k in range(3)))
+    asks = drawn.join(own.select(F.col("src").alias("a"), F.col("dst").alias("j")), "a")
+    owed = asks.join(own.select(F.col("src").alias("j"), F.col("dst").alias("l")), "j").filter(poly_hash("l", "c0", "c1", "c2", p.buckets) == 0).select("rep", "j", "a", "l")
+    loud = owed.groupBy("rep", "j", "a").agg(F.count("*").alias("size")).filter(F.col("size") <= p.bucket_cap).select("rep", "j", "a")
+    got = owed.join(loud, ["rep", "j", "a"]).select(F.struct("rep", "a").alias("node"), F.least("j", "l").alias("u"), F.greatest("j", "l").alias("v")).distinct()
+    return local_triangles(got).select("node.rep", F.col("node.a").alias("node"), "a", "b", "c")

@@ -14,7 +14,7 @@ from pyspark.sql import functions as F
 
 from trilist.functions.coins import below, coin, tag
 from trilist.functions.params import Params
-from trilist.operators.exact import triple
+from trilist.operators.exact import triangles, triple
 from trilist.plans.session import cut
 from trilist.sources.graphs import arcs, induced
 
@@ -51,7 +51,31 @@ def offer_sets(edges: DataFrame, nx: DataFrame, active: DataFrame) -> DataFrame:
 
 
 def offer_sizes(edges: DataFrame, nx: DataFrame, active: DataFrame) -> DataFrame:
-    return offer_sets(edges, nx, active).groupBy("j", "k").agg(F.count("*").alias("size"))
+    """(j, k, size) of the offer sets, without listing them.
+
+    Neighbours of k with the same sampled neighbours are open to the same vertices, and most have none at all: so k's neighbours are
+    counted by that list first, and lists meet lists. A hub of degree d costs d rows, not d squared.
+    """
+    none = F.array().cast("array<bigint>")
+    a = arcs(induced(edges, active)).select(F.col("src").alias("k"), F.col("dst").alias("j"))
+    rows = a.join(nx.select(F.col("v").alias("j"), "xs"), "j", "left").select("k", "j", F.coalesce("xs", none).alias("xs"))
+    groups = rows.groupBy("k", "xs").agg(F.count("*").alias("c"))
+    met = groups.select("k", "xs").join(groups.select("k", F.col("xs").alias("ys"), "c"), "k").filter(~F.arrays_overlap("xs", "ys"))
+    open_to = met.groupBy("k", "xs").agg(F.sum("c").alias("open"))
+    # j itself is among them if its own list overlaps with nothing, that is, if it is empty
+    size = F.col("open") - F.when(F.size("xs") == 0, 1).otherwise(0)
+    return rows.join(open_to, ["k", "xs"]).select("j", "k", size.cast("long").alias("size")).filter("size > 0")
+
+
+def open_closed(edges: DataFrame, nx: DataFrame, active: DataFrame) -> DataFrame:
+    """(j, k, l): the offers that their receiver j can close, from the triangles of the active vertices with an open edge {j, l}."""
+    inside = induced(edges, active)
+    lists = lambda c: nx.select(F.col("v").alias(c), F.col("xs").alias(f"x{c}"))
+    both = inside.join(lists("u"), "u", "left").join(lists("v"), "v", "left")
+    free = both.filter(F.col("xu").isNull() | F.col("xv").isNull() | ~F.arrays_overlap("xu", "xv")).select("u", "v")
+    sides = F.array(*(F.struct(F.col(x).alias("u"), F.col(y).alias("v"), F.col(z).alias("k")) for x, y, z in ("abc", "acb", "bca")))
+    found = triangles(inside).select(F.explode(sides).alias("t")).select("t.*").join(free, ["u", "v"], "left_semi")
+    return found.select(F.col("u").alias("j"), "k", F.col("v").alias("l")).unionByName(found.select(F.col("v").alias("j"), "k", F.col("u").alias("l")))
 
 
 def overflow_sets(sizes: DataFrame, r: float) -> DataFrame:
@@ -64,11 +88,9 @@ def settled(active: DataFrame, overflow: DataFrame, r: float) -> DataFrame:
     return active.join(n, "v", "left").filter(F.coalesce("n", F.lit(0)) <= r).select("v")
 
 
-def close_small(offers: DataFrame, overflow: DataFrame, edges: DataFrame) -> DataFrame:
-    """Step one: j closes the small offers of its neighbours."""
-    a = arcs(edges).select(F.col("src").alias("j"), F.col("dst").alias("l"))
-    few = offers.join(overflow, ["j", "k"], "left_anti")
-    return few.join(a, ["j", "l"], "left_semi").select(F.col("j").alias("node"), *triple("j", "k", "l")).distinct()
+def close_small(closed: DataFrame, overflow: DataFrame) -> DataFrame:
+    """Step one: j closes the small offers of its neighbours; closed has the offers that can be."""
+    return closed.join(overflow, ["j", "k"], "left_anti").select(F.col("j").alias("node"), *triple("j", "k", "l")).distinct()
 
 
 def close_overflow(overflow: DataFrame, calm: DataFrame, edges: DataFrame, active: DataFrame) -> DataFrame:
@@ -106,11 +128,10 @@ def avoid_core(vertices: DataFrame, edges: DataFrame, xs: DataFrame, r: float, b
         if budget is not None and trace.rounds > budget:
             trace.over_budget = True
             break
-        offers = offer_sets(edges, nx, active)
-        sizes = cut(offers.groupBy("j", "k").agg(F.count("*").alias("size")))
+        sizes = cut(offer_sizes(edges, nx, active))
         over = cut(overflow_sets(sizes, r))
         calm = cut(settled(active, over, r))
-        outs.append(cut(close_small(offers, over, edges).unionByName(close_overflow(over, calm, edges, active))))
+        outs.append(cut(close_small(open_closed(edges, nx, active), over).unionByName(close_overflow(over, calm, edges, active))))
         little = sizes.filter(F.col("size") <= r).agg(F.max("size"), F.sum("size")).first()
         inside = arcs(induced(edges, active)).groupBy(F.col("src").alias("j")).agg(F.count("*").alias("degree"))
         big = over.join(calm.select(F.col("v").alias("j")), "j", "left_semi").groupBy("j").agg(F.count("*").alias("n")).join(inside, "j").agg(F.max("n"), F.sum(F.col("n") * F.col("degree"))).first()
@@ -125,6 +146,25 @@ def avoid_core(vertices: DataFrame, edges: DataFrame, xs: DataFrame, r: float, b
     return out.distinct(), trace
 
 
+def settles_at_once(edges: DataFrame, r: float) -> bool:
+    """No vertex has more than r + 1 neighbours, so no offer overflows and the first iteration settles all."""
+    return (arcs(edges).groupBy("src").count().agg(F.max("count")).first()[0] or 0) <= r + 1
+
+
+def light_at_once(vertices: DataFrame, edges: DataFrame, p: Params, seed: int, reps: int) -> DataFrame:
+    """(rep, node, a, b, c): what the core gives in each of the first reps draws of X, for graphs that settle at once; one plan for all."""
+    draws = vertices.select("v", F.explode(F.sequence(F.lit(0), F.lit(reps - 1))).alias("rep"))
+    xs = draws.filter(coin(seed, "rep", tag("x"), "v") < below(p.x_probability))
+    hub = arcs(edges).join(xs.select("rep", F.col("v").alias("src")), "src")
+    pairs = hub.select("rep", "src", F.col("dst").alias("u")).join(hub.select("rep", "src", F.col("dst").alias("v")), ["rep", "src"]).filter("u < v")
+    # only pairs that are edges matter, so the mask comes before anything is made distinct
+    shut = pairs.join(edges, ["u", "v"], "left_semi").select("rep", "u", "v").distinct()
+    sides = F.array(*(F.struct(F.col(x).alias("u"), F.col(y).alias("v")) for x, y in (("a", "b"), ("a", "c"), ("b", "c"))))
+    every = triangles(edges).select("a", "b", "c", F.explode(sides).alias("e"), F.sequence(F.lit(0), F.lit(reps - 1)).alias("reps"))
+    free = every.select("a", "b", "c", F.col("e.u").alias("u"), F.col("e.v").alias("v"), F.explode("reps").alias("rep")).join(shut, ["rep", "u", "v"], "left_anti")
+    return free.select("rep", F.explode(F.array("u", "v")).alias("node"), "a", "b", "c").distinct()
+
+
 def light_avoid(vertices: DataFrame, edges: DataFrame, p: Params, seed: int, rep: int = 0, r: float | None = None, c: float | None = 40.0) -> tuple[DataFrame, Trace]:
     """Draw X, run the core with the theory's r (or a given one), stop once the rounds exceed the budget of constant c."""
     return avoid_core(vertices, edges, sample_x(vertices, p, seed, rep), p.r if r is None else r, None if c is None else p.budget(c))

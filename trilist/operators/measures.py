@@ -153,3 +153,17 @@ def hash_uniformity(vertices: DataFrame, buckets: int, seed: int) -> DataFrame:
     h = draw_hashes(vertices, seed)
     cols = [poly_hash(f"x{k}", "c0", "c1", "c2", buckets).alias(f"b{k}") for k in range(3)]
     return h.withColumns({f"x{k}": F.lit(k).cast("long") for k in range(3)}).select(*cols).groupBy("b0", "b1", "b2").agg(F.count("*").alias("hashes"))
+
+
+def all_pairs_rounds(messages: DataFrame, n: int) -> DataFrame:
+    """(most_sent, most_received, rounds) of messages(src, dst, words) where any two of n vertices can talk: the busiest vertex's words over n - 1 links."""
+    out = messages.groupBy("src").agg(F.sum("words").alias("w")).agg(F.coalesce(F.max("w"), F.lit(0)).cast("long").alias("most_sent"))
+    into = messages.groupBy("dst").agg(F.sum("words").alias("w")).agg(F.coalesce(F.max("w"), F.lit(0)).cast("long").alias("most_received"))
+    return out.crossJoin(F.broadcast(into)).withColumn("rounds", F.ceil(F.greatest("most_sent", "most_received") / F.lit(max(1, n - 1))).cast("long"))
+
+
+def rate_over(found: DataFrame, reps: int, guarantee: float) -> DataFrame:
+    """(reps, hits, rate, guarantee, holds) for found(rep), the repetitions that succeeded."""
+    hits = found.select("rep").distinct().agg(F.count("*").alias("hits"))
+    rate = F.col("hits") / F.lit(float(reps))
+    return hits.select(F.lit(reps).cast("long").alias("reps"), "hits", F.round(rate, 6).alias("rate"), F.lit(guarantee).alias("guarantee"), (rate >= guarantee).alias("holds"))
