@@ -200,3 +200,40 @@ def test_listing_stops_early_only_with_one_bucket(spark, sf, monkeypatch):
     passes.clear()
     drivers.list_triangles(v, e, eps=1.0)
     assert passes == ["heavy", "light"] * 12
+
+
+@pytest.mark.parametrize("name", ["coin", "halfyear", "windmill", "book"])
+def test_offer_sizes_equal_the_listed_sets(spark, name):
+    v, e = vertices_of(spark, SF01, name), edges_of(spark, SF01, name).cache()
+    p = Params(v.count(), 0.2)
+    nx = light.x_neighbourhoods(e, light.sample_x(v, p, 3)).cache()
+    some = v.filter("v % 5 <> 0")
+    sets = light.offer_sets(e, nx, some).cache()
+    assert rows(light.offer_sizes(e, nx, some)) == rows(sets.groupBy("j", "k").count())
+    a = e.selectExpr("u AS j", "v AS l").union(e.selectExpr("v", "u"))
+    assert rows(light.open_closed(e, nx, some)) == rows(sets.join(a, ["j", "l"], "left_semi").select("j", "k", "l"))
+
+
+def test_passes_in_one_plan_equal_single_passes(spark):
+    v, e = vertices_of(spark, SF01, "halfyear"), edges_of(spark, SF01, "halfyear").cache()
+    p = Params(v.count(), 0.5)
+    for rep in (0, 2):
+        one = lambda df: rows(df.filter(f"rep = {rep}").drop("rep"))  # noqa: E731, B023
+        assert one(heavy.sample_passes(e, p, 1, 3)) == rows(heavy.heavy_sample(e, p, 1, rep))
+        assert one(heavy.hash_passes(e, p, 1, 3)) == rows(heavy.heavy_hash(e, p, 1, rep))
+        assert one(light.light_at_once(v, e, p, 1, 3)) == rows(light.light_avoid(v, e, p, 1, rep)[0])
+    assert rows(exact.spread_listing(e, 3)) == rows(exact.triangles(e))
+
+
+def test_listing_theorem_and_guarantees_hold(spark):
+    q = catalog.queries()
+    last = q["w6_listing_theorem"](spark, SF01).orderBy("rep").collect()[-1]
+    assert last.rep + 1 == list_repetitions(100) and last.listed == last.triangles
+    for name in ("success_heavy_sample", "success_heavy_hash", "success_light_avoid"):
+        assert q[name](spark, SF01).first().holds, name
+
+
+def test_a_partial_light_pass_warns(spark):
+    v, e = vertices_of(spark, SF01, "coin"), edges_of(spark, SF01, "coin").cache()
+    with pytest.warns(UserWarning, match="partial"):
+        drivers.list_triangles(v, e, seed=2, eps=0.25, repetitions=1, heavy=False, r=3)

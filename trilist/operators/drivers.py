@@ -8,7 +8,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from trilist.functions.params import Params, find_repetitions, list_repetitions
-from trilist.operators.heavy import hash_passes, heavy_hash, heavy_sample
+from trilist.operators.heavy import hash_passes, heavy_hash, heavy_sample, sample_passes
 from trilist.operators.light import light_at_once, light_avoid, settles_at_once
 from trilist.plans.session import cut
 
@@ -20,6 +20,13 @@ def find_triangle(vertices: DataFrame, edges: DataFrame, delta: float = 0.01, se
     n, edges = vertices.count(), cut(edges)
     p = Params.for_finding(n) if eps is None else Params(n, eps)
     reps = find_repetitions(delta)
+    if settles_at_once(edges, p.r):
+        # the first repetition mostly finds one where there is one; all others are one more plan
+        for first, last in ((0, 1), (1, reps)):
+            passes = sample_passes(edges, p, seed, last, first).unionByName(light_at_once(vertices, edges, p, seed, last, first))
+            if last > first and (row := passes.select("rep", "a", "b", "c").orderBy("rep", "a", "b", "c").limit(1).collect()):
+                return edges.sparkSession.createDataFrame([(True, row[0].a, row[0].b, row[0].c, row[0].rep + 1)], FOUND)
+        return edges.sparkSession.createDataFrame([(False, None, None, None, reps)], FOUND)
     for rep in range(reps):
         for half in (lambda: heavy_sample(edges, p, seed, rep), lambda: finished(light_avoid(vertices, edges, p, seed, rep))):
             if row := half().limit(1).collect():

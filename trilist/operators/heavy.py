@@ -90,14 +90,14 @@ def received_words(edges: DataFrame, p: Params, seed: int) -> DataFrame:
     return m.groupBy(F.col("a").alias("node")).agg(F.count("*").alias("words"))
 
 
-def repeated(df: DataFrame, reps: int) -> DataFrame:
-    return df.withColumn("rep", F.explode(F.sequence(F.lit(0), F.lit(reps - 1))))
+def repeated(df: DataFrame, reps: int, first: int = 0) -> DataFrame:
+    return df.withColumn("rep", F.explode(F.sequence(F.lit(first), F.lit(reps - 1))))
 
 
-def sample_passes(edges: DataFrame, p: Params, seed: int, reps: int) -> DataFrame:
-    """(rep, node, a, b, c): the first reps passes of heavy_sample as one plan, with the coins of the single passes."""
+def sample_passes(edges: DataFrame, p: Params, seed: int, reps: int, first: int = 0) -> DataFrame:
+    """(rep, node, a, b, c): passes first to reps - 1 of heavy_sample as one plan, with the coins of the single passes."""
     a = arcs(edges)
-    kept = repeated(a, reps).filter(coin(seed, "rep", tag("s"), "src", "dst") < below(p.sample_probability)).select("rep", F.col("src").alias("j"), F.col("dst").alias("l"))
+    kept = repeated(a, reps, first).filter(coin(seed, "rep", tag("s"), "src", "dst") < below(p.sample_probability)).select("rep", F.col("src").alias("j"), F.col("dst").alias("l"))
     loud = kept.groupBy("rep", "j").agg(F.count("*").alias("size")).filter(F.col("size") <= p.sample_cap).select("rep", "j")
     heard = kept.join(loud, ["rep", "j"]).join(a.select(F.col("src").alias("j"), F.col("dst").alias("k")), "j").filter("k <> l")
     return heard.join(a.select(F.col("src").alias("k"), F.col("dst").alias("l")), ["k", "l"], "left_semi").select("rep", F.col("k").alias("node"), *triple("j", "k", "l")).distinct()

@@ -151,16 +151,17 @@ def settles_at_once(edges: DataFrame, r: float) -> bool:
     return (arcs(edges).groupBy("src").count().agg(F.max("count")).first()[0] or 0) <= r + 1
 
 
-def light_at_once(vertices: DataFrame, edges: DataFrame, p: Params, seed: int, reps: int) -> DataFrame:
-    """(rep, node, a, b, c): what the core gives in each of the first reps draws of X, for graphs that settle at once; one plan for all."""
-    draws = vertices.select("v", F.explode(F.sequence(F.lit(0), F.lit(reps - 1))).alias("rep"))
+def light_at_once(vertices: DataFrame, edges: DataFrame, p: Params, seed: int, reps: int, first: int = 0) -> DataFrame:
+    """(rep, node, a, b, c): what the core gives in each of the draws first to reps - 1 of X, for graphs that settle at once; one plan for all."""
+    every_rep = F.sequence(F.lit(first), F.lit(reps - 1))
+    draws = vertices.select("v", F.explode(every_rep).alias("rep"))
     xs = draws.filter(coin(seed, "rep", tag("x"), "v") < below(p.x_probability))
     hub = arcs(edges).join(xs.select("rep", F.col("v").alias("src")), "src")
     pairs = hub.select("rep", "src", F.col("dst").alias("u")).join(hub.select("rep", "src", F.col("dst").alias("v")), ["rep", "src"]).filter("u < v")
     # only pairs that are edges matter, so the mask comes before anything is made distinct
     shut = pairs.join(edges, ["u", "v"], "left_semi").select("rep", "u", "v").distinct()
     sides = F.array(*(F.struct(F.col(x).alias("u"), F.col(y).alias("v")) for x, y in (("a", "b"), ("a", "c"), ("b", "c"))))
-    every = triangles(edges).select("a", "b", "c", F.explode(sides).alias("e"), F.sequence(F.lit(0), F.lit(reps - 1)).alias("reps"))
+    every = triangles(edges).select("a", "b", "c", F.explode(sides).alias("e"), every_rep.alias("reps"))
     free = every.select("a", "b", "c", F.col("e.u").alias("u"), F.col("e.v").alias("v"), F.explode("reps").alias("rep")).join(shut, ["rep", "u", "v"], "left_anti")
     return free.select("rep", F.explode(F.array("u", "v")).alias("node"), "a", "b", "c").distinct()
 

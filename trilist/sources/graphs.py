@@ -128,6 +128,7 @@ def _trade(spark, sf_dir):
 
 
 def _document_lines(spark, sf_dir):
+    """By definition only lines of 2 to 50 documents make edges: a line of more is boilerplate and says nothing of two documents."""
     lines = load(spark, sf_dir, "documents").select("doc_id", F.explode(F.split("text", "\n")).alias("l")).withColumn("l", F.trim("l")).filter(F.length("l") >= MIN_LINE)
     return edges_from_groups(lines, F.col("doc_id"), [F.col("l")], max_group=50)
 
@@ -141,14 +142,23 @@ def _hosts(spark, sf_dir):
 
 
 def _links(spark, sf_dir):
+    """By definition only targets of 2 to 20 pages make edges: more common ones (navigation) say nothing of two pages."""
     refs = load(spark, sf_dir, "pages").select("page_id", F.explode(F.regexp_extract_all("html", F.lit('href="([^"]*)"'), F.lit(1))).alias("h"))
     return edges_from_groups(refs, F.col("page_id"), [F.col("h")], max_group=20)
 
 
+def word_windows(texts: DataFrame, key: str, width: int = 10) -> DataFrame:
+    """(key, h1, h2), distinct: 128-bit hashes of all runs of width words of the column text, whole texts."""
+    words = F.filter(F.split("text", r"[ \t\n\r\x0B\f]+"), lambda w: w != "")
+    spans = F.when(F.size("w") >= width, F.sequence(F.lit(1), F.size("w") - (width - 1)))
+    hashes = F.transform(spans, lambda i: F.struct(F.xxhash64(F.slice("w", i, width)).alias("h1"), F.xxhash64(F.lit("second"), F.slice("w", i, width)).alias("h2")))
+    return texts.select(key, words.alias("w")).select(key, F.explode(hashes).alias("h")).select(key, "h.h1", "h.h2").distinct()
+
+
 def _overlap(spark, sf_dir):
-    b = load(spark, sf_dir, "benchmark").select("item_id", F.substring("text", 1, 60).alias("head")).filter("head <> ''")
-    d = load(spark, sf_dir, "documents").select("doc_id", "text")
-    return normalise_edges(d.join(F.broadcast(b), F.col("text").contains(F.col("head"))).select((F.col("doc_id") * 2).alias("a"), (F.col("item_id") * 2 + 1).alias("b")), "a", "b")
+    """A document and a benchmark item that share ten words in a row, by an equi-join of window hashes; shorter items have no edge."""
+    d, b = word_windows(load(spark, sf_dir, "documents"), "doc_id"), word_windows(load(spark, sf_dir, "benchmark"), "item_id")
+    return normalise_edges(d.join(b, ["h1", "h2"]).select((F.col("doc_id") * 2).alias("a"), (F.col("item_id") * 2 + 1).alias("b")).distinct(), "a", "b")
 
 
 def _turns(spark, sf_dir):
@@ -183,6 +193,11 @@ def capped_sql(rows: str, most: int) -> str:
     return f"SELECT DISTINCT x.m AS u, y.m AS v FROM ({rows}) x JOIN ({rows}) y ON x.g = y.g AND x.m < y.m JOIN (SELECT g FROM ({rows}) GROUP BY g HAVING count(*) BETWEEN 2 AND {most}) z ON z.g = x.g"
 
 
+def window_sql(table: str, key: str) -> str:
+    words = f"SELECT {key}, list_filter(string_split_regex(text, '[ \\t\\n\\r\\x0B\\f]+'), lambda x: x <> '') AS w FROM {table} WHERE text IS NOT NULL"
+    return f"SELECT DISTINCT {key}, array_to_string(list_slice(w, i, i + 9), ' ') AS k FROM (SELECT {key}, w, unnest(range(1, len(w) - 8)) AS i FROM ({words}) WHERE len(w) >= 10)"
+
+
 LINES_SQL = f"SELECT DISTINCT doc_id AS m, l AS g FROM (SELECT doc_id, trim(unnest(string_split(text, chr(10)))) AS l FROM documents) WHERE length(l) >= {MIN_LINE}"
 HREF_SQL = """SELECT DISTINCT page_id AS m, h AS g FROM (SELECT page_id, unnest(regexp_extract_all(html, 'href="([^"]*)"', 1)) AS h FROM pages)"""
 SUPPLIERS = "SELECT s_suppkey AS v FROM supplier"
@@ -202,7 +217,7 @@ GRAPHS: dict[str, Graph] = {
     "labels": Graph(_labels, pair_sql("vec_id", "label", "embeddings"), "SELECT vec_id AS v FROM embeddings"),
     "hosts": Graph(_hosts, pair_sql("page_id", "regexp_extract(url, '^[a-z]+://([^/?#]+)', 1)", "pages"), "SELECT page_id AS v FROM pages"),
     "links": Graph(_links, capped_sql(HREF_SQL, 20), "SELECT page_id AS v FROM pages"),
-    "overlap": Graph(_overlap, norm_sql("SELECT doc_id * 2 AS a, item_id * 2 + 1 AS b FROM documents d JOIN benchmark b ON contains(d.text, substr(b.text, 1, 60)) WHERE b.text <> ''"), "SELECT doc_id * 2 AS v FROM documents UNION ALL SELECT item_id * 2 + 1 FROM benchmark"),
+    "overlap": Graph(_overlap, norm_sql(f"SELECT DISTINCT doc_id * 2 AS a, item_id * 2 + 1 AS b FROM ({window_sql('documents', 'doc_id')}) d JOIN ({window_sql('benchmark', 'item_id')}) b USING (k)"), "SELECT doc_id * 2 AS v FROM documents UNION ALL SELECT item_id * 2 + 1 FROM benchmark"),
     "turns": Graph(_turns, pair_sql("conv_id * 1000 + turn", "conv_id", "conversations"), "SELECT conv_id * 1000 + turn AS v FROM conversations"),
     "quality_lines": Graph(_quality_lines, f"SELECT u, v FROM ({capped_sql(LINES_SQL, 50)}) WHERE u IN (SELECT doc_id FROM labels WHERE quality = 1) AND v IN (SELECT doc_id FROM labels WHERE quality = 1)", "SELECT doc_id AS v FROM labels WHERE quality = 1"),
     "empty": small([]),

@@ -51,6 +51,23 @@ def stream_window_counts(events: DataFrame, size: str, late: str = "1 hour") ->
     return events.withWatermark("ts", late).groupBy(F.window("ts", size).alias("w"), "event_type").agg(F.count("*").alias("events")).select(F.col("w.start").alias("start"), "event_type", "events")
 
 
+def stream_edges(events: DataFrame, size: str, late: str = "1 hour") -> DataFrame:
+    """(start, u, v) on a stream: users active in one tumbling window with one event type, each edge once, when its window is complete.
+
+    Rows later than the watermark are dropped. A window's users are gathered by (window, type) first and paired when it closes, so
+    state holds users, not pairs.
+    """
+    w = events.withWatermark("ts", late).groupBy(F.window("ts", size).alias("w"), "event_type").agg(F.array_sort(F.collect_set("user_id")).alias("users"))
+    pairs = F.flatten(F.transform("users", lambda u: F.transform(F.filter("users", lambda v: v > u), lambda v: F.struct(u.alias("u"), v.alias("v")))))
+    return w.select(F.col("w.start").alias("start"), F.explode(pairs).alias("e")).select("start", "e.u", "e.v")
+
+
+def distinct_edges(edges: DataFrame, late: str = "1 hour") -> DataFrame:
+    """A stream of edges (ts, u, v), repeats within the watermark dropped, whatever the order of the ends."""
+    same = edges.select("ts", F.least("u", "v").alias("u"), F.greatest("u", "v").alias("v")).filter("u <> v")
+    return same.withWatermark("ts", late).dropDuplicatesWithinWatermark(["u", "v"])
+
+
 def incremental_triangles(edges: DataFrame) -> DataFrame:
     """Triangles (g, a, b, c) of a stream of edges (g, u, v), each once, when its last edge arrives; state is g's adjacency."""
 
