@@ -28,6 +28,7 @@ from trilist.llm.common import K1, K2, bounded_batches, components, discard, joi
 from trilist.llm.simhash import links
 
 BANDS, ROWS, LEVELS, WAYS, PAIR_LIMIT = 20, 5, 2, 3, 4
+HOT_SHARE = 0.001
 
 
 def shingle_hashes(text: str | None, width: int):
@@ -158,19 +159,27 @@ def crowded_links(crowded: DataFrame, sets: DataFrame, roots: DataFrame, similar
     total = rows.count()
     place = F.row_number().over(Window.partitionBy("node").orderBy(F.coalesce("n", F.lit(1)), "t"))
     most = F.col("size") - F.ceil(F.col("size") * similarity - 1e-9) + 1
-    first = join_hot(rows, often, ["t"], "n", total, how="left").withColumn("place", place).filter((F.col("place") <= most) & F.col("n").isNotNull())
-    first = materialise(first.select("t", "node", "size", "place").join(mine, "node"), "similar-prefixes")
+    # at most 1/HOT_SHARE shingles are in more than that share of the rows: they come last in the order, by t, and need no join
+    limit = max(1, int(total * HOT_SHARE))
+    hot = [r.t for r in often.filter(F.col("n") > limit).select("t").collect()]
+    is_hot = F.col("t").isin(hot) if hot else F.lit(False)
+    seldom = rows.filter(~is_hot).join(often.filter(F.col("n") <= limit), "t", "left")
+    ordered = seldom.unionByName(rows.filter(is_hot).withColumn("n", F.lit(total).cast("long")))
+    first = ordered.withColumn("place", place).filter((F.col("place") <= most) & F.col("n").isNotNull())
+    # each row has its whole prefix in the common order, so that a pair meets at the first shingle it shares and at no other
+    prefixes = first.groupBy("node").agg(F.transform(F.array_sort(F.collect_list(F.struct("place", "t"))), lambda x: x["t"]).alias("prefix"))
+    first = materialise(first.select("t", "node", "size", "place").join(prefixes, "node").join(mine, "node"), "similar-prefixes")
     held = first.groupBy("t", "root").agg(F.count("*").alias("c")).groupBy("t").agg(F.max_by("root", F.struct("c", "root")).alias("main"), F.sum("c").alias("m"), F.count("*").alias("roots"))
     held = materialise(held.filter("roots > 1").select("t", "main", "m"), "similar-mixed", "snappy")
     met = materialise(join_hot(first, held, ["t"], "m", max(1, first.count())), "similar-met")
-    a = met.filter("root <> main").select("t", F.col("node").alias("a"), F.col("root").alias("ra"), F.col("size").alias("sa"), F.col("place").alias("pa"))
-    b = met.select("t", F.col("node").alias("b"), F.col("root").alias("rb"), F.col("size").alias("sb"), F.col("place").alias("pb"), (F.col("root") == F.col("main")).alias("mainly"))
-    both = join_dealt(a, b, "t", max(1, met.count())).filter("ra <> rb AND (mainly OR a < b)").filter((F.col("sa") >= F.col("sb") * similarity - 1e-9) & (F.col("sb") >= F.col("sa") * similarity - 1e-9))
-    # the first shingle shared is at the least place of both, and only what follows it can be shared besides
-    low, pair = F.col("a") < F.col("b"), (F.least("a", "b").alias("x"), F.greatest("a", "b").alias("y"))
-    left, right = F.col("sa") - F.col("pa"), F.col("sb") - F.col("pb")
-    ends = both.groupBy(*pair).agg(F.max(F.when(low, left).otherwise(right)).alias("ex"), F.max(F.when(low, right).otherwise(left)).alias("ey"), F.first(F.col("sa") + F.col("sb")).alias("s"))
-    likely = ends.filter(1 + F.least("ex", "ey") >= F.col("s") * (similarity / (1 + similarity)) - 1e-9)
+    a = met.filter("root <> main").select("t", F.col("node").alias("a"), F.col("root").alias("ra"), F.col("size").alias("sa"), F.col("place").alias("pa"), F.col("prefix").alias("xa"))
+    b = met.select("t", F.col("node").alias("b"), F.col("root").alias("rb"), F.col("size").alias("sb"), F.col("place").alias("pb"), F.col("prefix").alias("xb"), (F.col("root") == F.col("main")).alias("mainly"))
+    # what precedes the first shared shingle is not shared, and of what follows no more than the shorter rest can be
+    most = 1 + F.least(F.col("sa") - F.col("pa"), F.col("sb") - F.col("pb"))
+    enough = most >= (F.col("sa") + F.col("sb")) * (similarity / (1 + similarity)) - 1e-9
+    sizes = (F.col("sa") >= F.col("sb") * similarity - 1e-9) & (F.col("sb") >= F.col("sa") * similarity - 1e-9)
+    both = join_dealt(a, b, "t", max(1, met.count())).filter("ra <> rb AND (mainly OR a < b)").filter(sizes & enough & (F.array_intersect("xa", "xb")[0] == F.col("t")))
+    likely = both.select(F.least("a", "b").alias("x"), F.greatest("a", "b").alias("y")).distinct()
     asked = materialise(likely.select(F.col("x").alias("a"), F.col("y").alias("b")), "similar-crowded", "snappy")
     good = materialise(similar_pairs(asked, sets, similarity), "similar-crowded-links", "snappy")
     discard(named, mine, rows, often, first, held, met, asked)
