@@ -192,14 +192,12 @@ def test_listing_queries_run_the_whole_method(spark, sf, monkeypatch):
 def test_listing_stops_early_only_with_one_bucket(spark, sf, monkeypatch):
     v, e = vertices_of(spark, sf, "complete"), edges_of(spark, sf, "complete")
     passes = []
-    none = spark.createDataFrame([], "node long, a long, b long, c long")
-    real = drivers.heavy_hash
-    monkeypatch.setattr(drivers, "heavy_hash", lambda *a, **b: passes.append("heavy") or real(*a, **b))
-    monkeypatch.setattr(drivers, "light_avoid", lambda *a, **b: passes.append("light") or (none, None))
-    assert rows(drivers.list_triangles(v, e)) == rows(exact.triangles(e)) and passes == ["heavy"]
-    passes.clear()
-    drivers.list_triangles(v, e, eps=1.0)
-    assert passes == ["heavy", "light"] * 12
+    real = drivers.listing_passes
+    monkeypatch.setattr(drivers, "listing_passes", lambda v, e, p, seed, reps, r=None: passes.append(reps) or real(v, e, p, seed, reps, r))
+    assert rows(drivers.list_triangles(v, e)) == rows(exact.triangles(e)) and passes == []
+    assert set(rows(drivers.list_triangles(v, e, eps=1.0))) <= set(rows(exact.triangles(e))) and passes == [12]
+    halves = {(r.rep, r.half) for r in real(v, e, Params(8, 0.5), 1, 3).select("rep", "half").distinct().collect()}
+    assert {h for _, h in halves} == {"heavy", "light"} and {r for r, _ in halves} == {0, 1, 2}
 
 
 @pytest.mark.parametrize("name", ["coin", "halfyear", "windmill", "book"])
