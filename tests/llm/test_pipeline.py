@@ -1,5 +1,7 @@
 import random
 
+import pytest
+
 import corpus_pipeline
 from trilist.llm import similar
 
@@ -53,7 +55,9 @@ def crowd():
     return list(enumerate(map(" ".join, rows)))
 
 
-def test_crowded_bands_lose_no_pair(spark):
+@pytest.mark.parametrize("block", [similar.BLOCK, 3])
+def test_crowded_bands_lose_no_pair(spark, monkeypatch, block):
+    monkeypatch.setattr(similar, "BLOCK", block)
     rows = crowd()
     docs = spark.createDataFrame([(i, t, "en", "s", 0, "x") for i, t in rows], SCHEMA)
     got = {x.doc.doc_id for x in similar.near_duplicates(docs).filter("stays").collect()}

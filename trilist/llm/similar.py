@@ -29,6 +29,7 @@ from trilist.llm.simhash import links
 
 BANDS, ROWS, LEVELS, WAYS, PAIR_LIMIT = 20, 5, 2, 3, 4
 HOT_SHARE = 0.001
+BLOCK = 1024
 
 
 def shingle_hashes(text: str | None, width: int):
@@ -169,16 +170,21 @@ def crowded_links(crowded: DataFrame, sets: DataFrame, roots: DataFrame, similar
     # each row has its whole prefix in the common order, so that a pair meets at the first shingle it shares and at no other
     prefixes = first.groupBy("node").agg(F.transform(F.array_sort(F.collect_list(F.struct("place", "t"))), lambda x: x["t"]).alias("prefix"))
     first = materialise(first.select("t", "node", "size", "place").join(prefixes, "node").join(mine, "node"), "similar-prefixes")
-    held = first.groupBy("t", "root").agg(F.count("*").alias("c")).groupBy("t").agg(F.max_by("root", F.struct("c", "root")).alias("main"), F.sum("c").alias("m"), F.count("*").alias("roots"))
-    held = materialise(held.filter("roots > 1").select("t", "main", "m"), "similar-mixed", "snappy")
+    held = first.groupBy("t", "root").agg(F.count("*").alias("c")).groupBy("t").agg(F.max_by("root", F.struct("c", "root")).alias("main"), F.sum("c").alias("m"), (F.sum("c") - F.max("c")).alias("beside"), F.count("*").alias("roots"))
+    held = materialise(held.filter("roots > 1").select("t", "main", "m", "beside"), "similar-mixed", "snappy")
     met = materialise(join_hot(first, held, ["t"], "m", max(1, first.count())), "similar-met")
-    a = met.filter("root <> main").select("t", F.col("node").alias("a"), F.col("root").alias("ra"), F.col("size").alias("sa"), F.col("place").alias("pa"), F.col("prefix").alias("xa"))
-    b = met.select("t", F.col("node").alias("b"), F.col("root").alias("rb"), F.col("size").alias("sb"), F.col("place").alias("pb"), F.col("prefix").alias("xb"), (F.col("root") == F.col("main")).alias("mainly"))
+    # a shingle's nodes meet in blocks of BLOCK by BLOCK, each node copied once a block of the other side: up to BLOCK nodes none is copied
+    across, down = F.ceil(F.col("beside") / BLOCK).cast("int"), F.ceil(F.col("m") / BLOCK).cast("int")
+    every, dealt = lambda n: F.explode(F.sequence(F.lit(0), n - 1)), lambda n: F.pmod(F.xxhash64("node", "t"), n).cast("int")
+    a = met.filter("root <> main").withColumn("i", dealt(across)).withColumn("j", every(down))
+    a = a.select("t", "i", "j", F.col("node").alias("a"), F.col("root").alias("ra"), F.col("size").alias("sa"), F.col("place").alias("pa"), F.col("prefix").alias("xa"))
+    b = met.withColumn("j", dealt(down)).withColumn("i", every(across))
+    b = b.select("t", "i", "j", F.col("node").alias("b"), F.col("root").alias("rb"), F.col("size").alias("sb"), F.col("place").alias("pb"), F.col("prefix").alias("xb"), (F.col("root") == F.col("main")).alias("mainly"))
     # what precedes the first shared shingle is not shared, and of what follows no more than the shorter rest can be
     most = 1 + F.least(F.col("sa") - F.col("pa"), F.col("sb") - F.col("pb"))
     enough = most >= (F.col("sa") + F.col("sb")) * (similarity / (1 + similarity)) - 1e-9
     sizes = (F.col("sa") >= F.col("sb") * similarity - 1e-9) & (F.col("sb") >= F.col("sa") * similarity - 1e-9)
-    both = join_dealt(a, b, "t", max(1, met.count())).filter("ra <> rb AND (mainly OR a < b)").filter(sizes & enough & (F.array_intersect("xa", "xb")[0] == F.col("t")))
+    both = a.join(b, ["t", "i", "j"]).filter("ra <> rb AND (mainly OR a < b)").filter(sizes & enough & (F.array_intersect("xa", "xb")[0] == F.col("t")))
     likely = both.select(F.least("a", "b").alias("x"), F.greatest("a", "b").alias("y")).distinct()
     asked = materialise(likely.select(F.col("x").alias("a"), F.col("y").alias("b")), "similar-crowded", "snappy")
     good = materialise(similar_pairs(asked, sets, similarity), "similar-crowded-links", "snappy")
