@@ -12,6 +12,7 @@ CELL = 200
 #: Queries on the cells that must not shuffle edges or triangles.
 BY_CLASS = [
     "algebraic_count",
+    "algebraic_find",
 ]
 
 
