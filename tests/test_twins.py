@@ -13,6 +13,7 @@ CELL = 200
 BY_CLASS = [
     "algebraic_count",
     "algebraic_find",
+    "algebraic_support",
 ]
 
 
