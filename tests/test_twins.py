@@ -14,6 +14,7 @@ BY_CLASS = [
     "algebraic_count",
     "algebraic_find",
     "algebraic_support",
+    "class_grouping_sets",
 ]
 
 
