@@ -15,6 +15,7 @@ BY_CLASS = [
     "algebraic_find",
     "algebraic_support",
     "class_grouping_sets",
+    "edge_support",
 ]
 
 
