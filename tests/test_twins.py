@@ -16,6 +16,7 @@ BY_CLASS = [
     "algebraic_support",
     "class_grouping_sets",
     "edge_support",
+    "heavy_edges",
 ]
 
 
