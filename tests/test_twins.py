@@ -17,6 +17,7 @@ BY_CLASS = [
     "class_grouping_sets",
     "edge_support",
     "heavy_edges",
+    "support_quantiles",
 ]
 
 
