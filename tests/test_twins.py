@@ -18,6 +18,7 @@ BY_CLASS = [
     "edge_support",
     "heavy_edges",
     "support_quantiles",
+    "top_edges_by_support",
 ]
 
 
