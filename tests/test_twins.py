@@ -19,6 +19,7 @@ BY_CLASS = [
     "heavy_edges",
     "support_quantiles",
     "top_edges_by_support",
+    "top_vertices",
 ]
 
 
