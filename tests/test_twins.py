@@ -20,6 +20,7 @@ BY_CLASS = [
     "support_quantiles",
     "top_edges_by_support",
     "top_vertices",
+    "topk_neighbours",
 ]
 
 
