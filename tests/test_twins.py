@@ -21,6 +21,7 @@ BY_CLASS = [
     "top_edges_by_support",
     "top_vertices",
     "topk_neighbours",
+    "triangles_per_vertex",
 ]
 
 
