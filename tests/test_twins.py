@@ -22,6 +22,7 @@ BY_CLASS = [
     "top_vertices",
     "topk_neighbours",
     "triangles_per_vertex",
+    "degree_bound",
 ]
 
 
