@@ -23,6 +23,7 @@ BY_CLASS = [
     "topk_neighbours",
     "triangles_per_vertex",
     "degree_bound",
+    "degree_ordered_listing",
 ]
 
 
