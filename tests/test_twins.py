@@ -24,6 +24,7 @@ BY_CLASS = [
     "triangles_per_vertex",
     "degree_bound",
     "degree_ordered_listing",
+    "heavy_triangles",
 ]
 
 
