@@ -25,6 +25,7 @@ BY_CLASS = [
     "degree_bound",
     "degree_ordered_listing",
     "heavy_triangles",
+    "triangle_list",
 ]
 
 
