@@ -77,3 +77,18 @@ def test_repeated_edges_go_within_the_watermark(spark, tmp_path):
     source = feed(spark, tmp_path, [[(at(1), 1, 2), (at(1), 2, 1), (at(1), 3, 3)], [(at(1, 30), 1, 2), (at(1, 30), 2, 3)]], "ts timestamp, u long, v long")
     got = run(stream.distinct_edges(source), tmp_path, "distinct", "append").collect()
     assert sorted((r.u, r.v) for r in got) == [(1, 2), (2, 3)]
+
+
+def test_window_edges_are_made_once_and_not_shuffled(spark, monkeypatch):
+    """Users of one window in several types: as the plain join gives them, without an exchange of edges."""
+    from trilist.streaming import edges as stream
+
+    monkeypatch.setattr(stream, "BLOCK", 4)
+    events = spark.range(300).selectExpr("timestamp_seconds(3600 * (id % 2) + id) AS ts", "id * 7 % 40 AS user_id", "element_at(array('a', 'b', 'c', NULL), cast(id * 5 % 11 % 4 + 1 AS int)) AS event_type")
+    df = stream.window_edges(events, "1 hour")
+    m = stream.window_members(events, "1 hour")
+    want = m.withColumnRenamed("user_id", "u").join(m.withColumnRenamed("user_id", "v"), ["start", "event_type"]).filter("u < v").select("start", "u", "v").distinct()
+    got = sorted(map(tuple, df.collect()))
+    assert got and got == sorted(map(tuple, want.collect()))
+    last = df._jdf.queryExecution().optimizedPlan().toString().splitlines()
+    assert not any(w in line for line in last[: next(i for i, x in enumerate(last) if "Join" in x)] for w in ("Aggregate", "Repartition", "Deduplicate"))
