@@ -235,3 +235,14 @@ def test_a_partial_light_pass_warns(spark):
     v, e = vertices_of(spark, SF01, "coin"), edges_of(spark, SF01, "coin").cache()
     with pytest.warns(UserWarning, match="partial"):
         drivers.list_triangles(v, e, seed=2, eps=0.25, repetitions=1, heavy=False, r=3)
+
+
+@pytest.mark.parametrize(("name", "eps"), [("coin", 0.1), ("cells", 0.2), ("windmill", 0.2)])
+def test_offers_from_few_open_pairs_equal_the_others(spark, name, eps):
+    v, e = vertices_of(spark, SF01, name), edges_of(spark, SF01, name).cache()
+    nx = light.x_neighbourhoods(e, light.sample_x(v, Params(v.count(), eps), 3)).cache()
+    some = v.filter("v % 5 <> 0")
+    pairs = light.few_open_pairs(e, nx, some, most=10**6)
+    assert rows(light.sizes_from_pairs(e, pairs, some)) == rows(light.offer_sizes(e, nx, some))
+    assert rows(light.closed_from_pairs(e, pairs, some)) == rows(light.open_closed(e, nx, some))
+    assert light.few_open_pairs(e, nx, some, most=0) is None
