@@ -246,3 +246,19 @@ def test_offers_from_few_open_pairs_equal_the_others(spark, name, eps):
     assert rows(light.sizes_from_pairs(e, pairs, some)) == rows(light.offer_sizes(e, nx, some))
     assert rows(light.closed_from_pairs(e, pairs, some)) == rows(light.open_closed(e, nx, some))
     assert light.few_open_pairs(e, nx, some, most=0) is None
+
+
+def test_coin_tail_counts_by_tiles(spark):
+    """Blocks of any size give the triangles of the coin graph; pairs are never rows of a shuffle."""
+    from tests.test_twins import shuffled_rows
+    from trilist.functions.coins import coin
+
+    v = spark.range(70).withColumnRenamed("id", "v")
+    want = []
+    for seed in (1, 2):
+        e = v.withColumnRenamed("v", "u").join(v).filter("u < v").filter(coin(seed, "u", "v") < 2**31)
+        want.append((seed, exact.triangles(e).count()))
+    for block in (20, 512):
+        got = []
+        moved = shuffled_rows(spark, lambda: got.extend(rows(measures.coin_tail(v, [1, 2], block).select("seed", "triangles"))))
+        assert got == want and moved < 70 * 69 // 2
