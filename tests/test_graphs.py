@@ -262,3 +262,22 @@ def test_coin_tail_counts_by_tiles(spark):
         got = []
         moved = shuffled_rows(spark, lambda: got.extend(rows(measures.coin_tail(v, [1, 2], block).select("seed", "triangles"))))
         assert got == want and moved < 70 * 69 // 2
+
+
+def test_the_coin_graph_is_made_by_many_tasks(spark):
+    assert edges_of(spark, SF01, "coin").rdd.getNumPartitions() > 1
+
+
+def test_few_open_pairs_shuffle_no_arcs(spark):
+    """Active sets apart, the arcs of a dense graph meet its few open pairs where they lie."""
+    from tests.test_twins import shuffled_rows
+
+    v, e = vertices_of(spark, SF01, "coin"), light.cut(edges_of(spark, SF01, "coin"))
+    pairs = spark.createDataFrame([(1, 5), (5, 1), (3, 7), (7, 3)], "j long, l long")
+    near = {}
+    for x, y in rows(e):
+        near.setdefault(x, set()).add(y)
+        near.setdefault(y, set()).add(x)
+    got = []
+    assert shuffled_rows(spark, lambda: got.extend(rows(light.next_to_both(pairs, e).select("j", "k", "l")))) < e.count() // 2
+    assert sorted(got) == sorted((j, k, l) for j, l in rows(pairs) for k in near[j] & near[l])
