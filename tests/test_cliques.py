@@ -57,7 +57,7 @@ def test_cliques_equal_the_plain_operators(spark, monkeypatch, buckets, cap):
     assert n(catalog.clique_words(lone, p)) == n(catalog.edge_words(inside, p))
 
 
-@pytest.mark.parametrize("query", ["all_pairs_rounds", "missed_triangles", "support_diff"])
+@pytest.mark.parametrize("query", ["all_pairs_rounds", "heavy_hash", "missed_triangles", "support_diff"])
 def test_one_large_cell_shuffles_its_members(spark, one_cell, query):  # noqa: F811
     def run():
         catalog.QUERIES[query](spark, one_cell).write.format("noop").mode("overwrite").save()
