@@ -212,6 +212,25 @@ def test_offer_sizes_equal_the_listed_sets(spark, name):
     assert rows(light.open_closed(e, nx, some)) == rows(sets.join(a, ["j", "l"], "left_semi").select("j", "k", "l"))
 
 
+def test_the_hubs_list_does_not_travel_to_its_neighbours(spark):
+    """A hub next to all, 400 of them in X: its offers shuffle a few numbers an arc, not a copy of its list for each neighbour."""
+    v = spark.range(4001).withColumnRenamed("id", "v").cache()
+    e = v.filter("v > 0").selectExpr("0L AS u", "v").union(v.filter("v % 2 = 1 AND v < 4000").selectExpr("v AS u", "v + 1 AS v")).cache()
+    nx = light.x_neighbourhoods(e, v.filter("v > 0 AND v % 10 = 0")).cache()
+    arcs = 2 * e.count() + 0 * nx.count()
+    gw, store = spark.sparkContext._gateway, spark._jsc.sc().statusStore()
+
+    def written():
+        found = store.stageList(None, False, False, gw.new_array(gw.jvm.double, 0), gw.jvm.java.util.ArrayList())
+        return {(x.stageId(), x.attemptId()): x.shuffleWriteBytes() for x in map(found.apply, range(found.size()))}
+
+    before = written()
+    sizes = {(r.j, r.k): r.size for r in light.offer_sizes(e, nx, v).collect()}
+    assert sum(n for key, n in written().items() if key not in before) < 100 * arcs
+    # of the hub's neighbours only 9 has 10 beside it, so all others are open to it; through 10 it meets the hub, which has 10 too
+    assert sizes[(9, 0)] == 3999 and sizes[(1, 0)] == 3999 and (9, 10) not in sizes
+
+
 def test_passes_in_one_plan_equal_single_passes(spark):
     v, e = vertices_of(spark, SF01, "halfyear"), edges_of(spark, SF01, "halfyear").cache()
     p = Params(v.count(), 0.5)
