@@ -121,3 +121,26 @@ def test_mix_meets_targets(spark):
     assert len(set(clash.columns)) == len(clash.columns) and clash.filter("mix_size > 0").count() > 0
     mix = mixing.mix_documents(table(spark, rows))
     assert mix.columns[:7] == table(spark, []).columns and mix.filter("mix_taken = 0").count() == 0
+
+
+@pytest.mark.parametrize(("unit", "depth", "gram"), [(repeats.BYTES, 60, 8), (repeats.WORDS, 12, 4)])
+def test_short_texts_are_hashed_together(spark, monkeypatch, unit, depth, gram):
+    """A batch of many texts is one array, so that each text does not cost its own round of calls; null, empty and short texts leave the others' windows as they are."""
+    import pyarrow as pa
+
+    class Docs:
+        def select(self, *_):
+            return self
+
+        def mapInArrow(self, run, _):
+            return run
+
+    built, real = [], repeats.Rolling.__init__
+    monkeypatch.setattr(repeats.Rolling, "__init__", lambda self, data: built.append(len(data)) or real(self, data))
+    texts = [None, b"", b"few words", b"  "] + [" ".join(f"w{(i * 7 + k * k) % 97}é" for k in range(30 + i % 5)).encode() + b"\t" * (i % 3) for i in range(400)] + [None]
+    batch = pa.RecordBatch.from_arrays([pa.array(range(len(texts)), pa.int64()), pa.array(range(len(texts)), pa.int64()), pa.array(texts, pa.binary())], names=["a", "b", "text"])
+    run = repeats.anchor_rows(Docs(), depth, gram, unit)
+    rows = lambda batches: sorted(tuple(r.values()) for b in run(iter(batches)) for r in b.to_pylist())
+    together = rows([batch.slice(1, 300), batch.slice(301)])
+    assert len(built) <= 8 and len({r[0] for r in together}) == 400
+    assert together == rows([batch.slice(i, 1) for i in range(1, len(texts))])
