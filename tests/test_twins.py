@@ -77,3 +77,15 @@ def test_overlapping_groups_agree_with_the_plain_operators(spark, monkeypatch):
     for u, v, s in rows(exact.edge_support(e)):
         best[u] = sorted([*best.get(u, []), (-s, v)])[:2]
     assert rows(twins.top_edges(t, 2)) == sorted((u, v, -s) for u, b in best.items() for s, v in b)
+
+
+def test_a_task_does_not_hold_the_triangles_of_three_blocks(spark, one_cell):
+    """The second and the third member are not exploded in one piece of generated code, which would keep all rows of three blocks."""
+    spark.conf.set("spark.sql.adaptive.enabled", "false")
+    try:
+        for query in ("degree_ordered_listing", "heavy_triangles", "triangle_list"):
+            plan = catalog.QUERIES[query](spark, one_cell)._jdf.queryExecution().executedPlan().toString()
+            stages = [line.split("Generate")[0].strip(" :+-") for line in plan.splitlines() if "Generate explode" in line][:2]
+            assert stages[0] != stages[1], query
+    finally:
+        spark.conf.set("spark.sql.adaptive.enabled", "true")
