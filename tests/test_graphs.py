@@ -300,3 +300,42 @@ def test_few_open_pairs_shuffle_no_arcs(spark):
     got = []
     assert shuffled_rows(spark, lambda: got.extend(rows(light.next_to_both(pairs, e).select("j", "k", "l")))) < e.count() // 2
     assert sorted(got) == sorted((j, k, l) for j, l in rows(pairs) for k in near[j] & near[l])
+
+
+def test_pair_coins_are_the_coins(spark):
+    """Digests of many pairs at once are those of one, whatever the ids' signs and lengths."""
+    import numpy as np
+
+    from trilist.functions.coins import coin, pair_coins, pair_hits
+
+    ids = np.array([-(2**63), -12345, -7, 0, 3, 9, 10, 99, 100, 54321, 10**9, 2**62, 2**63 - 1])
+    every = spark.createDataFrame([(int(x), int(y)) for x in ids for y in ids], "x long, y long")
+    for seed in (7, 123456):
+        want = {(r.x, r.y): r.c for r in every.select("x", "y", coin(seed, "x", "y").alias("c")).collect()}
+        got = pair_coins(seed, ids, ids)
+        assert {(x, y): int(got[i, j]) for i, x in enumerate(ids) for j, y in enumerate(ids)} == want
+        hits = pair_hits(seed, ids, ids)
+        assert all(hits[i, j] == (x != y and want[min(x, y), max(x, y)] < 2**31) for i, x in enumerate(ids) for j, y in enumerate(ids))
+
+
+def test_coin_graph_blocks_of_any_size(spark):
+    """Repeated keys repeat their pairs, and the coins of blocks are those of a join."""
+    from trilist.functions.coins import falls
+    from trilist.sources.graphs import coin_pairs
+
+    ids = spark.range(90).selectExpr("id * id - 50 AS v").union(spark.createDataFrame([(-50,), (14,)], "v long"))
+    want = rows(ids.withColumnRenamed("v", "u").join(ids).filter("u < v").filter(falls(2**31, 7, "u", "v")))
+    for block in (7, 512):
+        assert rows(coin_pairs(ids, 7, block)) == want
+
+
+def test_disjoint_lists_compare_no_lists_by_row(spark):
+    """The pairs of lists are found in blocks, empty lists and single ones included, and no pair of lists is a row of a join."""
+    import random
+
+    draw = random.Random(3)
+    data = [(sorted(draw.sample(range(100, 2000, 100), draw.choice((0, 1, 3, 9)))), 5 * g, g % 4, 2 * g) for g in range(60)]
+    df = spark.createDataFrame(data, "xs array<long>, g long, w long, t long")
+    want = sorted((a[1], b[1], a[2], b[3]) for a in data for b in data if not set(a[0]) & set(b[0]))
+    for block in (7, 2048):
+        assert rows(light.disjoint_lists(df, block)) == want
